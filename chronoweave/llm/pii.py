@@ -112,13 +112,13 @@ def _votes(kind: str, x: Column) -> Column:
 def estimate(counts: dict[str, int], rounds: int = 60) -> dict[str, float]:
     """Posterior of each vote pattern ("kind:votes") by expectation-maximisation.
 
-    A labeler's reliability is its chance of each vote given the class, with one pseudo-count a vote; the prior is
-    one for each kind. Starts from the share of yes among the votes given.
+    A labeler's reliability is its chance of each vote given the class, with one pseudo-count a vote; having no
+    opinion says nothing. The prior is one for each kind. Starts from the share of yes among the votes given.
     """
     post = {p: (0.05 + 0.9 * v.count("1") / max(1, len(v) - v.count("-"))) for p in counts for v in [p.split(":")[1]]}
     for _ in range(rounds):
         n = len(next(iter(counts)).split(":")[1]) if counts else 0
-        like = [{c: {x: 1.0 for x in "10-"} for c in (0, 1)} for _ in range(n)]
+        like = [{c: {x: 1.0 for x in "10"} for c in (0, 1)} for _ in range(n)]
         prior: dict[str, list[float]] = {}
         for p, m in counts.items():
             kind, votes = p.split(":")
@@ -126,12 +126,15 @@ def estimate(counts: dict[str, int], rounds: int = 60) -> dict[str, float]:
             for c, w in ((1, post[p]), (0, 1 - post[p])):
                 pr[c] += m * w
                 for j, x in enumerate(votes):
-                    like[j][c][x] += m * w
+                    if x != "-":
+                        like[j][c][x] += m * w
         new = {}
         for p in counts:
             kind, votes = p.split(":")
             odds = math.log(prior[kind][1] / prior[kind][0])
             for j, x in enumerate(votes):
+                if x == "-":
+                    continue
                 odds += math.log(like[j][1][x] / sum(like[j][1].values())) - math.log(like[j][0][x] / sum(like[j][0].values()))
             new[p] = 1 / (1 + math.exp(-max(-30.0, min(30.0, odds))))
         moved = max((abs(new[p] - post[p]) for p in counts), default=0)
@@ -143,7 +146,7 @@ def estimate(counts: dict[str, int], rounds: int = 60) -> dict[str, float]:
 
 def classifier(counts: dict[str, int], post: dict[str, float], rounds: int = 300, step: float = 0.5) -> dict[str, float]:
     """A logistic model over votes and kind, fitted to the posteriors with ridge; its score of each pattern."""
-    feats = {p: [f"k{p.split(':')[0]}", *[f"{j}{x}" for j, x in enumerate(p.split(":")[1])]] for p in counts}
+    feats = {p: [f"k{p.split(':')[0]}", *[f"{j}{x}" for j, x in enumerate(p.split(":")[1]) if x != "-"]] for p in counts}
     w: dict[str, float] = {f: 0.0 for fs in feats.values() for f in fs}
     total = sum(counts.values()) or 1
     score = lambda p: 1 / (1 + math.exp(-sum(w[f] for f in feats[p])))
