@@ -1,0 +1 @@
+"""Cost and accuracy measures."""

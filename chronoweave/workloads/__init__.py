@@ -1,0 +1 @@
+"""Workload generators: shapes, logs of patterns, windows, two-time rewrites."""
