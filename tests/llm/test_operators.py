@@ -1,0 +1,207 @@
+import random
+import re
+import zlib
+
+import numpy as np
+from tokenizers import Tokenizer
+
+from chronoweave.llm import langid, mixing, neardup, pii, quality, sharding, spans, tokenfile, topk
+from chronoweave.llm.common import scratch
+
+SCHEMA = "doc_id long, text string, lang string, source string, clash int"
+
+
+def corpus(seed=1, n=120):
+    rng = random.Random(seed)
+    words = ["".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 7))) for _ in range(300)]
+    rows = []
+    for i in range(n):
+        text = " ".join(rng.choice(words) + rng.choice(["", "", ".", ",", ".\n"]) for _ in range(rng.randint(1, 120)))
+        rows.append((i, text, rng.choice(["en", "de", None]), rng.choice(["a", "a", "a", "b", None]), 7))
+    base = rows[5][1]
+    for i in range(n, n + 20):  # copies and near copies
+        rows.append((i, base if i % 2 else base + " zz" * (i - n), "en", "a", 7))
+    rows += [(900, None, None, None, None), (901, "", "en", "b", 1), (902, "  \n ", "en", "b", 1), (903, "x" * 60_000, "en", "a", 1), (904, "one two " * 9_000, "de", "a", 1)]
+    return rows
+
+
+def frame(spark, rows):
+    return spark.createDataFrame(rows, SCHEMA)
+
+
+def test_mixture_meets_its_targets(spark):
+    rows = corpus()
+    out, plan = mixing.mix(frame(spark, rows), block=64)
+    got = {r["doc_id"]: r for r in out.collect()}
+    assert len(got) == len(rows)
+    by = {}
+    for i, t, _, s, _ in rows:
+        assert got[i]["size"] == len((t or "").split())
+        assert 0 <= got[i]["taken"] <= 2 * got[i]["size"]
+        by.setdefault(s, [0, 0, got[i]["target"], got[i]["source_size"]])
+        by[s][0] += got[i]["taken"]
+        by[s][1] += got[i]["size"]
+    for taken, size, target, source in by.values():
+        assert size == source and abs(taken - target) <= 1 and target <= 2 * size + 1e-9
+    again = {r["doc_id"]: r["taken"] for r in mixing.mix(frame(spark, rows[::-1]), block=64)[0].collect()}
+    assert again == {i: r["taken"] for i, r in got.items()}
+    assert mixing.mix(frame(spark, []))[0].count() == 0
+
+
+def test_capped_targets_share_the_excess():
+    t = mixing.capped_targets([100, 10, 1000], [3, 1, 2], 1.5 * 1110, 2)
+    assert t[0] == 200 and t[1] == 20 and abs(sum(t) - 1665) < 1e-9 and t[2] <= 2000
+
+
+def test_token_files_round_trip(spark):
+    rows = corpus(2)
+    path = scratch(spark, "test-tokens")
+    tokenfile.write_tokens(frame(spark, rows), path, tokenfile.tokenizer_file(), ids_per_segment=5000)
+    lib = Tokenizer.from_file(tokenfile.tokenizer_file())
+    lib.encode_special_tokens = True
+    at, want = 0, {}
+    for i, t, *_ in sorted(rows, key=lambda r: r[0]):
+        ids = [*lib.encode(t or "", add_special_tokens=False).ids, 0]
+        want[i] = (at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+        at += len(ids)
+    assert {r[0]: tuple(r)[1:] for r in tokenfile.read_documents(spark, path).collect()} == want
+
+
+def test_blocks_with_exceptions():
+    rng = np.random.default_rng(0)
+    for n in (1, 7, 4096, 9000):
+        for top in (1, 2, 50_257, 2**32 - 1):
+            x = rng.integers(0, top, n, np.uint32)
+            x[rng.random(n) < 0.02] = 2**31
+            index, payload = tokenfile.pack(x)
+            assert (tokenfile.unpack(index, payload) == x).all()
+            assert (tokenfile.unpack(index, payload, n // 3, n // 2) == x[n // 3 : n // 2]).all()
+
+
+def test_near_duplicates_against_all_pairs(spark):
+    rows = corpus(3)
+    for words in (2, 5):
+        got = {r["doc_id"]: r for r in neardup.near_duplicates(frame(spark, rows), words=words).collect()}
+        sets = {}
+        for i, t, *_ in rows:
+            w = (t or "").lower().split()
+            k = min(words, len(w))
+            sets[i] = {tuple(w[a : a + k]) for a in range(len(w) - k + 1)} if w else set()
+        root = {i: i for i in sets}
+
+        def find(x):
+            while root[x] != x:
+                x = root[x]
+            return x
+
+        ids = sorted(sets)
+        for a in ids:
+            for b in ids:
+                if a < b and sets[a] and sets[b]:
+                    both = len(sets[a] & sets[b])
+                    if 100 * both >= 80 * (len(sets[a]) + len(sets[b]) - both):
+                        x, y = find(a), find(b)
+                        root[max(x, y)] = min(x, y)
+        assert {i: (r["n_shingles"], r["component_id"], r["kept"]) for i, r in got.items()} == {i: (len(sets[i]), find(i), find(i) == i) for i in ids}
+    assert neardup.near_duplicates(frame(spark, [])).count() == 0
+
+
+def test_spans_remove_later_repeats_only(spark):
+    passage = " ".join(f"word{i}" + ("." if i % 9 == 8 else "") for i in range(60)) + "."
+    rows = [(1, f"Own start one. {passage} Own end one.", "en", "a", 1), (2, f"Other start two. {passage} Other end two.", "en", "a", 1), (3, "Clean text. Short. Short. Short.", "en", "a", 1), (4, None, None, None, None), (5, "", None, None, None)]
+    got = {r["doc_id"]: r for r in spans.deduplicate(frame(spark, rows)).collect()}
+    assert got[1]["text"] == rows[0][1] and got[3]["text"] == rows[2][1] and got[4]["text"] is None and got[5]["text"] == ""
+    assert "word30" not in got[2]["text"] and got[2]["text"].startswith("Other start two.") and got[2]["text"].endswith("Other end two.")
+
+
+def luhn(digits):
+    return sum(int(c) if i % 2 == 0 else (int(c) * 2 - 9 if c > "4" else int(c) * 2) for i, c in enumerate(reversed(digits))) % 10 == 0
+
+
+def plain_spans(text):
+    digits = lambda x: re.sub("[^0-9]", "", x)
+    kinds = {
+        "email": (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda x: True),
+        "ip": (r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda x: all(int(p) <= 255 for p in x.split("."))),
+        "card": (r"[0-9]([\x20\-]?[0-9])+", lambda x: 16 <= len(digits(x)) <= 19 and luhn(digits(x))),
+        "phone": (r"\+[0-9][\x20().0-9-]+[0-9]", lambda x: 8 <= len(digits(x)) <= 15),
+    }
+    return ",".join(f"{k}:{m.start()}:{m.end()}" for k, (p, ok) in kinds.items() for m in re.finditer(p, text or "") if ok(m.group()))
+
+
+def test_base_spans_match_the_plain_patterns(spark):
+    rng = random.Random(3)
+    bits = ["a", "B", "1", "2", "@", ".", "-", " ", "+", "(", ")", "_", "x@y.z", "255.", "4111 1111 1111 1111", "1111", "+1 (017) 555-7713", "é", "\U0001f600", "\n"]
+    texts = ["".join(rng.choice(bits) for _ in range(rng.randrange(60))) for _ in range(800)] + ["1" * 4000, "a" * 20_000 + "@", "a." * 2000 + "@b.c", "", None]
+    rows = [(i, t, None, None, 1) for i, t in enumerate(texts)]
+    got = pii.find(frame(spark, rows)).select("doc_id", pii._listed(pii.F.col("base")).alias("b"), pii._listed(pii.F.col("spans")).alias("s")).collect()
+    for r in got:
+        assert r["b"] == plain_spans(texts[r["doc_id"]]), texts[r["doc_id"]]
+        assert set(r["b"].split(",")) <= set(r["s"].split(","))
+    clean = {r["doc_id"]: r["text"] for r in pii.redact(frame(spark, [(1, "é mail x@y.z or +1 (017) 555-7713.", None, None, 1), (2, None, None, None, 1)])).collect()}
+    assert clean == {1: "é mail <email> or <phone>.", 2: None}
+
+
+def test_language_models_hold_out(spark):
+    rng = random.Random(4)
+    sounds = {"en": ["the", "ing", "th", "er"], "de": ["sch", "ung", "ein", "ü"], "fr": ["eau", "oi", "é", "que"]}
+    rows = [(i, " ".join("".join(rng.choice(sounds[lg]) for _ in range(3)) for _ in range(30)), lg, "a", 1) for i in range(300) for lg in [rng.choice(sorted(sounds))]]
+    rows += [(1000, None, "en", "a", 1), (1001, "12 34 !", "en", "a", 1), (1002, "", None, "a", 1)]
+    df = frame(spark, rows)
+    learn, out = langid.fold()
+    got = {r["doc_id"]: r for r in langid.predict(df.withColumn("held_out", out), langid.train(df.filter(learn)), ["doc_id", "held_out"]).collect()}
+    held = [r for r in rows[:300] if got[r[0]]["held_out"]]
+    assert len(held) > 40 and sum(got[r[0]]["lang_pred"] == r[2] for r in held) >= 0.99 * len(held)
+    assert all(got[i]["lang_pred"] == "und" for i in (1000, 1001, 1002)) and all(0 <= r["score"] <= 1 for r in got.values())
+    assert {i for i, *_ in rows if zlib.crc32(str(i).encode()) % 4 == 2} == {i for i, r in got.items() if r["held_out"]}
+    empty = langid.predict(frame(spark, rows[:3]), langid.train(frame(spark, [])), ["doc_id"]).collect()
+    assert all(r["lang_pred"] == "und" for r in empty)
+
+
+def test_shards_are_even_and_gapless(spark):
+    rows = corpus(5, 400)[:-2]
+    got = sharding.shard(frame(spark, rows), depth=3).collect()
+    assert len(got) == len(rows)
+    size, slots = {}, {}
+    for r in got:
+        size[r["shard"]] = size.get(r["shard"], 0) + r["size"]
+        slots.setdefault(r["shard"], []).append(r["slot"])
+    assert set(size) == set(range(8)) and max(size.values()) < 1.25 * min(size.values())
+    assert all(sorted(s) == list(range(len(s))) for s in slots.values())
+    text = {i: t or "" for i, t, *_ in rows}
+    assert all(r["text_crc32"] == zlib.crc32(text[r["doc_id"]].encode()) for r in got)
+    assert sharding.shard(frame(spark, [])).count() == 0
+
+
+def test_quality_measures(spark):
+    rows = corpus(6)
+    for r in quality.judge(frame(spark, rows)).collect():
+        t = next(x[1] for x in rows if x[0] == r["doc_id"]) or ""
+        w = re.findall(r"[^\x20\x09-\x0D]+", t)
+        seen, marked = {}, set()
+        for k in range(len(w) - 2):
+            seen.setdefault(tuple(w[k : k + 3]), []).append(k)
+        for places in seen.values():
+            if len(places) > 1:
+                marked |= {p + j for p in places for j in range(3)}
+        lines = [x for x in t.split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+        assert (r["n_words"], r["word_chars"], r["n_dup_lines"], r["n_repeat_words"]) == (len(w), sum(map(len, w)), len(lines) - len(set(lines)), len(marked))
+        assert r["base_failed"] == (len(w) < 50 or 100 * len(marked) > 50 * len(w)) and not (r["base_failed"] and r["kept"])
+
+
+def test_top_k_is_exact(spark):
+    rng = np.random.default_rng(7)
+    vec = [(int(i), [float(x) for x in rng.normal(size=16)]) for i in range(500)]
+    vec += [(600 + i, vec[0][1]) for i in range(20)] + [(700, None), (701, [1.0, None]), (702, [float("nan")] * 16), (750, [float("inf")] * 16)]
+    df = spark.createDataFrame(vec, "vec_id long, embedding array<float>")
+    got = {}
+    for size in (64 << 20, 0):  # broadcast and dealt
+        rows = topk.search(df, df.filter("vec_id % 50 = 0"), block=8, broadcast_bytes=size).collect()
+        got[size] = sorted((r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in rows)
+    ok = {i: np.floor(256 * np.array(v, np.float32).astype(float)).astype(int) for i, v in vec if i < 700}
+    want = []
+    for q in ok:
+        if q % 50 == 0:
+            best = sorted((-int(ok[q] @ x), i) for i, x in ok.items() if i != q)[:5]
+            want += [(q, k, i, -s) for k, (s, i) in enumerate(best, 1)]
+    assert got[0] == got[64 << 20] == sorted(want)
