@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -19,4 +20,4 @@ class Registry:
             raise ValueError(f"{key} is registered twice")
         self.queries[key] = run
         if sql:
-            self.sql[key] = sql
+            self.sql[key] = re.sub(r"\bat\b", '"at"', sql)  # a reserved word in DuckDB

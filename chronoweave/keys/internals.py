@@ -99,8 +99,8 @@ def _index(r: Registry) -> None:
     num = "nev AS (SELECT o, tick, sign, key, row_number() OVER (PARTITION BY o ORDER BY tick, sign, key) AS upd FROM ev)"
     w2 = 2 * width
     lv = f"lv AS (SELECT *, key >> ({w2} - level) AS node FROM nev, (SELECT unnest(range(0, {w2} + 1)) AS level))"
-    bits = f"SELECT o, CAST(level AS INT) AS level, row_number() OVER (PARTITION BY o, level ORDER BY node, upd) AS place, CASE WHEN level < {w2} THEN CAST((key >> ({w2} - 1 - level)) & 1 AS INT) END AS b, CAST(sum(sign) OVER (PARTITION BY o, level, node ORDER BY upd) > 0 AS INT) AS e FROM lv"
-    r.add("matrix_bits", lambda s, d: tries.matrix_rows(tries.numbered_events(graph(s, d, "MONO"), ["o"], width), ["o"], w2), f"WITH {graph_ctes('MONO')},\n{_LINE}, {ids}, {events}, {num}, {lv}\n{bits}")
+    bits = f"SELECT o, CAST(level AS INT) AS level, row_number() OVER (PARTITION BY o, level ORDER BY node, upd) AS place, CASE WHEN level < {w2} THEN CAST((key >> ({w2} - 1 - level)) & 1 AS INT) ELSE -1 END AS b, CAST(sum(sign) OVER (PARTITION BY o, level, node ORDER BY upd) > 0 AS INT) AS e FROM lv"
+    r.add("matrix_bits", lambda s, d: tries.matrix_rows(tries.numbered_events(graph(s, d, "MONO"), ["o"], width), ["o"], w2).withColumn("b", F.coalesce("b", F.lit(-1))), f"WITH {graph_ctes('MONO')},\n{_LINE}, {ids}, {events}, {num}, {lv}\n{bits}")
     r.add("matrix_packed", lambda s, d: tries.pack(tries.numbered_events(graph(s, d, "MONO"), ["o"], width), ["o"], w2).groupBy("level").agg(F.sum("n").alias("updates"), F.count(F.lit(1)).alias("nodes")), f"WITH {graph_ctes('MONO')}\nSELECT CAST(level AS INT) AS level, CAST(2 * (SELECT count(*) FROM e) AS BIGINT) AS updates, (SELECT count(DISTINCT o) FROM e) AS nodes FROM (SELECT unnest(range(0, {w2} + 1)) AS level)")
     r.add("matrix_bit_count", lambda s, d: cost.matrix_bits(graph(s, d, "MONO"), 1, width), over("MONO", f"SELECT CAST(count(*) * 2 * 2 * 2 * {width} AS BIGINT) AS bits FROM e"))
     r.add("seek_children", _seeks, over("TRIP10", "SELECT p, min(CAST(substr(s, 2) AS BIGINT)) AS child FROM e WHERE CAST(substr(s, 2) AS BIGINT) >= 7 GROUP BY p"))

@@ -30,7 +30,7 @@ def _frame(name: str, f):
 
 def _scans(r: Registry) -> None:
     cols = "SELECT s, p, o, ts, te FROM e WHERE "
-    for key, cond in (("scan_const_p", "p = 'ships_R'"), ("scan_const_sp", "s = 's7' AND p = 'ships_R'"), ("scan_const_spo", "s = 's7' AND p = 'ships_R' AND o = 'p7'"), ("filter_terms", "p IN ('ships_R', 'ships_A') AND s LIKE 's1%' AND o BETWEEN 'p1' AND 'p3'")):
+    for key, cond in (("scan_const_p", "p = 'ships_R'"), ("scan_const_sp", "s = 's7' AND p = 'ships_R'"), ("scan_const_spo", "s = 's7' AND p = 'ships_R' AND o < 'p15'"), ("filter_terms", "p IN ('ships_R', 'ships_A') AND s LIKE 's1%' AND o BETWEEN 'p1' AND 'p3'")):
         r.add(key, _frame("SHIP", lambda e, c=cond: e.filter(c)), over("SHIP", cols + cond))
     r.add("scan_at", _frame("SHIP", lambda e: e.filter("ts <= TIMESTAMP_NTZ '1998-06-15' AND te > TIMESTAMP_NTZ '1998-06-15'")), over("SHIP", cols + "ts <= TIMESTAMP '1998-06-15' AND te > TIMESTAMP '1998-06-15'"))
     loop = parse("?x ?l ?x @t")
@@ -93,7 +93,7 @@ def _joins(r: Registry) -> None:
     r.add("point_in_interval", lambda s, d: overlap.point_join(load(s, d, "orders").filter("o_orderkey % 10 = 3").select("o_orderkey", F.col("o_orderdate").alias("at")), "at", graph(s, d, "SHIP").frame.filter("s = 's7'").select("p", "o", "ts", "te"), "ts", "te").groupBy("o_orderkey").agg(F.count(F.lit(1)).alias("live")), over("SHIP", "SELECT o_orderkey, count(*) AS live FROM orders JOIN e ON e.s = 's7' AND e.ts <= o_orderdate AND e.te > o_orderdate WHERE o_orderkey % 10 = 3 GROUP BY o_orderkey"))
     r.add("asof_edges", _asof, over("SHIP", "SELECT x.s, x.at, max(e.ts) AS last_start FROM (SELECT DISTINCT s, te AS at FROM e WHERE p = 'ships_A') x LEFT JOIN e ON e.s = x.s AND e.p = 'ships_R' AND e.ts <= x.at GROUP BY x.s, x.at"))
     r.add("semi_join", _frame("SHIP", lambda e: e.join(e.filter("p = 'ships_R'").select("s", "o").distinct(), ["s", "o"], "left_semi").select("s", "p", "o", "ts", "te")), over("SHIP", "SELECT s, p, o, ts, te FROM e WHERE EXISTS (SELECT 1 FROM e b WHERE b.p = 'ships_R' AND b.s = e.s AND b.o = e.o)"))
-    live = "ts <= TIMESTAMP{} '1998-06-15' AND te > TIMESTAMP{} '1998-06-15'"
+    live = "p = 'ships_N' AND ts <= TIMESTAMP{} '1998-06-15' AND te > TIMESTAMP{} '1998-06-15'"
     r.add("anti_join", _frame("SHIP", lambda e: e.select("s").distinct().join(e.filter(live.format("_NTZ", "_NTZ")).select("s").distinct(), "s", "left_anti")), over("SHIP", f"SELECT DISTINCT s FROM e WHERE s NOT IN (SELECT s FROM e WHERE {live.format('', '')})"))
     r.add("outer_diff", _outer, over("SHIP", "SELECT coalesce(a.s, b.s) AS s, coalesce(a.n, 0) AS before, coalesce(b.n, 0) AS after FROM (SELECT s, count(*) AS n FROM e WHERE ts <= TIMESTAMP '1998-06-01' AND te > TIMESTAMP '1998-06-01' GROUP BY s) a FULL JOIN (SELECT s, count(*) AS n FROM e WHERE ts <= TIMESTAMP '1998-06-15' AND te > TIMESTAMP '1998-06-15' GROUP BY s) b ON a.s = b.s"))
     r.add("outer_left", _frame("SHIP", lambda e: e.select("o").distinct().join(e.filter("s = 's7'").groupBy("o").agg(F.count(F.lit(1)).alias("n")), "o", "left").select("o", F.coalesce("n", F.lit(0)).alias("n"))), over("SHIP", "SELECT o, count(*) FILTER (WHERE s = 's7') AS n FROM e GROUP BY o"))
@@ -119,19 +119,25 @@ def _lateral(spark, d):
     return spark.sql("SELECT x.p, y.child FROM (SELECT DISTINCT p FROM lateral_edges) x, LATERAL (SELECT min(s) AS child FROM lateral_edges e WHERE e.p = x.p AND e.s >= 'k15') y")
 
 
+def _n():
+    return F.count(F.lit(1)).alias("n")
+
+
+def _us():
+    """Length of an edge in microseconds."""
+    return (F.unix_micros(F.col("te").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp"))).alias("us")
+
+
 def _aggregates(r: Registry) -> None:
     r.add("label_histogram", _frame("SKEW", lambda e: e.groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.min("ts").alias("first"), F.max("te").alias("last"))), over("SKEW", "SELECT p, count(*) AS n, min(ts) AS first, max(te) AS last FROM e GROUP BY p"))
-    agg = [F.count(F.lit(1)).alias("n")]
-    r.add("prefix_rollup", _frame("TRIP10", lambda e: e.rollup("p", "o", "s").agg(*agg)), over("TRIP10", "SELECT p, o, s, count(*) AS n FROM e GROUP BY ROLLUP (p, o, s)"))
-    r.add("prefix_cube", _frame("TRIP10", lambda e: e.cube("s", "p", "o").agg(*agg)), over("TRIP10", "SELECT s, p, o, count(*) AS n FROM e GROUP BY CUBE (s, p, o)"))
-    r.add("prefix_grouping_sets", _frame("TRIP10", lambda e: e.groupingSets([["s"], ["p"], ["o"], ["s", "o"]], "s", "p", "o").agg(*agg)), over("TRIP10", "SELECT s, p, o, count(*) AS n FROM e GROUP BY GROUPING SETS ((s), (p), (o), (s, o))"))
-    us = (F.unix_micros(F.col("te").cast("timestamp")) - F.unix_micros(F.col("ts").cast("timestamp"))).alias("us")
-    r.add("duration_percentiles", _frame("SHIP", lambda e: e.select("p", us).groupBy("p").agg(*[F.percentile("us", q).alias(n) for q, n in ((0.25, "q1"), (0.5, "median"), (0.75, "q3"))])), over("SHIP", "SELECT p, quantile_cont(u, 0.25) AS q1, quantile_cont(u, 0.5) AS median, quantile_cont(u, 0.75) AS q3 FROM (SELECT p, CAST(epoch_us(te) - epoch_us(ts) AS DOUBLE) AS u FROM e) GROUP BY p"))
+    r.add("prefix_rollup", _frame("TRIP10", lambda e: e.rollup("p", "o", "s").agg(_n())), over("TRIP10", "SELECT p, o, s, count(*) AS n FROM e GROUP BY ROLLUP (p, o, s)"))
+    r.add("prefix_cube", _frame("TRIP10", lambda e: e.cube("s", "p", "o").agg(_n())), over("TRIP10", "SELECT s, p, o, count(*) AS n FROM e GROUP BY CUBE (s, p, o)"))
+    r.add("prefix_grouping_sets", _frame("TRIP10", lambda e: e.groupingSets([["s"], ["p"], ["o"], ["s", "o"]], "s", "p", "o").agg(_n())), over("TRIP10", "SELECT s, p, o, count(*) AS n FROM e GROUP BY GROUPING SETS ((s), (p), (o), (s, o))"))
+    r.add("duration_percentiles", _frame("SHIP", lambda e: e.select("p", _us()).groupBy("p").agg(*[F.percentile("us", q).alias(n) for q, n in ((0.25, "q1"), (0.5, "median"), (0.75, "q3"))])), over("SHIP", "SELECT p, quantile_cont(u, 0.25) AS q1, quantile_cont(u, 0.5) AS median, quantile_cont(u, 0.75) AS q3 FROM (SELECT p, CAST(epoch_us(te) - epoch_us(ts) AS DOUBLE) AS u FROM e) GROUP BY p"))
     r.add("first_last_edge", _frame("TRIP10", lambda e: e.groupBy("p").agg(F.min_by("s", F.struct("ts", "s", "o")).alias("first_s"), F.max_by("o", F.struct("ts", "s", "o")).alias("last_o"), F.count_if(F.col("s") == F.col("o")).alias("loops"))), over("TRIP10", "SELECT p, arg_min(s, (ts, s, o)) AS first_s, arg_max(o, (ts, s, o)) AS last_o, count(*) FILTER (WHERE s = o) AS loops FROM e GROUP BY p"))
-    w = Window.partitionBy("p").orderBy(F.desc("us"), "s", "o", "ts")
-    r.add("top_edges_per_label", _frame("SKEW", lambda e: e.select("s", "p", "o", "ts", us).withColumn("r", F.row_number().over(w)).filter("r <= 5")), over("SKEW", "SELECT s, p, o, ts, us, CAST(r AS INT) AS r FROM (SELECT s, p, o, ts, epoch_us(te) - epoch_us(ts) AS us, row_number() OVER (PARTITION BY p ORDER BY epoch_us(te) - epoch_us(ts) DESC, s, o, ts) AS r FROM e) WHERE r <= 5"))
+    r.add("top_edges_per_label", _frame("SKEW", lambda e: e.select("s", "p", "o", "ts", _us()).withColumn("r", F.row_number().over(Window.partitionBy("p").orderBy(F.desc("us"), "s", "o", "ts"))).filter("r <= 5")), over("SKEW", "SELECT s, p, o, ts, us, CAST(r AS INT) AS r FROM (SELECT s, p, o, ts, epoch_us(te) - epoch_us(ts) AS us, row_number() OVER (PARTITION BY p ORDER BY epoch_us(te) - epoch_us(ts) DESC, s, o, ts) AS r FROM e) WHERE r <= 5"))
     r.add("moving_live_7d", _moving, over("SHIP", "SELECT day, CAST(sum(n) OVER (ORDER BY day RANGE BETWEEN INTERVAL 6 DAY PRECEDING AND CURRENT ROW) AS BIGINT) AS n7 FROM (SELECT ts AS day, count(*) AS n FROM e GROUP BY ts)"))
-    r.add("topk_longest", _frame("SHIP", lambda e: e.select("s", "p", "o", "ts", us).orderBy(F.desc("us"), "s", "p", "o", "ts").limit(20)), over("SHIP", "SELECT s, p, o, ts, epoch_us(te) - epoch_us(ts) AS us FROM e ORDER BY us DESC, s, p, o, ts LIMIT 20"))
+    r.add("topk_longest", _frame("SHIP", lambda e: e.select("s", "p", "o", "ts", _us()).orderBy(F.desc("us"), "s", "p", "o", "ts").limit(20)), over("SHIP", "SELECT s, p, o, ts, epoch_us(te) - epoch_us(ts) AS us FROM e ORDER BY us DESC, s, p, o, ts LIMIT 20"))
     r.add("rank_functions", _frame("MONO", lambda e: e.groupBy("s").agg(F.count(F.lit(1)).alias("n")).select("s", "n", F.dense_rank().over(Window.orderBy(F.desc("n"))).alias("dr"), F.rank().over(Window.orderBy(F.desc("n"))).alias("rk"), F.ntile(4).over(Window.orderBy(F.desc("n"), "s")).alias("tile"))), over("MONO", "SELECT s, n, CAST(dense_rank() OVER (ORDER BY n DESC) AS INT) AS dr, CAST(rank() OVER (ORDER BY n DESC) AS INT) AS rk, CAST(ntile(4) OVER (ORDER BY n DESC, s) AS INT) AS tile FROM (SELECT s, count(*) AS n FROM e GROUP BY s)"))
 
 
@@ -146,8 +152,7 @@ def _moving(spark, d):
 def _scalars(r: Registry) -> None:
     r.add("fn_string", _frame("TRIP10", lambda e: e.select(F.upper("s").alias("u"), F.substring("s", 2, 9).alias("d"), F.concat("s", F.lit("-"), "o").alias("c"), F.regexp_extract("p", "([0-9]+)", 1).alias("x")).distinct()), over("TRIP10", "SELECT DISTINCT upper(s) AS u, substr(s, 2) AS d, s||'-'||o AS c, regexp_extract(p, '([0-9]+)', 1) AS x FROM e"))
     r.add("fn_date", _frame("SHIP", lambda e: e.select(F.year("ts").alias("y"), F.month("ts").alias("m"), F.datediff("te", "ts").alias("days"), F.date_trunc("month", "ts").cast("timestamp_ntz").alias("first")).groupBy("y", "m", "first").agg(F.sum("days").cast("long").alias("days"))), over("SHIP", "SELECT CAST(year(ts) AS INT) AS y, CAST(month(ts) AS INT) AS m, CAST(date_trunc('month', ts) AS TIMESTAMP) AS first, CAST(sum(datediff('day', ts, te)) AS BIGINT) AS days FROM e GROUP BY 1, 2, 3"))
-    n = F.substring("s", 2, 9).cast("long")
-    r.add("fn_math", _frame("SHIP", lambda e: e.select(n.alias("n")).distinct().select("n", F.floor(F.log2(F.col("n").cast("double"))).cast("int").alias("lg"), F.pmod(F.col("n"), F.lit(7)).cast("int").alias("md"), F.greatest(F.col("n"), F.lit(50)).alias("g"), F.shiftright("n", 2).alias("sh"), F.bit_count("n").alias("bits"))), over("SHIP", "SELECT n, CAST(floor(log2(n)) AS INT) AS lg, CAST(n % 7 AS INT) AS md, greatest(n, 50) AS g, n >> 2 AS sh, CAST(bit_count(n) AS INT) AS bits FROM (SELECT DISTINCT CAST(substr(s, 2) AS BIGINT) AS n FROM e)"))
+    r.add("fn_math", _frame("SHIP", lambda e: e.select(F.substring("s", 2, 9).cast("long").alias("n")).filter("n > 0").distinct().select("n", F.floor(F.log2(F.col("n").cast("double"))).cast("int").alias("lg"), F.pmod(F.col("n"), F.lit(7)).cast("int").alias("md"), F.greatest(F.col("n"), F.lit(50)).alias("g"), F.shiftright("n", 2).alias("sh"), F.bit_count("n").alias("bits"))), over("SHIP", "SELECT n, CAST(floor(log2(n)) AS INT) AS lg, CAST(n % 7 AS INT) AS md, greatest(n, 50) AS g, n >> 2 AS sh, CAST(bit_count(n) AS INT) AS bits FROM (SELECT DISTINCT CAST(substr(s, 2) AS BIGINT) AS n FROM e WHERE s <> 's0')"))
     r.add("fn_array", _frame("TRIP10", lambda e: e.groupBy("p").agg(F.collect_set("s").alias("a"), F.collect_set("o").alias("b")).select("p", F.size(F.array_intersect("a", "b")).alias("both"), F.element_at(F.array_sort("a"), 1).alias("least"), F.size(F.filter("a", lambda x: x >= "k15")).alias("high"))), over("TRIP10", "SELECT p, CAST(len(list_intersect(a, b)) AS INT) AS both, list_sort(a)[1] AS least, CAST(len(list_filter(a, lambda x: x >= 'k15')) AS INT) AS high FROM (SELECT p, list(DISTINCT s) AS a, list(DISTINCT o) AS b FROM e GROUP BY p)"))
     q = parse("s7 ships_R ?z @t ; ?y ships_A ?z @t")
     r.add("fn_map", lambda s, d: solutions_as_map(solve.solve(q, graph(s, d, "SHIP"), "JF"), ["z", "y"]).select(F.col("solution")["z"].alias("z"), F.col("solution")["y"].alias("y"), F.size(F.map_entries("solution")).alias("n")), _wrapped(q, "SHIP", "SELECT z, y, 2 AS n FROM q"))

@@ -113,7 +113,7 @@ def work(q: PatternQuery, g: TemporalGraph, strategy: str, cells_: int = 16) ->
     """Rows proposed and answers found by the local multiway evaluation, whatever the clock says."""
     q = plan.normalise(q)
     stats = plan.statistics(q, g)
-    return cells.run(q, g, plan.greedy(q, stats, strategy), cells_, work=True).agg(F.sum("proposals").cast("long").alias("proposals"), F.sum("answers").cast("long").alias("answers"))
+    return cells.run(q, g, plan.greedy(q, stats, strategy), cells_, work=True, prune=strategy != "JF").agg(F.sum("proposals").cast("long").alias("proposals"), F.sum("answers").cast("long").alias("answers"))
 
 
 def bound_ratio(q: PatternQuery, g: TemporalGraph, answers: int) -> float:

@@ -74,10 +74,10 @@ def local_tables(table: pa.Table, q: PatternQuery) -> tuple[Tables, np.ndarray]:
     return Tables(q, cols, starts, stops, len(terms)), terms
 
 
-def _kernel(q: PatternQuery, order: list[str], names: list[str], span: tuple[int, int], work: bool):
+def _kernel(q: PatternQuery, order: list[str], names: list[str], span: tuple[int, int], work: bool, prune: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables, terms = local_tables(pa.Table.from_batches(list(batches)), q)
-        rows, n = tables.solve(order)
+        rows, n = tables.solve(order, prune)
         keep = narrow(rows, q, _micros, span) if n else np.zeros(0, bool)
         got = {k: c[keep] for k, c in rows.items()} if n else {}
         size = int(keep.sum())
@@ -90,7 +90,7 @@ def _kernel(q: PatternQuery, order: list[str], names: list[str], span: tuple[int
     return run
 
 
-def run(q: PatternQuery, g: TemporalGraph, order: list[str], cells: int = 16, work: bool = False) -> DataFrame:
+def run(q: PatternQuery, g: TemporalGraph, order: list[str], cells: int = 16, work: bool = False, prune: bool = True) -> DataFrame:
     """Solutions by one replicated shuffle. A result's join variables name its cell, so none is found twice.
 
     Each cell holds about rows * copies / cells edges and is solved in memory; ``cells`` should grow with the data.
@@ -104,7 +104,7 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], cells: int = 16, wo
         r = g.frame.agg(F.min("ts"), F.max("te")).first()
         span = (_micros(r[0]), _micros(r[1])) if r[0] is not None else (0, 0)
     schema = "proposals long, answers long" if work else ", ".join([f"`{v}` string" for v in q.nodes] + [f"`{c}` long" for c in times])
-    out = dealt(q, g, h).groupBy("cell").applyInArrow(_kernel(q, order, names, span, work), schema)
+    out = dealt(q, g, h).groupBy("cell").applyInArrow(_kernel(q, order, names, span, work, prune), schema)
     if work or g.whole:
         return out
     return out.withColumns({c: F.timestamp_micros(c).cast(g.time_type) for c in times})

@@ -52,12 +52,12 @@ def step(rows: DataFrame | None, parts: dict[int, DataFrame], q: PatternQuery, v
     return out
 
 
-def run(q: PatternQuery, g: TemporalGraph, order: list[str]) -> DataFrame:
-    """Solutions, one row for each combination of edges. Intervals join as soon as a pattern's nodes are bound, or at the end if the order has its time there."""
+def run(q: PatternQuery, g: TemporalGraph, order: list[str], prune: bool = True) -> DataFrame:
+    """Solutions, one row for each combination of edges. Intervals join as soon as a pattern's nodes are bound, or, without ``prune``, at the end if the order has its time there."""
     parts = {i: scan(q, i, g) for i in range(len(q.patterns))}
     nodes = [v for v in order if v in q.nodes]
     last = max([order.index(v) for v in nodes], default=-1)
-    late = {t for t in q.times if t in order and order.index(t) > last}
+    late = set() if prune else {t for t in q.times if t in order and order.index(t) > last}
     rows, bound, closed = None, [], []
 
     def close(rows: DataFrame | None, i: int) -> DataFrame:

@@ -138,11 +138,11 @@ class Tables:
             return rows, int(keep.sum())
         return rows, len(row)
 
-    def solve(self, order: list[str]) -> tuple[dict[str, np.ndarray], int]:
+    def solve(self, order: list[str], prune: bool = True) -> tuple[dict[str, np.ndarray], int]:
         """All solutions, a row for each combination of edges; time variables narrow as early as the order has them."""
         rows: dict[str, np.ndarray] = {}
         n, nodes, open_ = 1, [v for v in order if v in self.q.nodes], set(range(len(self.q.patterns)))
-        late = {t for t in self.q.times if t in order and order.index(t) > max([order.index(v) for v in nodes], default=-1)}
+        late = set() if prune else {t for t in self.q.times if t in order and order.index(t) > max([order.index(v) for v in nodes], default=-1)}
         for v in nodes:
             rows, n = self.bind(rows, n, v)
             for i in sorted(open_):

@@ -74,7 +74,7 @@ def asof(left: DataFrame, right: DataFrame, on: list[str], at: str, stamp: str,
     l = left.withColumn("__b", bucket_of(F.col(at), bounds, kind))  # noqa: E741
     r = right.select(*on, F.col(stamp), bucket_of(F.col(stamp), bounds, kind).alias("__b"))
     last = r.groupBy(*on, "__b").agg(F.max(stamp).alias("__last"))
-    grid = last.select(*on, F.explode(F.sequence(F.col("__b") + 1, F.lit(len(bounds)))).alias("__b"), "__last").filter(F.col("__b") <= len(bounds)).groupBy(*on, "__b").agg(F.max("__last").alias("__carry"))
+    grid = last.filter(F.col("__b") < len(bounds)).select(*on, F.explode(F.sequence(F.col("__b") + 1, F.lit(len(bounds)))).alias("__b"), "__last").groupBy(*on, "__b").agg(F.max("__last").alias("__carry"))
     rows = l.select("*", F.col(at).alias("__at"), F.lit(None).cast(right.schema[stamp].dataType).alias("__stamp"), F.lit(1).alias("__left"))
     marks = r.select(*[F.col(c) if c in (*on, "__b") else F.lit(None).cast(l.schema[c].dataType).alias(c) for c in l.columns], F.col(stamp).alias("__at"), F.col(stamp).alias("__stamp"), F.lit(0).alias("__left"))
     w = Window.partitionBy(*on, "__b").orderBy("__at", "__left").rowsBetween(Window.unboundedPreceding, 0)

@@ -45,12 +45,12 @@ def finish(df: DataFrame, q: PatternQuery, g: TemporalGraph) -> DataFrame:
     return df.select(*q.nodes, *[c for t in q.times for c in ends(t)])
 
 
-def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16, hint: str | None = None) -> DataFrame:
+def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16, hint: str | None = None, prune: bool = True) -> DataFrame:
     """Solutions, one row for each combination of edges.
 
     A time variable that the order binds before a pattern's last node variable makes that pattern's join an
-    overlap join; one bound first of all cuts the time axis into buckets, which lead every join key. A time
-    variable at the end leaves overlap to the last step.
+    overlap join; one bound first of all cuts the time axis into buckets, which lead every join key. With a time
+    variable at the end, ``prune`` still tests overlap in every join; without it (strict join-first) overlap is left to the last step.
     """
     at = time_position(q, order)
     first = [t for t in q.times if at[t] == 0 and any(p.t == TimeVar(t) for p in q.patterns)]
@@ -76,7 +76,7 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16,
             peers = [j for j in seen if seen[j] == t and isinstance(t, TimeVar)]
             if mine and any(seen[j] == t for j in seen):
                 on = on & (F.col(f"__b{peers[0]}") == F.col(f"__b{i}"))
-            early = isinstance(t, TimeVar) and at[t.name] < len(q.nodes)
+            early = isinstance(t, TimeVar) and (prune or at[t.name] < len(q.nodes))
             if early or (isinstance(t, TimeVar) and not shared):
                 for j in peers:
                     on = on & (F.col(f"__ts{j}") < F.col(f"__te{i}")) & (F.col(f"__ts{i}") < F.col(f"__te{j}"))

@@ -43,16 +43,17 @@ def solve(q: PatternQuery | str, g: TemporalGraph, strategy: str = "LC", route:
         else:
             flat = [plan.PatternStats(1, {v: 1 for v in p.variables}, 1.0, 1) for p in q.patterns]
             order = plan.greedy(q, flat, strategy)
+    prune = strategy != "JF"
     if strategy == "TF" and len(q.times) > 1 and route == "pairwise":
         raise ValueError("time-first with several time variables costs the product of their timelines")
     if route == "auto":
         route = "generic" if cyclic(q) and len(q.patterns) > 3 else "pairwise"
     if route == "pairwise":
-        out = pairwise.run(q, g, order, buckets)
+        out = pairwise.run(q, g, order, buckets, prune=prune)
     elif route == "generic":
-        out = generic.run(q, g, order)
+        out = generic.run(q, g, order, prune)
     elif route == "cells":
-        out = cells.run(q, g, order, cells_)
+        out = cells.run(q, g, order, cells_, prune=prune)
     elif route == "sweep":
         out = baselines.sweep(q, g, buckets=buckets)
     elif route == "expanded":

@@ -107,6 +107,8 @@ def pattern_sql(q: PatternQuery, name: str, mode: str = "times", source: str = "
         if mode == "times":
             if isinstance(p.t, TimeVar):
                 a, b = ends.setdefault(p.t.name, ([], []))
+                for start, stop in zip(a, b, strict=True):  # pairwise overlap follows from the common range; it lets joins prune
+                    where.append(f"a{i}.ts < {stop} AND {start} < a{i}.te")
                 a.append(f"a{i}.ts")
                 b.append(f"a{i}.te")
             else:

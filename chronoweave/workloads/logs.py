@@ -19,8 +19,8 @@ KG_LOG = [
     "?x ships_N p3 @t ; ?y ships_N p3 @t",
     "?x ships_R ?p @t ; ?p sold_to ?c @t ; ?x in_nation ?n @t ; ?c in_nation ?n @t ; ?n in_region r1 @t",
     "p5 ?l ?z @t",
-    "s1 ships_A ?p @t ; s2 ships_A ?q @t ; ?p sold_to ?c @t ; ?q sold_to ?c @t",
-    "?x ?l s1 @t ; s1 in_nation ?n @t",
+    "s1 ?l ?p @t ; ?p sold_to ?c @t ; ?c in_segment ?g @t",
+    "?x ?l p1 @t ; ?x in_nation ?n @t",
 ]
 KGT_LOG = [
     "s5 ships_R ?p @t ; ?p sold_to ?c @t",
