@@ -35,12 +35,13 @@ SEGMENT_SCHEMA = "task int, seq int, ids_before long, n_ids long, doc_ids binary
 def pack_block(ids: np.ndarray) -> bytes:
     low = int(ids.min())
     rest = (ids.astype(np.int64) - low).astype(np.uint32)
-    widths = {int(v).bit_length() for v in np.percentile(rest, PERCENTILES, method="higher")}
     n = len(ids)
-    width = min(widths, key=lambda w: (n * w + 7) // 8 + 6 * int((rest >> np.uint32(w)).astype(bool).sum() if w < 32 else 0))
+    ranked = np.sort(rest)
+    widths = {int(ranked[min(n - 1, n * q // 100)]).bit_length() for q in PERCENTILES}
+    width = min(widths, key=lambda w: (n * w + 7) // 8 + 6 * (n - int(np.searchsorted(ranked, 1 << w))))
     over = np.flatnonzero(rest >> np.uint32(width)) if width < 32 else np.zeros(0, np.int64)
     head = np.array([n], "<u2").tobytes() + bytes([width]) + np.array([len(over)], "<u2").tobytes() + np.array([low], "<u4").tobytes()
-    bits = ((rest[:, None] >> np.arange(width, dtype=np.uint32)) & 1).astype(np.uint8) if width else np.zeros((n, 0), np.uint8)
+    bits = np.unpackbits(rest.astype("<u4").view(np.uint8).reshape(n, 4), axis=1, bitorder="little")[:, :width]
     high = (rest[over] >> np.uint32(width)).astype("<u4") if width < 32 else np.zeros(0, "<u4")
     return head + np.packbits(bits, bitorder="little").tobytes() + over.astype("<u2").tobytes() + high.tobytes()
 
@@ -77,11 +78,16 @@ def unpack(index: bytes, payload: bytes, lo: int = 0, hi: int | None = None) ->
     return out[lo - first * BLOCK : None if hi is None else hi - first * BLOCK]
 
 
+#: A space behind one of these does not begin a piece (white space other than the space itself; fixed values).
+_TAILS = [c + " " for c in "\n\t\r\x0b\x0c\x85\xa0\u1680\u2028\u2029\u202f\u205f\u3000" + "".join(map(chr, range(0x2000, 0x200B)))]
+
+
 class WordEncoder:
     """Encodes through the tokenizers library, in chunks cut where a piece of its split always begins.
 
-    A single space between two non-space characters always begins a piece, so a text is encoded chunk by chunk;
-    chunks met before come from a cache, the others of a batch go to the library together.
+    A space behind a non-space character always begins a piece, so a text is encoded chunk by chunk. Chunks met
+    before come from a cache; of the others, what is left when closing punctuation and single line ends are cut off
+    (which are pieces of their own) goes to the library, all of a batch together.
     """
 
     def __init__(self, path: str, cache_size: int = 1 << 20) -> None:
@@ -90,21 +96,54 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.limit, self.cache = cache_size, {}
+        self.line_end = self.tokenizer.encode("\n", add_special_tokens=False).ids[0]
 
     @staticmethod
     def chunks(text: str) -> list[str]:
         parts = text.split(" ")
         out = [parts[0]]
-        if all(parts) and not any(map(str.isspace, {p[0] for p in parts} | {p[-1] for p in parts})):
+        if "" not in parts and not any(t in text for t in (_TAILS[:5] if text.isascii() else _TAILS)):
             out += [" " + p for p in parts[1:]]
             return out
         for before, p in zip(parts, parts[1:]):
-            if p and before and not p[0].isspace() and not before[-1].isspace():
+            if before and before + " " not in _TAILS and before[-1] + " " not in _TAILS:
                 out.append(" " + p)
             else:
                 out[-1] += " " + p
         return out
 
+    @staticmethod
+    def parts(chunk: str) -> list[str]:
+        """Cuts before a closing full stop or comma behind a letter or digit, and around a line end between non-spaces."""
+        tail = []
+        if len(chunk) > 1 and chunk[-1] in ".," and chunk[-2].isalpha():
+            chunk, tail = chunk[:-1], [chunk[-1]]
+        if "\n" in chunk:
+            a, b = chunk.split("\n", 1)
+            if a.strip() and b and not a[-1].isspace() and not b[0].isspace():
+                return [*WordEncoder.parts(a), "\n", *WordEncoder.parts(b), *tail]
+        return [chunk, *tail]
+
+    def _encoded(self, chunks: list[str], together: int = 256) -> dict[str, bytes]:
+        """Ids of chunks as bytes. Plain ones go to the library many at a time with line ends between, which are
+        always a token of their own there; chunks with other white space go one by one."""
+        plain, odd = [], []
+        for c in chunks:
+            (plain if not c[-1].isspace() and not c[1:2].isspace() and (c[0] == " " or not c[0].isspace()) and "\n" not in c else odd).append(c)
+        out: dict[str, bytes] = {}
+        groups = [plain[a : a + together] for a in range(0, len(plain), together)]
+        for group, e in zip(groups, self.tokenizer.encode_batch_fast(["\n".join(g) for g in groups], add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, "<u4")
+            cut = np.flatnonzero(ids == self.line_end)
+            if len(cut) != len(group) - 1:
+                odd += group
+                continue
+            raw, ends = ids.tobytes(), [*(4 * cut).tolist(), 4 * len(ids)]
+            out.update(zip(group, (raw[a:b] for a, b in zip([0, *(x + 4 for x in ends[:-1])], ends, strict=True)), strict=True))
+        for c, e in zip(odd, self.tokenizer.encode_batch_fast(odd, add_special_tokens=False), strict=True):
+            out[c] = np.array(e.ids, "<u4").tobytes()
+        return out
+
     def encode(self, texts: list[str | None]) -> list[np.ndarray]:
         from itertools import chain
 
@@ -112,12 +151,14 @@ class WordEncoder:
         if len(self.cache) > self.limit:
             self.cache.clear()
         cache = self.cache
-        new = list({c for cs in cut for c in cs if c not in cache})
-        for a in range(0, len(new), 20_000):
-            for c, e in zip(new[a : a + 20_000], self.tokenizer.encode_batch_fast(new[a : a + 20_000], add_special_tokens=False), strict=True):
-                cache[c] = e.ids
+        fresh = {c: self.parts(c) for c in set(chain.from_iterable(cut)).difference(cache)}
+        new = list(set(chain.from_iterable(fresh.values())).difference(cache))
+        cache.update(self._encoded(new))
         get = cache.__getitem__
-        out = [np.fromiter(chain.from_iterable(map(get, cs)), np.uint32) for cs in cut]
+        for c, ps in fresh.items():
+            if len(ps) > 1:
+                cache[c] = b"".join(map(get, ps))
+        out = [np.frombuffer(b"".join(map(get, cs)), "<u4") for cs in cut]
         for c in new:
             if len(c) > 256:
                 del cache[c]
