@@ -8,9 +8,11 @@ is missed with probability 2e-7, more similar ones far less.
 No bucket is expanded into all its pairs. In each round every bucket ties its members to one representative;
 pairs whose one-byte signatures speak clearly against the link are dropped, the others are confirmed on the
 full sets, and components are formed. Buckets whose members are all in one component are done. The documents of
-the other buckets get a second set of sharper keys, 400 choices of 12 signature places (a pair of similarity 0.8
-shares 26 of them on average, one of 0.35 hardly any), and all pairs of different components that share such a key
-and that no round has looked at are confirmed, so links between components are found whatever the representatives were.
+the other buckets are compared across components by their rarest shingles: in one common order of rarity two linked
+sets share a shingle within the first places of both, and all pairs of different components that do, early enough
+for the rest to reach the similarity, are confirmed. That step is exact for any order; rarity only makes it selective,
+as the shingles of a large group of alike texts come last. So links between components are found whatever the
+representatives were.
 
 Defined results: null, empty and blank texts have an empty set and are linked with nothing; a text of fewer
 words than a shingle is one shingle; rows of equal doc_id are one document with the union of nothing: the
@@ -104,22 +106,42 @@ def sketches(docs: DataFrame, words: int, bands: int, rows: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id is not null").mapInArrow(_sketch(words, bands, rows), "doc_id long, n_shingles long, set_hash binary, sig binary, bands array<long>")
 
 
-def _joint(hashes: int, keys: int, width: int):
-    """Second-level keys: fixed random choices of ``width`` signature places, each with the bytes found there."""
-    pick = np.argsort(np.random.default_rng(2).random((keys, hashes)), axis=1)[:, :width]
+def _loads(words: int, bits: int):
+    """How many sets of the task hold a shingle of each of ``2**bits`` hash bins."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cache, loads = WordHash(), np.zeros(1 << bits, np.int64)
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                part = batch.slice(at, 512)
-                x = np.frombuffer(b"".join(part.column(3).to_pylist()), np.uint8).reshape(part.num_rows, -1)
-                key = np.tile(np.arange(1, keys + 1, dtype=np.uint64) * _M2, (part.num_rows, 1))
-                for j in range(width):
-                    key = (key ^ (key >> np.uint64(31))) * _M1 + x[:, pick[:, j]].astype(np.uint64)
-                key ^= key >> np.uint64(29)
-                n = part.num_rows
-                cols = [pa.array(np.repeat(part.column(i).to_numpy(), keys), pa.int64()) for i in range(3)]
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(key.view(np.int64).reshape(n * keys), pa.int64())], ["doc_id", "n_shingles", "comp", "band"])
+            for at in range(0, batch.num_rows, 256):
+                for t in batch.column(0).slice(at, 256).to_pylist():
+                    np.add.at(loads, (shingle_set(t, words, cache) >> np.uint64(64 - bits)).astype(np.int64), 1)
+        held = np.flatnonzero(loads)
+        yield pa.RecordBatch.from_arrays([pa.array(held, pa.int64()), pa.array(loads[held], pa.int64())], ["bin", "load"])
+
+    return run
+
+
+def _prefixes(words: int, per_cent: int, bits: int, levels: bytes):
+    """The rarest shingles of each set, as many as can hold the first one shared with a linked set, with their places.
+
+    All sets are ordered in one way: by the level of the shingle's bin, then by its hash. Two linked sets share a
+    shingle so early in both that enough others can follow; where the first shared one is later there is no link.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cache, level = WordHash(), np.frombuffer(levels, np.uint8)
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 256):
+                part = batch.slice(lo, 256)
+                cols: list[list] = [[], [], [], [], []]
+                for doc, comp, text in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
+                    s = shingle_set(text, words, cache)
+                    s = s[np.lexsort((s, level[(s >> np.uint64(64 - bits)).astype(np.int64)]))]
+                    n = len(s)
+                    k = n - -(-per_cent * n // 100) + 1
+                    for c, v in zip(cols, (np.full(k, doc), np.full(k, comp), np.full(k, n), s[:k].view(np.int64), np.arange(k)), strict=True):
+                        c.append(v)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), pa.int64()) for c in cols], ["doc_id", "comp", "n_shingles", "band", "place"])
 
     return run
 
@@ -154,8 +176,11 @@ def _confirm(words: int, per_cent: int):
     return run
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands: int = 50, rows: int = 6, rounds: int = 3, keys: int = 400, width: int = 12) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept): each document's class by links of at least ``per_cent`` similarity."""
+def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands: int = 50, rows: int = 6, rounds: int = 3, order_bits: int = 20) -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept): each document's class by links of at least ``per_cent`` similarity.
+
+    The driver gets one number for each of the ``2**order_bits`` hash bins that order shingles by rarity, whatever the data.
+    """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id is not null")
     sk = stored(sketches(docs, words, bands, rows), "nd-sketches")
     ident = sk.groupBy("set_hash", "n_shingles").agg(F.min("doc_id").alias("rep"))
@@ -186,12 +211,20 @@ def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands:
             at = live.join(head, "band").filter((F.col("comp") != F.col("h.comp")) & fits(F.col("n_shingles"), F.col("h.n_shingles")))
             pairs = at.select(F.least("doc_id", "h.doc_id").alias("a"), F.greatest("doc_id", "h.doc_id").alias("b"))
         else:
-            single = live.select("doc_id", "n_shingles", "comp").distinct().join(sig, "doc_id").select("doc_id", "n_shingles", "comp", "sig")
-            keyed = single.mapInArrow(_joint(bands * rows, keys, width), "doc_id long, n_shingles long, comp long, band long")
+            single = live.select("doc_id", "comp").distinct().join(text, "doc_id").select("doc_id", "comp", "text")
+            single = stored(single, "nd-open")
+            load = single.select("text").mapInArrow(_loads(words, order_bits), "bin long, load long").groupBy("bin").agg(F.sum("load").alias("n"))
+            levels = np.zeros(1 << order_bits, np.uint8)
+            for bin_, level in load.select("bin", F.least(F.lit(255), F.round(8 * F.log2("n")) + 1).cast("int")).toLocalIterator():
+                levels[bin_] = level
+            keyed = single.mapInArrow(_prefixes(words, per_cent, order_bits, levels.tobytes()), "doc_id long, comp long, n_shingles long, band long, place long")
+            keyed = stored(keyed, "nd-prefixes")
             mixed = keyed.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("band")
             live = stored(keyed.join(mixed, "band", "left_semi"), "nd-joint")
             x, y = live.alias("x"), live.alias("y")
-            on = (F.col("x.band") == F.col("y.band")) & (F.col("x.doc_id") < F.col("y.doc_id")) & (F.col("x.comp") != F.col("y.comp")) & fits(F.col("x.n_shingles"), F.col("y.n_shingles"))
+            follow = F.least(F.col("x.n_shingles") - F.col("x.place"), F.col("y.n_shingles") - F.col("y.place"))
+            reach = (100 + per_cent) * follow >= per_cent * (F.col("x.n_shingles") + F.col("y.n_shingles"))
+            on = (F.col("x.band") == F.col("y.band")) & (F.col("x.doc_id") < F.col("y.doc_id")) & (F.col("x.comp") != F.col("y.comp")) & reach
             pairs = x.join(y, on).select(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b"))
         pairs = pairs.distinct()
         pairs = stored(pairs.join(tried, ["a", "b"], "left_anti") if tried is not None else pairs, "nd-pairs")
