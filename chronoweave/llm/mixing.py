@@ -62,8 +62,8 @@ def plan_mix(per_source: list[tuple], weights_cycle: tuple[float, ...] = (3.0, 1
 def source_schedule(spark: SparkSession, targets: list[int], block: int) -> DataFrame:
     """Slots (k, src, rank): golden-ratio points mapped through the cumulative targets.
 
-    Each source gets exactly ceil(target / block) slots: the first of its points. The point set is long enough
-    for that, as the golden-ratio sequence misses an interval's share by far less than the margin.
+    Each source gets exactly ceil(target / block) slots: the first of its points. A source whose share is so small
+    that the points fall short of it gets the slots it lacks behind the last point.
     """
     total = sum(targets)
     if total <= 0:
@@ -82,7 +82,13 @@ def source_schedule(spark: SparkSession, targets: list[int], block: int) -> Data
     slots = spark.range(points).select(k.alias("k"), x.alias("x")).withColumn("src", F.size(F.filter(bounds, lambda e: e <= F.col("x"))))
     ranked = running(slots.drop("x"), ["src"], ["k"], F.floor(F.col("k") / _SLOT_CHUNK), {}, "rank")
     needs = F.array(*[F.lit(int(n)).cast("long") for n in need])
-    return ranked.filter(F.col("rank") < needs[F.col("src")]).select("k", "src", "rank")
+    before = [sum(need[:i]) for i in range(len(need))]
+    wanted = spark.createDataFrame(list(zip(range(len(need)), need, before, strict=True)), "i int, need long, before long").filter("need > 0")
+    counts = slots.groupBy("src").agg(F.count(F.lit(1)).alias("got"))
+    short = wanted.join(counts, F.col("i") == F.col("src"), "left").withColumn("got", F.coalesce("got", F.lit(0))).filter("got < need")
+    lacking = short.select(F.col("before"), F.col("i").alias("src"), F.explode(F.sequence("got", F.col("need") - 1)).alias("rank"))
+    lacking = lacking.select((points + F.col("before") + F.col("rank")).alias("k"), "src", "rank")
+    return ranked.filter(F.col("rank") < needs[F.col("src")]).select("k", "src", "rank").union(lacking)
 
 
 def mix(docs: DataFrame, block: int = 4096, seed: int = 17, share: float = 1.5, cap: float = 2.0, weights: tuple[float, ...] = (3.0, 1.0, 2.0), size: Column | None = None) -> tuple[DataFrame, MixPlan]:

@@ -53,6 +53,16 @@ def test_capped_targets_share_the_excess():
     assert t[0] == 200 and t[1] == 20 and abs(sum(t) - 1665) < 1e-9 and t[2] <= 2000
 
 
+def test_tiny_sources_get_their_slots(spark):
+    for targets in ([30_000_000, 15_000_000, 200], [3_000_000, 7, 0, 1_500_000, 5]):
+        rows = mixing.source_schedule(spark, targets, 4096).collect()
+        ranks = {}
+        for r in sorted(rows, key=lambda r: r["k"]):
+            ranks.setdefault(r["src"], []).append(r["rank"])
+        assert ranks == {i: list(range(-(-t // 4096))) for i, t in enumerate(targets) if t}
+        assert len({r["k"] for r in rows}) == len(rows)
+
+
 def test_token_files_round_trip(spark):
     rows = corpus(2)
     path = scratch(spark, "test-tokens")
