@@ -1,7 +1,8 @@
 """Personal data by weak supervision; DataFrame operations only.
 
 Strict patterns give base spans, which always stay. Looser patterns give candidates (spelled-out addresses,
-phone numbers without a country sign, labelled secrets). Labelers vote on every candidate and base span: the
+phone numbers without a country sign that are no part of a longer number, labelled secrets of any length in
+single or double quotes). Labelers vote on every candidate and base span: the
 strict pattern, a gazetteer of kind words and endings, the words before the span, and the span's own shape; each says yes, no or
 nothing. Expectation-maximisation over the counts of vote patterns estimates each labeler's reliability for each
 class without labels; its posteriors then train the final classifier, a logistic model over votes and kind,
@@ -33,8 +34,8 @@ BASE = {
 }
 LOOSE = {
     "email_spelled": ("text rlike '[\\\\[(]at[\\\\])]'", r"[A-Za-z0-9._%+-]++ ?[\[(]at[\])] ?[A-Za-z0-9-]++(?:(?:\.| ?[\[(]dot[\])] ?)[A-Za-z0-9-]++)++"),
-    "phone_local": ("text rlike '[0-9]{3}[ .-][0-9]{4}'", r"(?<![0-9.+() -])\(?[0-9]{3}\)?[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9.-])"),
-    "secret": ("text rlike '[=:] *\"'", r"(?i:token|secret|password|api_?key) *[=:] *\"[^\"\s]{8,128}\""),
+    "phone_local": ("text rlike '[0-9]{3}[ .-][0-9]{4}'", r"(?<![0-9]|[0-9][ .()-]|[0-9]\)[ .-]|[0-9][ .-]\()(?:\([0-9]{3}\)[ .-]?|[0-9]{3}\)?[ .-])[0-9]{3}[ .-][0-9]{4}(?![0-9]|[.-][0-9])"),
+    "secret": ("text rlike '[=:] *[\"\\']'", r"(?i:token|secret|password|api_?key) *[=:] *(?:\"[^\"\s]{8,}+\"|'[^'\s]{8,}+')"),
 }
 KINDS = [*BASE, *LOOSE]
 #: Words that speak for a kind when they stand shortly before a span, and endings or parts of the span itself.

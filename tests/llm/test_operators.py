@@ -152,6 +152,26 @@ def test_base_spans_match_the_plain_patterns(spark):
     assert clean == {1: "é mail <email> or <phone>.", 2: None}
 
 
+def test_candidates_in_running_text(spark):
+    long = "a1" * 100
+    phone, secret = pii.KINDS.index("phone_local"), pii.KINDS.index("secret")
+    texts = {
+        "call 555-123-4567 now": [(phone, "555-123-4567")],
+        "call (415) 555-0134": [(phone, "(415) 555-0134")],
+        "(tel 415.555.0134), or (555-123-4567).": [(phone, "415.555.0134"), (phone, "555-123-4567")],
+        "Moved in 2019. 555-123-4567 is new": [(phone, "555-123-4567")],
+        "fax: (415)555-0134, 415 555 0135.": [(phone, "(415)555-0134"), (phone, "415 555 0135")],
+        "12555-123-4567 1 (415) 555-0134 1(415) 555-0134 9-555-123-4567 555-123-4567-8 555-123-45678": [],
+        f'token = "{long}" and password: \'{long}\'': [(secret, f'token = "{long}"'), (secret, f"password: '{long}'")],
+        'token="' * 5000: [],
+    }
+    rows = [(i, t, None, None, 1) for i, t in enumerate(texts)]
+    got = {r["doc_id"]: [(x["k"], rows[r["doc_id"]][1][x["s"] : x["e"]]) for x in r["every"]] for r in pii.spans_of(frame(spark, rows)).collect()}
+    assert got == dict(enumerate(texts.values()))
+    clean = pii.redact(frame(spark, [(1, "call 555-123-4567 now or +1 (415) 555-0134", None, None, 1)]), [f"{phone}:-111"]).first()["text"]
+    assert clean == "call <phone_local> now or <phone>"
+
+
 def test_language_models_hold_out(spark):
     rng = random.Random(4)
     sounds = {"en": ["the", "ing", "th", "er"], "de": ["sch", "ung", "ein", "ü"], "fr": ["eau", "oi", "é", "que"]}
