@@ -124,6 +124,39 @@ def test_spans_remove_later_repeats_only(spark):
     assert "word30" not in got[2]["text"] and got[2]["text"].startswith("Other start two.") and got[2]["text"].endswith("Other end two.")
 
 
+def test_spans_of_any_punctuation(spark):
+    rng = random.Random(11)
+    fresh = lambda n: " ".join(f"w{rng.randrange(10**9)}" for _ in range(n))
+    bare, one = fresh(51), f"{fresh(20)}; {fresh(31)}."
+    tail = f"{fresh(9)}. {fresh(9)}. {fresh(30)}. {fresh(4)}. {fresh(3)}."
+    rows, want = [], {}
+    for k, passage in enumerate((bare, one, bare.upper().replace(" ", " \u3002 "), tail)):
+        for j, (a, b) in enumerate((("", ""), ("Own start one. ", " Own end."), (fresh(6) + " ", " " + fresh(6) + "."))):
+            rows.append((10 * k + j, a + passage + b, None, None, 1))
+            want[10 * k + j] = (a + b.lstrip() if j else passage).strip()
+    rows.append((90, f"{fresh(12)} {' '.join(bare.split()[:24])} {fresh(12)}", None, None, 1))
+    want[90] = rows[-1][1]
+    got = {r["doc_id"]: (r["text"].strip(), r["n_removed"] > 0) for r in spans.deduplicate(frame(spark, rows)).collect()}
+    assert got == {i: (t, i % 10 > 0) for i, t in want.items()}
+    assert spans.deduplicate(frame(spark, [])).count() == 0
+
+
+def test_spans_against_all_windows(spark):
+    rows = corpus(9, 60)
+    seen, want = {}, {}
+    for i, t, *_ in sorted(rows, key=lambda r: r[0]):
+        w = (t or "").split()
+        want[i] = [k for k in range(len(w) - 24) if seen.setdefault(tuple(w[k : k + 25]), (i, k)) != (i, k)]
+    got = {r["doc_id"]: r for r in spans.deduplicate(frame(spark, rows)).collect()}
+    for i, t, *_ in rows:
+        assert (got[i]["n_removed"] > 0) == bool(want[i])
+        if want[i]:
+            begin, out, _ = spans.removed(t, want[i], 25)
+            assert got[i]["text"].split() == [w for w, o in zip(t.split(), out, strict=True) if not o]
+        else:
+            assert got[i]["text"] == t
+
+
 def luhn(digits):
     return sum(int(c) if i % 2 == 0 else (int(c) * 2 - 9 if c > "4" else int(c) * 2) for i, c in enumerate(reversed(digits))) % 10 == 0
 
