@@ -221,6 +221,21 @@ def test_language_models_hold_out(spark):
     assert all(r["lang_pred"] == "und" for r in empty)
 
 
+def test_language_models_keep_their_order_when_large(spark):
+    rng = random.Random(8)
+    sounds = {"en": ["the", "ing", "th", "er"], "de": ["sch", "ung", "ein", "ü"], "zh": ["\u4e2d", "\u6587", "\U00020000", "\u5b57"]}
+    rows = [(i, " ".join("".join(rng.choice(sounds[lg]) for _ in range(rng.randint(1, 3))) for _ in range(rng.randint(1, 9))), lg, "a", 1) for i in range(150) for lg in [rng.choice(sorted(sounds))]]
+    rows += [(500, None, "en", "a", 1), (501, "12 !", "en", "a", 1), (502, "qqxx zzyy \u0436\u0436 " * 9, None, "a", 1), (503, "schthe", None, "a", 1), (503, "schthe", None, "a", 1)]
+    df = frame(spark, rows)
+    learn = df.filter("doc_id % 3 > 0")
+    got = []
+    for limit in (8_000_000, 10):
+        out = langid.predict(df, langid.train(learn, max_entries=limit), ["doc_id", "lang"]).collect()
+        got.append(sorted((r["doc_id"], r["lang"] or "", r["lang_pred"], r["rejected"], r["score"]) for r in out))
+    assert [r[:4] for r in got[0]] == [r[:4] for r in got[1]] and any(r[3] for r in got[0]) and not all(r[3] for r in got[0])
+    assert np.allclose([r[4] for r in got[0]], [r[4] for r in got[1]], atol=1e-4)
+
+
 def test_shards_are_even_and_gapless(spark):
     rows = corpus(5, 400)[:-2]
     got = sharding.shard(frame(spark, rows), depth=3).collect()
