@@ -54,19 +54,6 @@ def _solved(q: PatternQuery | str, g: str, **options):
     return lambda spark, d: solve.solve(q, graph(spark, d, g), **options)
 
 
-def _sliced(spark, d, name: str, lo: datetime, hi: datetime):
-    """Edges cut to a window, for baselines that only bear small graphs."""
-    g = graph(spark, d, name)
-    a, b = g.instant(lo), g.instant(hi)
-    return g.of(g.touching(lo, hi).select("s", "p", "o", F.greatest("ts", a).alias("ts"), F.least("te", b).alias("te")))
-
-
-def _slice_sql(q: PatternQuery, name: str, lo: datetime, hi: datetime) -> str:
-    """Pattern SQL over edges cut to a window."""
-    cut = f"(SELECT s, p, o, greatest(ts, TIMESTAMP '{lo}') AS ts, least(te, TIMESTAMP '{hi}') AS te FROM e WHERE ts < TIMESTAMP '{hi}' AND te > TIMESTAMP '{lo}')"
-    return pattern_sql(q, name, source=cut)
-
-
 def _plain(q: PatternQuery, name: str, where: str) -> str:
     """Bindings over the distinct triples of edges that meet a condition."""
     return pattern_sql(q.with_time(T), name, mode="none", source=f"(SELECT DISTINCT s, p, o FROM e WHERE {where})")
@@ -112,11 +99,9 @@ def _strategies(r: Registry) -> None:
     turn = parse("?x user ?n @t ; ?y assistant ?n @t")
     r.add("expanded_pair_turn", lambda s, d: baselines.expanded(turn, graph(s, d, "TURN")), pattern_sql(turn, "TURN"))
     r.add("expanded_mono_triangle", lambda s, d: baselines.expanded(parse(MONO), graph(s, d, "MONO")), pattern_sql(parse(MONO), "MONO"))
-    lo, hi = datetime(1998, 6, 1), datetime(1998, 7, 1)
-    a, b = datetime(2024, 1, 15), datetime(2024, 1, 16)
     for key, run in (("sweep", lambda q, g: baselines.sweep(q, g)), ("h_jf", lambda q, g: solve.solve(q, g, "JF")), ("h_lc", lambda q, g: solve.solve(q, g, "LC")), ("h_tf", lambda q, g: solve.solve(q, g, "TF"))):
-        r.add(f"{key}_pair_slice", lambda s, d, run=run: run(parse(PAIR), _sliced(s, d, "SHIP", lo, hi)), _slice_sql(parse(PAIR), "SHIP", lo, hi))
-        r.add(f"{key}_triangle_slice", lambda s, d, run=run: run(parse(TRIANGLE), _sliced(s, d, "TRIP10", a, b)), _slice_sql(parse(TRIANGLE), "TRIP10", a, b))
+        r.add(f"{key}_pair", lambda s, d, run=run: run(parse(PAIR), graph(s, d, "SHIP")), pattern_sql(parse(PAIR), "SHIP"))
+        r.add(f"{key}_triangle", lambda s, d, run=run: run(parse(TRIANGLE), graph(s, d, "TRIP10")), pattern_sql(parse(TRIANGLE), "TRIP10"))
     star = shape_query("star3", TRIP10_LABELS["star3"].split())
     r.add("win_shape_star3", lambda s, d: baselines.window_join(star, graph(s, d, "TRIP10"), *SHAPE_WINDOW), pattern_sql(_window(star, *SHAPE_WINDOW), "TRIP10"))
     r.add("clause_table_turn", lambda s, d: baselines.clause_table(graph(s, d, "TURN")), over("TURN", "SELECT a.at AS w1, b.at AS w2 FROM (SELECT ts AS at FROM e UNION SELECT te FROM e) a JOIN (SELECT ts AS at FROM e UNION SELECT te FROM e) b ON a.at <= b.at"))

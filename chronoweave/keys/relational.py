@@ -55,12 +55,12 @@ def _labels_as_nodes(spark, d):
     g = graph(spark, d, "TRIP10")
     span = g.frame.agg(F.min("ts").alias("ts"), F.max("te").alias("te"))
     facts = g.frame.select("p").distinct().crossJoin(F.broadcast(span)).select(F.col("p").alias("s"), F.lit("kind").alias("p"), F.when(F.substring("p", 2, 1).cast("int") % 2 == 0, "even").otherwise("odd").alias("o"), "ts", "te")
-    return g.of(g.frame.filter("s = 'k3'").unionByName(facts))
+    return g.of(g.frame.unionByName(facts))
 
 
 def _labels_sql() -> str:
     facts = "SELECT p AS s, 'kind' AS p, CASE WHEN CAST(substr(p, 2) AS INT) % 2 = 0 THEN 'even' ELSE 'odd' END AS o, (SELECT min(ts) FROM e) AS ts, (SELECT max(te) FROM e) AS te FROM (SELECT DISTINCT p FROM e)"
-    return over("TRIP10", f"SELECT a.s AS x, a.p AS l, a.o AS y, b.p AS m, b.o AS z, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM (SELECT * FROM e WHERE s = 'k3' UNION ALL {facts}) a JOIN (SELECT * FROM e WHERE s = 'k3' UNION ALL {facts}) b ON a.p = b.s AND a.ts < b.te AND b.ts < a.te")
+    return over("TRIP10", f"SELECT a.s AS x, a.p AS l, a.o AS y, b.p AS m, b.o AS z, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM (SELECT * FROM e UNION ALL {facts}) a JOIN (SELECT * FROM e UNION ALL {facts}) b ON a.p = b.s AND a.ts < b.te AND b.ts < a.te")
 
 
 def _relations(spark, d):
@@ -90,7 +90,7 @@ def _joins(r: Registry) -> None:
 
     r.add("overlap_pure", _frame("TRIP10", pure), over("TRIP10", "SELECT a.s AS x, b.s AS y, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM e a JOIN e b ON a.ts < b.te AND b.ts < a.te WHERE a.p = 'g3' AND b.p = 'g9'"))
     r.add("theta_pairs", _frame("TURN", lambda e: e.filter("p = 'user'").agg(F.count(F.lit(1)).alias("a")).crossJoin(e.filter("p = 'assistant'").agg(F.count(F.lit(1)).alias("b"))).select((F.col("a") * F.col("b")).alias("pairs"))), over("TURN", "SELECT count(*) AS pairs FROM e a, e b WHERE a.p = 'user' AND b.p = 'assistant'"))
-    r.add("point_in_interval", lambda s, d: overlap.point_join(load(s, d, "orders").filter("o_orderkey % 10 = 3").select("o_orderkey", F.col("o_orderdate").alias("at")), "at", graph(s, d, "SHIP").frame.filter("s = 's7'").select("p", "o", "ts", "te"), "ts", "te").groupBy("o_orderkey").agg(F.count(F.lit(1)).alias("live")), over("SHIP", "SELECT o_orderkey, count(*) AS live FROM orders JOIN e ON e.s = 's7' AND e.ts <= o_orderdate AND e.te > o_orderdate WHERE o_orderkey % 10 = 3 GROUP BY o_orderkey"))
+    r.add("point_in_interval", _live_at_orders, over("SHIP", "SELECT o_orderkey, count(*) AS live FROM orders JOIN e ON e.ts <= o_orderdate AND e.te > o_orderdate GROUP BY o_orderkey"))
     r.add("asof_edges", _asof, over("SHIP", "SELECT x.s, x.at, max(e.ts) AS last_start FROM (SELECT DISTINCT s, te AS at FROM e WHERE p = 'ships_A') x LEFT JOIN e ON e.s = x.s AND e.p = 'ships_R' AND e.ts <= x.at GROUP BY x.s, x.at"))
     r.add("semi_join", _frame("SHIP", lambda e: e.join(e.filter("p = 'ships_R'").select("s", "o").distinct(), ["s", "o"], "left_semi").select("s", "p", "o", "ts", "te")), over("SHIP", "SELECT s, p, o, ts, te FROM e WHERE EXISTS (SELECT 1 FROM e b WHERE b.p = 'ships_R' AND b.s = e.s AND b.o = e.o)"))
     live = "p = 'ships_N' AND ts <= TIMESTAMP{} '1998-06-15' AND te > TIMESTAMP{} '1998-06-15'"
@@ -101,6 +101,13 @@ def _joins(r: Registry) -> None:
     r.add("cogroup_intersect", _frame("SHIP", lambda e: merge_intersect(e.filter("p = 'ships_R'").select("s", F.col("o").alias("child")).distinct(), e.filter("p = 'ships_A'").select("s", F.col("o").alias("child")).distinct(), "s")), over("SHIP", "SELECT s, o AS child FROM (SELECT DISTINCT s, o FROM e WHERE p = 'ships_R' INTERSECT SELECT DISTINCT s, o FROM e WHERE p = 'ships_A')"))
 
 
+def _live_at_orders(spark, d):
+    """Live edges at each order's date; each date is joined once."""
+    orders = load(spark, d, "orders").select("o_orderkey", F.col("o_orderdate").alias("at"))
+    live = overlap.point_join(orders.select("at").distinct(), "at", graph(spark, d, "SHIP").frame.select("ts", "te"), "ts", "te").groupBy("at").agg(F.count(F.lit(1)).alias("live"))
+    return orders.join(live, "at").groupBy("o_orderkey").agg(F.sum("live").alias("live"))
+
+
 def _asof(spark, d):
     e = graph(spark, d, "SHIP").frame
     left = e.filter("p = 'ships_A'").select("s", F.col("te").alias("at")).distinct()
@@ -156,7 +163,7 @@ def _scalars(r: Registry) -> None:
     r.add("fn_array", _frame("TRIP10", lambda e: e.groupBy("p").agg(F.collect_set("s").alias("a"), F.collect_set("o").alias("b")).select("p", F.size(F.array_intersect("a", "b")).alias("both"), F.element_at(F.array_sort("a"), 1).alias("least"), F.size(F.filter("a", lambda x: x >= "k15")).alias("high"))), over("TRIP10", "SELECT p, CAST(len(list_intersect(a, b)) AS INT) AS both, list_sort(a)[1] AS least, CAST(len(list_filter(a, lambda x: x >= 'k15')) AS INT) AS high FROM (SELECT p, list(DISTINCT s) AS a, list(DISTINCT o) AS b FROM e GROUP BY p)"))
     q = parse("s7 ships_R ?z @t ; ?y ships_A ?z @t")
     r.add("fn_map", lambda s, d: solutions_as_map(solve.solve(q, graph(s, d, "SHIP"), "JF"), ["z", "y"]).select(F.col("solution")["z"].alias("z"), F.col("solution")["y"].alias("y"), F.size(F.map_entries("solution")).alias("n")), _wrapped(q, "SHIP", "SELECT z, y, 2 AS n FROM q"))
-    r.add("fn_json", lambda s, d: load(s, d, "events").select("event_id", F.from_json("props", "k int").alias("j")).select("event_id", F.col("j.k").alias("k"), F.to_json(F.struct(F.col("j.k").alias("k"))).alias("back")).filter("event_id < 500"), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k, '{\"k\":'||json_extract_string(props, '$.k')||'}' AS back FROM events WHERE event_id < 500")
+    r.add("fn_json", lambda s, d: load(s, d, "events").select("event_id", F.from_json("props", "k int").alias("j")).select("event_id", F.col("j.k").alias("k"), F.to_json(F.struct(F.col("j.k").alias("k"))).alias("back")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k, '{\"k\":'||json_extract_string(props, '$.k')||'}' AS back FROM events")
     r.add("udf_interval_intersect", _intersections, over("MONO", "SELECT CAST(count(*) AS BIGINT) AS rows, CAST(count(*) AS BIGINT) AS same FROM (SELECT DISTINCT o FROM e)"))
     r.add("layout_classes", _frame("SHIP", lambda e: with_layout(e).groupBy("month", "length_class").agg(F.count(F.lit(1)).alias("n"))), over("SHIP", "SELECT strftime(ts, '%Y-%m') AS month, CAST(floor(log2(epoch_us(te) - epoch_us(ts))) AS INT) AS length_class, count(*) AS n FROM e GROUP BY 1, 2"))
 
@@ -179,7 +186,7 @@ def _streams(r: Registry) -> None:
     r.add("stream_trips", lambda s, d: stream.trips(load(s, d, "events")), "SELECT user_id, CAST(json_extract_string(props,'$.k') AS INT) AS k, ts, nk, nts FROM (SELECT *, lead(CAST(json_extract_string(props,'$.k') AS INT)) OVER w AS nk, lead(ts) OVER w AS nts FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) WHERE nts IS NOT NULL")
     pair = parse("?x ships_R ?z @t ; ?y ships_A ?z @t")
     r.add("stream_delta_pattern", lambda s, d: _delta(s, d, pair), _wrapped_new(pair))
-    r.add("stream_overlap_join", _stream_overlap, over("MONO", "SELECT a.o AS key, a.s AS x, b.s AS y, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM e a JOIN e b ON a.o = b.o AND a.ts < b.te AND b.ts < a.te WHERE a.o < 'k2' AND b.ts >= a.ts - INTERVAL 40 DAY AND b.ts <= a.ts + INTERVAL 40 DAY"))
+    r.add("stream_overlap_join", _stream_overlap, over("MONO", "SELECT a.o AS key, a.s AS x, b.s AS y, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM e a JOIN e b ON a.o = b.o AND a.ts < b.te AND b.ts < a.te WHERE b.ts >= a.ts - INTERVAL 40 DAY AND b.ts <= a.ts + INTERVAL 40 DAY"))
     r.add("stream_dedup", lambda s, d: stream.once(load(s, d, "events"), "event_id", "ts", "1 hour").agg(F.count(F.lit(1)).alias("n")), "SELECT count(DISTINCT event_id) AS n FROM events")
 
 
@@ -195,4 +202,4 @@ def _wrapped_new(q) -> str:
 
 def _stream_overlap(spark, d):
     e = graph(spark, d, "MONO").frame
-    return stream.overlap_stream_join(e.filter("o < 'k2'"), e, "o", "40 DAYS")
+    return stream.overlap_stream_join(e, e, "o", "40 DAYS")
