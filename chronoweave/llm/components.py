@@ -27,7 +27,7 @@ def small_star(edges: DataFrame) -> DataFrame:
     return linked.union(least.select(F.col("n").alias("b"), F.col("m").alias("a"))).filter("a < b").distinct()
 
 
-def components(edges: DataFrame, limit: int = 40) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(id, component): every node that has an edge, with the least id it reaches.
 
     ``edges`` has columns a < b. Ends when a round changes nothing, seen from the edges' count and hash sum;
@@ -35,7 +35,7 @@ def components(edges: DataFrame, limit: int = 40) -> DataFrame:
     """
     edges = stored(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a < b").distinct(), "cc")
     seen = None
-    for _ in range(limit):
+    while True:
         edges = stored(small_star(large_star(edges)), "cc")
         now = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
         if now == seen:
