@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from ..model.graph import TemporalGraph
+from ..model.query import TimeVar, Var, parse
 
 RANGES = ArrayType(StructType([StructField("from", LongType()), StructField("to", LongType())]))
 
@@ -20,6 +21,8 @@ def register(spark: SparkSession, g: TemporalGraph, name: str) -> None:
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION overlaps(a {kind}, b {kind}, c {kind}, d {kind}) RETURNS BOOLEAN RETURN a < d AND c < b")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION valid_at(a {kind}, b {kind}, t {kind}) RETURNS BOOLEAN RETURN a <= t AND t < b")
     spark.udtf.register("seek_children", seek_children)
+    spark.udtf.register("seek_below", seek_below)
+    spark.udtf.register("pattern", pattern)
 
 
 class _Seek:
@@ -43,6 +46,46 @@ class _Seek:
 seek_children = F.udtf(_Seek, returnType="child long")
 
 
+class _SeekBelow(_Seek):
+    """The same for each partition of a table (p, child); the label comes with the answer."""
+
+    def eval(self, row, x: int) -> None:
+        super().eval(row, x)
+        self.p = row["p"]
+
+    def terminate(self):
+        for (child,) in super().terminate():
+            yield self.p, child
+
+
+seek_below = F.udtf(_SeekBelow, returnType="p string, child long")
+
+
+class _Pattern:
+    """The quads and clauses of a pattern in text form, one row each."""
+
+    def eval(self, text: str):
+        q = parse(text)
+        say = lambda x: f"?{x.name}" if isinstance(x, Var) else f"@{x.name}" if isinstance(x, TimeVar) else str(x.value)
+        for i, p in enumerate(q.patterns):
+            yield "quad", i, say(p.s), say(p.p), say(p.o), say(p.t), 0, False
+        for i, c in enumerate(q.clauses):
+            yield "clause", i, say(c.left), None, say(c.right), None, c.offset, c.strict
+
+
+pattern = F.udtf(_Pattern, returnType="kind string, place int, s string, p string, o string, t string, shift long, strict boolean")
+
+
+def solve_view(spark: SparkSession, text: str, view: str, into: str, **options) -> DataFrame:
+    """Solutions of a pattern text over an edge view (s, p, o, ts, te), also as a view of their own for further SQL."""
+    from ..operators.solve import solve
+
+    edges = spark.table(view)
+    out = solve(text, TemporalGraph(edges, edges.schema["ts"].dataType.simpleString()), **options)
+    out.createOrReplaceTempView(into)
+    return out
+
+
 def interval_relation(a: Column, b: Column, c: Column, d: Column) -> Column:
     """Which of the thirteen relations holds between [a, b) and [c, d)."""
     return (

@@ -12,9 +12,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model.graph import TemporalGraph
+from ..model.ranks import running
+from ..model.query import PatternQuery
+from ..plans.order import pick_permutation
 from .bits import UpdateMatrix
 
-MATRIX = "prefix array<long>, shard int, level int, n long, b binary, e binary"
+MATRIX = "prefix array<long>, shard int, level int, n long, b binary, e binary, updates binary"
 
 
 def triples(g: TemporalGraph, order: str) -> DataFrame:
@@ -29,6 +32,12 @@ def quads(g: TemporalGraph, order: str) -> DataFrame:
     return g.frame.repartitionByRange(cols[0], cols[1]).sortWithinPartitions(*cols, "te")
 
 
+def plain(g: TemporalGraph, orders: tuple[str, ...] = ("spo", "pos", "osp")) -> dict[str, DataFrame]:
+    """An index without time: the numbered distinct triples in several orders, as a yardstick for the temporal one's size."""
+    ids = g.encoded().select("s", "p", "o").distinct()
+    return {o: ids.select(*o).repartitionByRange(o[0], o[1]).sortWithinPartitions(*o) for o in orders}
+
+
 def children(g: TemporalGraph, order: str, depth: int) -> DataFrame:
     """Child count of every node at ``depth`` of the trie of distinct triples."""
     cols = list(order)
@@ -48,33 +57,32 @@ def time_level(g: TemporalGraph, prefix: list[str]) -> DataFrame:
     by instant first and takes its running sums in parts of the time axis.
     """
     per = node_events(g, prefix).groupBy(*prefix, "at").agg(F.sum("sign").alias("net"), F.count(F.lit(1)).alias("n"))
-    if not prefix:
-        parts = int(g.frame.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        per = per.repartitionByRange(parts, "at").withColumn("__p", F.spark_partition_id())
-        sums = per.groupBy("__p").agg(F.sum("net").alias("a"), F.sum("n").alias("b"), F.min("at").alias("first"))
-        w = Window.orderBy("__p")
-        past = w.rowsBetween(Window.unboundedPreceding, -1)
-        base = sums.select("__p", F.coalesce(F.sum("a").over(past), F.lit(0)).alias("a"), F.coalesce(F.sum("b").over(past), F.lit(0)).alias("b"), F.lead("first").over(w).alias("next"))
-        inner = Window.partitionBy("__p").orderBy("at")
-        run = inner.rowsBetween(Window.unboundedPreceding, 0)
-        out = per.withColumns({"x": F.sum("net").over(run), "y": F.sum("n").over(run), "z": F.lead("at").over(inner)}).join(F.broadcast(base), "__p")
-        return out.select(F.col("at").alias("start"), F.coalesce("z", "next").alias("stop"), (F.col("x") + F.col("a")).alias("live"), (F.col("y") + F.col("b")).alias("updates")).filter("live > 0")
-    w = Window.partitionBy(*prefix).orderBy("at")
-    run = w.rowsBetween(Window.unboundedPreceding, 0)
-    out = per.select(*prefix, F.col("at").alias("start"), F.lead("at").over(w).alias("stop"), F.sum("net").over(run).alias("live"), F.sum("n").over(run).alias("updates"))
-    return out.filter("live > 0")
-
-
-def numbered_events(g: TemporalGraph, prefix: list[str], width: int) -> DataFrame:
-    """(prefix.., update, sign, key): events of a node in time order, deletes first, with the joined suffix as one number."""
+    out = running(per, prefix, ["at"], {"live": "net", "updates": "n"}, follow="stop")
+    return out.select(*prefix, F.col("at").alias("start"), "stop", "live", "updates").filter("live > 0")
+
+
+def width_of(g: TemporalGraph) -> int:
+    """Bits that number every node and label."""
+    return max(1, int(g.universe().count() - 1).bit_length())
+
+
+def split_order(order: str) -> tuple[list[str], list[str]]:
+    """(prefix above the time level, suffix below it) of a trie order such as ``otps``."""
+    at = order.index("t")
+    return list(order[:at]), list(order[at + 1 :])
+
+
+def numbered_events(g: TemporalGraph, order: str, width: int) -> DataFrame:
+    """(prefix.., update, tick, sign, key): events below each prefix of the order in time order, deletes first, with the
+    suffix joined to one number in the order's own order. Numbers come from parts of the time axis, so the events of one
+    prefix, or of the whole graph where time comes first, are never sorted by one task."""
     e = g.encoded()
-    rest = [c for c in ("s", "p", "o") if c not in prefix]
+    prefix, rest = split_order(order)
     key = F.lit(0).cast("long")
     for c in rest:
         key = F.shiftleft(key, width) + F.col(c)
     ev = e.select(*prefix, F.col("ts_tick").alias("tick"), F.lit(1).alias("sign"), key.alias("key")).union(e.select(*prefix, "te_tick", F.lit(-1), key))
-    w = Window.partitionBy(*prefix).orderBy("tick", "sign", "key")
-    return ev.select(*prefix, F.row_number().over(w).cast("long").alias("update"), "tick", "sign", "key")
+    return running(ev, prefix, ["tick", "sign", "key"], {}, row="update").select(*prefix, "update", "tick", "sign", "key")
 
 
 def matrix_rows(events: DataFrame, prefix: list[str], width: int) -> DataFrame:
@@ -95,27 +103,50 @@ def matrix_rows(events: DataFrame, prefix: list[str], width: int) -> DataFrame:
 def _packed(prefix: int, width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = pa.Table.from_batches(list(batches))
-        order = np.argsort(t.column("update").to_numpy(), kind="stable")
+        update = t.column("update").to_numpy()
+        order = np.argsort(update, kind="stable")
         m = UpdateMatrix.build(t.column("key").to_numpy()[order], t.column("sign").to_numpy()[order], width)
         head = [int(t.column(i)[0].as_py()) for i in range(prefix)]
         shard = int(t.column("shard")[0].as_py())
         n = m.width + 1
+        numbers = np.stack((update[order], t.column("tick").to_numpy()[order])).astype("<i8").tobytes()
         yield pa.RecordBatch.from_arrays(
-            [pa.array([head] * n, pa.list_(pa.int64())), pa.array([shard] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array([m.length] * n, pa.int64()), pa.array([x.packed.tobytes() for x in m.B] + [b""], pa.binary()), pa.array([x.packed.tobytes() for x in m.E], pa.binary())],
-            ["prefix", "shard", "level", "n", "b", "e"],
+            [pa.array([head] * n, pa.list_(pa.int64())), pa.array([shard] * n, pa.int32()), pa.array(range(n), pa.int32()), pa.array([m.length] * n, pa.int64()), pa.array([x.packed.tobytes() for x in m.B] + [b""], pa.binary()), pa.array([x.packed.tobytes() for x in m.E], pa.binary()), pa.array([numbers] + [b""] * (n - 1), pa.binary())],
+            ["prefix", "shard", "level", "n", "b", "e", "updates"],
         )
 
     return run
 
 
-def pack(events: DataFrame, prefix: list[str], width: int, shards: int = 1) -> DataFrame:
-    """Packed update matrices, a row a level. Nodes with many events are cut into shards by their suffix, each a matrix
-    of its own: a seek over shards is the least of their seeks, a node is alive where any shard's is."""
-    dealt = events.withColumn("shard", F.pmod(F.xxhash64("key"), F.lit(shards)).cast("int"))
-    cols = [*prefix, "shard", "update", "sign", "key"]
+def pack(events: DataFrame, prefix: list[str], width: int, events_each: int = 1 << 20) -> DataFrame:
+    """Packed update matrices, a row a level; the first has the updates' numbers and ticks.
+
+    A prefix with more than ``events_each`` events is cut into shards by its suffix, each a matrix of its own: a seek over shards is the
+    least of their seeks, a node is alive where any shard's is. Only prefixes that are cut, one per ``events_each`` events at most, are broadcast.
+    """
+    if prefix:
+        large = events.groupBy(*prefix).agg(F.ceil(F.count(F.lit(1)) / events_each).cast("int").alias("shards")).filter("shards > 1")
+        dealt = events.join(F.broadcast(large), prefix, "left")
+    else:
+        dealt = events.withColumn("shards", F.lit(-(-events.count() // events_each)).cast("int"))
+    dealt = dealt.withColumn("shard", F.pmod(F.xxhash64("key"), F.coalesce("shards", F.lit(1))).cast("int"))
+    cols = [*prefix, "shard", "update", "tick", "sign", "key"]
     return dealt.select(*cols).groupBy(*prefix, "shard").applyInArrow(_packed(len(prefix), width), MATRIX)
 
 
+def _bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for r in batch.to_pylist():
+            e, b = (np.unpackbits(np.frombuffer(r[c], np.uint8), bitorder="little")[: r["n"]].astype(np.int32) for c in ("e", "b"))
+            n = r["n"]
+            yield pa.RecordBatch.from_arrays([pa.array([r["prefix"]] * n, pa.list_(pa.int64())), pa.array([r["shard"]] * n, pa.int32()), pa.array([r["level"]] * n, pa.int32()), pa.array(np.arange(1, n + 1)), pa.array(b if len(b) else np.full(n, -1, np.int32)), pa.array(e)], ["prefix", "shard", "level", "place", "b", "e"])
+
+
+def packed_bits(matrices: DataFrame) -> DataFrame:
+    """The bits that packed matrices hold: (prefix, shard, level, place, b, e); b is -1 on the last level."""
+    return matrices.select("prefix", "shard", "level", "n", "b", "e").mapInArrow(_bits, "prefix array<long>, shard int, level int, place long, b int, e int")
+
+
 def unpack(rows: list, width: int) -> UpdateMatrix:
     """An update matrix from its level rows."""
     from .bits import RankBits
@@ -125,6 +156,34 @@ def unpack(rows: list, width: int) -> UpdateMatrix:
     return UpdateMatrix(width, rows[0]["n"], [read(r["b"], r["n"]) for r in rows[:-1]], [read(r["e"], r["n"]) for r in rows])
 
 
+def _window(width: int, prefix: int, rest: int, lo: int, hi: int, mode: str):
+    """Suffixes alive at some or all instants of ticks [lo, hi] of each packed matrix."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = pa.Table.from_batches(list(batches))
+        rows = sorted(t.to_pylist(), key=lambda r: r["level"])
+        ticks = np.frombuffer(rows[0]["updates"], "<i8").reshape(2, -1)[1]
+        m = unpack(rows, width * rest)
+        p1, p2 = (int(np.searchsorted(ticks, x, "right")) for x in (lo, hi))
+        got = np.array(m.members(p1) if lo == hi else m.window(p1, p2, mode), np.int64)
+        if len(got):
+            cols = [pa.array(np.full(len(got), v), pa.int64()) for v in rows[0]["prefix"]]
+            cols += [pa.array((got >> (width * (rest - 1 - i))) & ((1 << width) - 1)) for i in range(rest)]
+            yield pa.RecordBatch.from_arrays(cols, [f"c{i}" for i in range(prefix + rest)])
+
+    return run
+
+
+def matrix_window(matrices: DataFrame, order: str, width: int, lo: int, hi: int, mode: str) -> DataFrame:
+    """Ids (s, p, o) of the triples that exist at some (``any``) or at every (``all``) instant of ticks [lo, hi], from the
+    existence bits of the matrices alone; lo = hi is a snapshot, which is read by seeks. A prefix or shard is one task's work."""
+    prefix, rest = split_order(order)
+    names = [*prefix, *rest]
+    schema = ", ".join(f"c{i} long" for i in range(len(names)))
+    rows = matrices.withColumn("k", F.col("prefix").cast("string")).groupBy("k", "shard").applyInArrow(_window(width, len(prefix), len(rest), lo, hi, mode), schema)
+    return rows.select(*[F.col(f"c{names.index(c)}").alias(c) for c in ("s", "p", "o")])
+
+
 @dataclass
 class IndexHandle:
     """A built index: clustered edge tables and packed matrices for a choice of orders."""
@@ -133,6 +192,17 @@ class IndexHandle:
     matrices: dict[str, DataFrame]
     width: int
 
+    def choose(self, permutation: str) -> str:
+        """The order of this index that has the longest start in common with a pattern's permutation."""
+        common = lambda o: next((i for i, (a, b) in enumerate(zip(o, permutation, strict=False)) if a != b), len(o))
+        return max(self.tables, key=lambda o: (common(o), o))
+
+    def scan(self, q: PatternQuery, i: int, order: list[str], g: TemporalGraph) -> DataFrame:
+        """Pattern ``i``'s edges from the table that fits its constants and the binding order; its sorting lets files and row groups be skipped."""
+        from ..operators.pairwise import scan
+
+        return scan(q, i, g.of(self.tables[self.choose(pick_permutation(q.patterns[i], order))]))
+
     def save(self, path: str) -> None:
         spark = next(iter(self.tables.values())).sparkSession
         for name, df in self.tables.items():
@@ -148,18 +218,16 @@ def load(spark: SparkSession, path: str) -> IndexHandle:
     return IndexHandle({o: spark.read.parquet(f"{path}/edges/{o}") for o in m["orders"]}, {o: spark.read.parquet(f"{path}/matrix/{o}") for o in m["packed"]}, m["width"])
 
 
-def build(g: TemporalGraph, orders: tuple[str, ...] = ("tspo", "ptso", "otps"), pack_: bool = True, shards: int = 1) -> IndexHandle:
+def build(g: TemporalGraph, orders: tuple[str, ...] = ("tspo", "ptso", "otps"), pack_: bool = True, events_each: int = 1 << 20) -> IndexHandle:
     """Clustered tables for each order, and matrices for what follows the time level (one or two components below it)."""
-    n = g.universe().count()
-    width = max(1, int(n - 1).bit_length())
+    width = width_of(g)
     tables = {o: quads(g, o) for o in orders}
     matrices = {}
     if pack_:
         for o in orders:
-            prefix = list(o[: o.index("t")])
-            rest = 3 - len(prefix)
-            if rest and rest * width <= 62:
-                matrices[o] = pack(numbered_events(g, prefix, width), prefix, rest * width, shards)
+            prefix, rest = split_order(o)
+            if rest and len(rest) * width <= 62:
+                matrices[o] = pack(numbered_events(g, o, width), prefix, len(rest) * width, events_each)
     return IndexHandle(tables, matrices, width)
 
 

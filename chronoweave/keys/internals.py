@@ -6,7 +6,8 @@ from datetime import datetime
 
 from pyspark.sql import functions as F
 
-from ..functions.sql import seek_children
+from ..functions.kernels import common_ranges, intersected
+from ..functions.sql import seek_below
 from ..index import tries
 from ..measures import cost
 from ..model.graph import TemporalGraph, validate
@@ -94,18 +95,19 @@ def _index(r: Registry) -> None:
     r.add("time_level_root", lambda s, d: tries.time_level(graph(s, d, "SHIP"), []), over("SHIP", f"SELECT * FROM ({level.format(k='', w='')}) WHERE live > 0"))
     r.add("node_events", lambda s, d: tries.node_events(graph(s, d, "SHIP"), ["o"]).groupBy("o", "sign").agg(F.count(F.lit(1)).alias("n")), over("SHIP", "SELECT o, 1 AS sign, count(*) AS n FROM e GROUP BY o UNION ALL SELECT o, -1, count(*) FROM e GROUP BY o"))
     ids = "dict AS (SELECT term, row_number() OVER (ORDER BY term) - 1 AS id FROM (SELECT s AS term FROM e UNION SELECT p FROM e UNION SELECT o FROM e))"
-    width = 8
-    events = f"ev AS (SELECT o.id AS o, k.tick, k.sign, (p.id << {width}) + s.id AS key FROM (SELECT e.*, line.tick, 1 AS sign FROM e JOIN line ON line.at = e.ts UNION ALL SELECT e.*, line.tick, -1 FROM e JOIN line ON line.at = e.te) k JOIN dict s ON s.term = k.s JOIN dict p ON p.term = k.p JOIN dict o ON o.term = k.o)"
+    events = "w AS (SELECT CAST(ceil(log2(count(*))) AS BIGINT) AS w FROM dict), ev AS (SELECT o.id AS o, k.tick, k.sign, (p.id << w.w) + s.id AS key FROM (SELECT e.*, line.tick, 1 AS sign FROM e JOIN line ON line.at = e.ts UNION ALL SELECT e.*, line.tick, -1 FROM e JOIN line ON line.at = e.te) k JOIN dict s ON s.term = k.s JOIN dict p ON p.term = k.p JOIN dict o ON o.term = k.o, w)"
     num = "nev AS (SELECT o, tick, sign, key, row_number() OVER (PARTITION BY o ORDER BY tick, sign, key) AS upd FROM ev)"
-    w2 = 2 * width
-    lv = f"lv AS (SELECT *, key >> ({w2} - level) AS node FROM nev, (SELECT unnest(range(0, {w2} + 1)) AS level))"
-    bits = f"SELECT o, CAST(level AS INT) AS level, row_number() OVER (PARTITION BY o, level ORDER BY node, upd) AS place, CASE WHEN level < {w2} THEN CAST((key >> ({w2} - 1 - level)) & 1 AS INT) ELSE -1 END AS b, CAST(sum(sign) OVER (PARTITION BY o, level, node ORDER BY upd) > 0 AS INT) AS e FROM lv"
-    r.add("matrix_bits", lambda s, d: tries.matrix_rows(tries.numbered_events(graph(s, d, "MONO"), ["o"], width), ["o"], w2).withColumn("b", F.coalesce("b", F.lit(-1))), f"WITH {graph_ctes('MONO')},\n{_LINE}, {ids}, {events}, {num}, {lv}\n{bits}")
-    r.add("matrix_packed", lambda s, d: tries.pack(tries.numbered_events(graph(s, d, "MONO"), ["o"], width), ["o"], w2).groupBy("level").agg(F.sum("n").alias("updates"), F.count(F.lit(1)).alias("nodes")), f"WITH {graph_ctes('MONO')}\nSELECT CAST(level AS INT) AS level, CAST(2 * (SELECT count(*) FROM e) AS BIGINT) AS updates, (SELECT count(DISTINCT o) FROM e) AS nodes FROM (SELECT unnest(range(0, {w2} + 1)) AS level)")
-    r.add("matrix_bit_count", lambda s, d: cost.matrix_bits(graph(s, d, "MONO"), 1, width), over("MONO", f"SELECT CAST(count(*) * 2 * 2 * 2 * {width} AS BIGINT) AS bits FROM e"))
+    lv = "lv AS (SELECT nev.*, level, 2 * w.w AS w2, key >> (2 * w.w - level) AS node FROM nev, w, (SELECT unnest(range(0, 65)) AS level) WHERE level <= 2 * w.w)"
+    bits = "SELECT o, CAST(level AS INT) AS level, row_number() OVER (PARTITION BY o, level ORDER BY node, upd) AS place, CASE WHEN level < w2 THEN CAST((key >> (w2 - 1 - level)) & 1 AS INT) ELSE -1 END AS b, CAST(sum(sign) OVER (PARTITION BY o, level, node ORDER BY upd) > 0 AS INT) AS e FROM lv"
+    sql = f"WITH {graph_ctes('MONO')},\n{_LINE}, {ids}, {events}, {num}, {lv}\n{bits}"
+    r.add("matrix_bits", _matrix_bits, sql)
+    r.add("matrix_packed", lambda s, d: _packed(s, d, 1 << 20), sql)
+    r.add("matrix_shards", lambda s, d: _packed(s, d, 64).groupBy("o", "level").agg(F.count(F.lit(1)).alias("n"), F.sum(F.when(F.col("b") > 0, 1).otherwise(0)).alias("ones")), f"WITH {graph_ctes('MONO')},\n{_LINE}, {ids}, {events}, {num}, {lv}, bits AS ({bits})\nSELECT o, level, count(*) AS n, CAST(sum(CASE WHEN b > 0 THEN 1 ELSE 0 END) AS BIGINT) AS ones FROM bits GROUP BY o, level")
+    r.add("matrix_bit_count", _bit_count, f"WITH {graph_ctes('MONO')},\n{ids}\nSELECT CAST(2 * (SELECT count(*) FROM e) * 2 * 2 * (SELECT CAST(ceil(log2(count(*))) AS BIGINT) FROM dict) AS BIGINT) AS bits")
     r.add("seek_children", _seeks, over("TRIP10", "SELECT p, min(CAST(substr(s, 2) AS BIGINT)) AS child FROM e WHERE CAST(substr(s, 2) AS BIGINT) >= 7 GROUP BY p"))
     r.add("intersect_children", lambda s, d: _common(s, d), over("SHIP", "SELECT DISTINCT o AS child FROM e WHERE p = 'ships_R' AND s = 's1' INTERSECT SELECT DISTINCT o FROM e WHERE p = 'ships_A' AND s = 's2'"))
-    r.add("time_ranges", _ranges, over("SHIP", "SELECT a.o, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM e a JOIN e b ON a.o = b.o WHERE a.p = 'ships_R' AND b.p = 'ships_N' AND a.ts < b.te AND b.ts < a.te"))
+    two = f"lv AS ({level.format(k='o, p, ', w='PARTITION BY o, p ')}), live AS (SELECT * FROM lv WHERE live > 0 AND p IN ('ships_R', 'ships_N'))"
+    r.add("time_ranges", _ranges, f"WITH {graph_ctes('SHIP')}, {two}\nSELECT a.o, greatest(a.start, b.start) AS t_from, least(a.stop, b.stop) AS t_to FROM live a JOIN live b ON a.o = b.o WHERE a.p = 'ships_R' AND b.p = 'ships_N' AND a.start < b.stop AND b.start < a.stop")
     fan = " UNION ALL ".join(f"SELECT '{a}>{b}' AS prefix, count(*) AS nodes, CAST(sum(k) AS BIGINT) AS children, max(k) AS widest FROM (SELECT count(DISTINCT {b}) AS k FROM e GROUP BY {', '.join(a)})" for a, b in stats.PREFIXES)
     r.add("fanout_stats", lambda s, d: stats.fanout(graph(s, d, "SHIP")), over("SHIP", fan))
     r.add("dur_classes", lambda s, d: tries.duration_classes(graph(s, d, "SHIP")), over("SHIP", "SELECT CAST(floor(log2(epoch_us(te) - epoch_us(ts))) AS INT) AS class, count(*) AS edges FROM e GROUP BY 1"))
@@ -115,30 +117,48 @@ def _index(r: Registry) -> None:
     r.add("work_counters", _work)
 
 
+def _matrix_bits(spark, d):
+    g = graph(spark, d, "MONO")
+    width = tries.width_of(g)
+    return tries.matrix_rows(tries.numbered_events(g, "otps", width), ["o"], 2 * width).withColumn("b", F.coalesce("b", F.lit(-1)))
+
+
+def _packed(spark, d, events_each: int):
+    """The bits that the packed matrices hold."""
+    g = graph(spark, d, "MONO")
+    width = tries.width_of(g)
+    held = tries.pack(tries.numbered_events(g, "otps", width), ["o"], 2 * width, events_each)
+    return tries.packed_bits(held).select(F.col("prefix")[0].alias("o"), "level", "place", "b", "e")
+
+
+def _bit_count(spark, d):
+    """Bits that the packed matrices store: next bits and existence bits of all levels, but for the leaves' alternating ones."""
+    g = graph(spark, d, "MONO")
+    width = tries.width_of(g)
+    held = tries.pack(tries.numbered_events(g, "otps", width), ["o"], 2 * width)
+    return held.agg(F.sum(F.when(F.col("level") < 2 * width, 2 * F.col("n")).otherwise(0)).cast("long").alias("bits"))
+
+
 def _seeks(spark, d):
-    """The seek as a table function: a table argument partitioned by label."""
+    """The least child from 7 on below each label, by the table function on each label's partition."""
     rows = graph(spark, d, "TRIP10").frame.select("p", F.substring("s", 2, 9).cast("long").alias("child")).distinct()
-    out = None
-    for label in [f"g{i}" for i in range(10)]:
-        part = seek_children(rows.filter(F.col("p") == label).select("child").asTable().withSinglePartition(), F.lit(7)).select(F.lit(label).alias("p"), "child")
-        out = part if out is None else out.unionByName(part)
-    return out
+    rows.createOrReplaceTempView("label_children")
+    spark.udtf.register("seek_below", seek_below)
+    return spark.sql("SELECT p, child FROM seek_below(TABLE(label_children) PARTITION BY (p), 7)")
 
 
 def _common(spark, d):
+    """Children that two prefixes have in common, by the cyclic seeks on each prefix's sorted list of numbers."""
     e = graph(spark, d, "SHIP").frame
-    a = e.filter("p = 'ships_R' AND s = 's1'").select(F.col("o").alias("child")).distinct()
-    b = e.filter("p = 'ships_A' AND s = 's2'").select(F.col("o").alias("child")).distinct()
-    return a.join(b, "child", "left_semi")
+    lists = e.filter("(p = 'ships_R' AND s = 's1') OR (p = 'ships_A' AND s = 's2')").select(F.col("s").alias("key"), F.substring("o", 2, 18).cast("long").alias("child")).distinct()
+    return intersected(lists, 2).select(F.concat(F.lit("p"), "child").alias("child"))
 
 
 def _ranges(spark, d):
-    from ..operators.overlap import overlap_join
-
-    e = graph(spark, d, "SHIP").frame
-    a = e.filter("p = 'ships_R'").select("o", F.col("ts").alias("a0"), F.col("te").alias("a1"))
-    b = e.filter("p = 'ships_N'").select("o", F.col("ts").alias("b0"), F.col("te").alias("b1"))
-    return overlap_join(a, b, ["o"], ("a0", "a1"), ("b0", "b1")).select("o", F.greatest("a0", "b0").alias("t_from"), F.least("a1", "b1").alias("t_to"))
+    """Common ranges of the time levels of two labels below each object, by seeks in their sorted ranges."""
+    e = graph(spark, d, "SHIP").frame.filter("p IN ('ships_R', 'ships_N')")
+    level = tries.time_level(TemporalGraph(e, "timestamp_ntz"), ["o", "p"])
+    return common_ranges(level, "o", "p", 2).select("o", F.timestamp_micros("a").cast("timestamp_ntz").alias("t_from"), F.timestamp_micros("b").cast("timestamp_ntz").alias("t_to"))
 
 
 def _work(spark, d):

@@ -6,14 +6,16 @@ from datetime import datetime
 
 from pyspark.sql import functions as F
 
+from ..measures import cost
 from ..model.query import Const, OrderClause, PatternQuery, TimeVar, parse
+from ..index import store
 from ..operators import baselines, pairwise, results, solve, versions
 from ..plans import bounds
 from ..plans import order as plan
 from ..sources.graphs import graph
-from ..sql_text import graph_ctes, over, pattern_sql
+from ..sql_text import graph_ctes, over, pattern_sql, stepwise_sql
 from ..workloads.logs import kg_log, kgt_log
-from ..workloads.shapes import SHAPES, shape_query, two_times
+from ..workloads.shapes import SHAPES, arcs, shape_query, two_times
 from . import Registry
 
 PAIR = "?x ships_R ?z @t ; ?y ships_A ?z @t"
@@ -41,8 +43,21 @@ TRIP10_LABELS = {
     "clique4": "g3 g0 g9 g2 g3 g7",
     "clique5": "g2 g3 g0 g9 g5 g8 g7 g2 g3 g7",
 }
-SKEW_LABELS = {"star3": "v6 v4 v1", "chain3": "v6 v8 v0", "circle3": "v6 v1 v6", "diamond": "v6 v1 v4 v2"}
-MONO_LABELS = {s: " ".join(["link"] * n) for s, n in (("star3", 3), ("chain3", 3), ("circle3", 3), ("diamond", 4))}
+SKEW_LABELS = {
+    "star3": "v6 v4 v1",
+    "star4": "v9 v1 v5 v8",
+    "star5": "v2 v1 v5 v0 v10",
+    "chain3": "v6 v8 v0",
+    "chain4": "v2 v0 v7 v1",
+    "chain5": "v3 v0 v2 v3 v5",
+    "circle3": "v6 v1 v6",
+    "circle4": "v4 v5 v1 v2",
+    "circle5": "v1 v4 v10 v6 v6",
+    "diamond": "v6 v1 v4 v2",
+    "clique4": "v4 v2 v4 v0 v7 v2",
+    "clique5": "v5 v3 v0 v3 v0 v12 v2 v4 v0 v10",
+}
+MONO_LABELS = {s: " ".join(["link"] * len(arcs(s))) for s in SHAPES}
 
 
 def _window(q: PatternQuery, lo: datetime, hi: datetime) -> PatternQuery:
@@ -69,12 +84,13 @@ def register(r: Registry) -> None:
     _windows(r)
     _logs(r)
     _shapes(r)
+    _stored(r)
 
 
 def _strategies(r: Registry) -> None:
     named = {"pair": (PAIR, "SHIP"), "triangle": (TRIANGLE, "TRIP10"), "square_kg": (SQUARE, "KG"), "biclique": (BICLIQUE, "SHIP"), "mono_triangle": (MONO, "MONO")}
     for name, (text, g) in named.items():
-        sql = pattern_sql(parse(text), g)
+        sql = stepwise_sql(parse(text), g) if name == "square_kg" else pattern_sql(parse(text), g)
         for s in ("JF", "TF", "LC"):
             r.add(f"{s.lower()}_{name}", _solved(text, g, strategy=s, route="pairwise"), sql)
         if name != "mono_triangle":
@@ -84,6 +100,8 @@ def _strategies(r: Registry) -> None:
     clique = shape_query("clique4", TRIP10_LABELS["clique4"].split())
     r.add("gj_clique4", _solved(clique, "TRIP10", strategy="LC", route="generic"), pattern_sql(clique, "TRIP10"))
     r.add("hc_clique4", _solved(clique, "TRIP10", strategy="LC", route="cells"), pattern_sql(clique, "TRIP10"))
+    for name, q, g in (("triangle", parse(TRIANGLE), "TRIP10"), ("clique4", clique, "TRIP10"), ("pair", parse(PAIR), "SHIP")):
+        r.add(f"lca_{name}", _solved(q, g, strategy="LC_adaptive"), pattern_sql(q, g))
     for estimate in plan.TIME_ESTIMATES:
         r.add(f"lc_triangle_{estimate}", _solved(TRIANGLE, "TRIP10", strategy="LC", route="pairwise", time_estimate=estimate), pattern_sql(parse(TRIANGLE), "TRIP10"))
     r.add("lc_user_order", _solved(PAIR, "SHIP", order=["x", "t", "z", "y"], route="generic"), pattern_sql(parse(PAIR), "SHIP"))
@@ -102,13 +120,18 @@ def _strategies(r: Registry) -> None:
     for key, run in (("sweep", lambda q, g: baselines.sweep(q, g)), ("h_jf", lambda q, g: solve.solve(q, g, "JF")), ("h_lc", lambda q, g: solve.solve(q, g, "LC")), ("h_tf", lambda q, g: solve.solve(q, g, "TF"))):
         r.add(f"{key}_pair", lambda s, d, run=run: run(parse(PAIR), graph(s, d, "SHIP")), pattern_sql(parse(PAIR), "SHIP"))
         r.add(f"{key}_triangle", lambda s, d, run=run: run(parse(TRIANGLE), graph(s, d, "TRIP10")), pattern_sql(parse(TRIANGLE), "TRIP10"))
-    star = shape_query("star3", TRIP10_LABELS["star3"].split())
-    r.add("win_shape_star3", lambda s, d: baselines.window_join(star, graph(s, d, "TRIP10"), *SHAPE_WINDOW), pattern_sql(_window(star, *SHAPE_WINDOW), "TRIP10"))
+    for shape in SHAPES:
+        q = shape_query(shape, TRIP10_LABELS[shape].split())
+        r.add(f"win_shape_{shape}", lambda s, d, q=q: baselines.window_join(q, graph(s, d, "TRIP10"), *SHAPE_WINDOW), pattern_sql(_window(q, *SHAPE_WINDOW), "TRIP10"))
     r.add("clause_table_turn", lambda s, d: baselines.clause_table(graph(s, d, "TURN")), over("TURN", "SELECT a.at AS w1, b.at AS w2 FROM (SELECT ts AS at FROM e UNION SELECT te FROM e) a JOIN (SELECT ts AS at FROM e UNION SELECT te FROM e) b ON a.at <= b.at"))
     # plans and bounds
     r.add("order_choice", _order_choice)
     r.add("agm_inputs", lambda s, d: bounds.sizes(parse(TRIANGLE), graph(s, d, "TRIP10"), "triples"), over("TRIP10", "SELECT (SELECT count(*) FROM (SELECT DISTINCT s, o FROM e WHERE p = 'g3')) AS n0, (SELECT count(*) FROM (SELECT DISTINCT s, o FROM e WHERE p = 'g3')) AS n1, (SELECT count(*) FROM (SELECT DISTINCT s, o FROM e WHERE p = 'g9')) AS n2"))
-    r.add("agm_bound", _agm)
+    sizes = "SELECT (SELECT count(*) FROM (SELECT DISTINCT s, o FROM e WHERE p = 'g3')) AS a, (SELECT count(*) FROM (SELECT DISTINCT s, o FROM e WHERE p = 'g9')) AS c"
+    r.add("agm_bound", _agm, over("TRIP10", f"SELECT CAST(least(a * sqrt(c), a * a, a * c) AS DOUBLE) AS bound FROM ({sizes})"))
+    plain = _plain(parse(TRIANGLE), "TRIP10", "TRUE")
+    answers = plain[plain.index("\nSELECT") + 1 :]
+    r.add("bound_check", _bound_check, f"WITH {graph_ctes('TRIP10')}, q AS ({answers})\nSELECT (SELECT count(*) FROM q) AS answers, (SELECT count(*) FROM q) <= least(a * sqrt(c), a * a, a * c) AS within_bound FROM ({sizes})")
 
 
 def _order_choice(spark, d):
@@ -125,6 +148,12 @@ def _agm(spark, d):
     return spark.createDataFrame([(bounds.agm(parse(TRIANGLE), [row[f"n{i}"] for i in range(3)], times=False),)], "bound double")
 
 
+def _bound_check(spark, d):
+    g, q = graph(spark, d, "TRIP10"), parse(TRIANGLE)
+    n = solve.ever(q, g).count()
+    return spark.createDataFrame([(n, cost.bound_ratio(q, g, n) <= 1.0)], "answers long, within_bound boolean")
+
+
 def _clauses(r: Registry) -> None:
     two = "?x ships_R ?z @t1 ; ?y ships_A ?z @t2"
     texts = {
@@ -140,7 +169,7 @@ def _clauses(r: Registry) -> None:
         "pq_constant_instant": "?x ships_R ?z @'1998-06-15' ; ?y ships_A ?z @t",
     }
     for key, text in texts.items():
-        r.add(key, _solved(text, "SHIP", strategy="LC", route="pairwise"), _two(text))
+        r.add(key, _solved(text, "SHIP", strategy="LC", route="pairwise", products=key == "pq_before_after"), _two(text))
     r.add("pq_two_times_generic", _solved(texts["pq_two_times"], "SHIP", strategy="LC", route="generic"), _two(texts["pq_two_times"]))
     r.add("pq_two_times_jf", _solved(texts["pq_two_times"], "SHIP", strategy="JF"), _two(texts["pq_two_times"]))
     r.add("pq_together", lambda s, d: solve.all_instants("?x u3 ?z ; ?y u5 ?z", graph(s, d, "TRIP")), pattern_sql(parse("?x u3 ?z @t ; ?y u5 ?z @t"), "TRIP"))
@@ -190,7 +219,8 @@ def _windows(r: Registry) -> None:
     body = inner[inner.index("\nSELECT") + 1 :]
     r.add("count_points", lambda s, d: results.count_points(solve.solve(pair, (g := graph(s, d, "SHIP")), "JF"), g), f"WITH {graph_ctes('SHIP')},\n{ticks}, q AS ({body})\nSELECT CAST(sum(y.k - x.k) AS BIGINT) AS points FROM q JOIN line x ON x.at = q.t_from JOIN line y ON y.at = q.t_to")
     r.add("points_mono", lambda s, d: results.points(solve.solve(_window(parse(MONO), *mono), (g := graph(s, d, "MONO"))), g), _points_sql(_window(parse(MONO), *mono)))
-    r.add("semijoin_reduction", lambda s, d: _reduced(s, d), pattern_sql(parse("s7 ships_R ?p @t ; ?p sold_to ?c @t"), "KGT"))
+    for name, text, g in (("semijoin_reduction", "s7 ships_R ?p @t ; ?p sold_to ?c @t", "KGT"), ("semijoin_chain", "s7 ships_R ?p @t ; ?p sold_to ?c @t ; ?c in_nation ?n @t ; ?n in_region r1 @t", "KG"), ("semijoin_star", "?x ships_R p4 @t ; ?x ships_A ?q @t ; ?x in_nation ?n @t", "KG")):
+        r.add(name, _solved(text, g, strategy="LC", route="reduced"), stepwise_sql(parse(text), g))
 
 
 def _points_sql(q: PatternQuery) -> str:
@@ -199,22 +229,12 @@ def _points_sql(q: PatternQuery) -> str:
     return f"WITH {graph_ctes('MONO')},\nline AS (SELECT ts AS t FROM e UNION SELECT te FROM e), q AS ({body})\nSELECT q.x, q.y, q.z, line.t FROM q JOIN line ON line.t >= q.t_from AND line.t < q.t_to"
 
 
-def _reduced(spark, d):
-    """Acyclic pattern: each side is cut to what the other can meet before the join itself."""
-    g, q = graph(spark, d, "KGT"), parse("s7 ships_R ?p @t ; ?p sold_to ?c @t")
-    a, b = pairwise.scan(q, 0, g), pairwise.scan(q, 1, g)
-    b = b.join(a.select("p").distinct(), "p", "left_semi")
-    a = a.join(b.select("p").distinct(), "p", "left_semi")
-    on = (F.col("__ts0") < F.col("__te1")) & (F.col("__ts1") < F.col("__te0")) & (F.col("p") == F.col("__p"))
-    return pairwise.finish(a.join(b.withColumnRenamed("p", "__p"), on), q, g)
-
-
 def _logs(r: Registry) -> None:
     for i, q in enumerate(kg_log(), 1):
         route = ("pairwise", "generic")[i % 2] if len(q.patterns) > 1 else "pairwise"
-        r.add(f"kg_log_{i:02d}", _solved(q, "KG", strategy=("LC", "JF")[i % 2], route=route), pattern_sql(q, "KG"))
+        r.add(f"kg_log_{i:02d}", _solved(q, "KG", strategy=("LC", "JF")[i % 2], route=route), stepwise_sql(q, "KG") if i == 9 else pattern_sql(q, "KG"))
     for i, q in enumerate(kgt_log(), 1):
-        r.add(f"kgt_log_{i:02d}", _solved(q, "KGT", strategy=("LC", "TF", "JF")[i % 3], route="pairwise"), pattern_sql(q, "KGT"))
+        r.add(f"kgt_log_{i:02d}", _solved(q, "KGT", strategy=("LC", "TF", "JF")[i % 3], route="pairwise"), stepwise_sql(q, "KGT") if i == 6 else pattern_sql(q, "KGT"))
 
 
 def _shapes(r: Registry) -> None:
@@ -224,9 +244,39 @@ def _shapes(r: Registry) -> None:
             q2 = q if w is None else _window(q, *w)
             r.add(f"{shape}_{tag}", _solved(q2, "TRIP10", strategy="LC" if tag == "w100" else "TF", route="pairwise"), pattern_sql(q2, "TRIP10"))
         for s in ("lc", "tf"):
-            r.add(f"{shape}_{s}", _solved(q, "TRIP10", strategy=s.upper(), route="generic" if s == "lc" else "pairwise"), pattern_sql(q, "TRIP10"))
+            r.add(f"{shape}_{s}", _solved(q, "TRIP10", strategy=s.upper(), route="pairwise"), pattern_sql(q, "TRIP10"))
     for name, labels in (("SKEW", SKEW_LABELS), ("MONO", MONO_LABELS)):
         for shape, ls in labels.items():
             q = _window(shape_query(shape, ls.split()), *(SHAPE_WINDOW if name == "SKEW" else (datetime(2024, 1, 15), datetime(2024, 1, 15))))
             r.add(f"{name.lower()}_{shape}", _solved(q, name, strategy="TF", route="pairwise"), pattern_sql(q, name))
 
+
+def stored(spark, d: str, name: str, pack: bool = False) -> store.Store:
+    """A graph's store, built once a session and table folder."""
+    key = (spark.sparkContext.applicationId, d, name, pack)
+    if key not in _STORES:
+        path = store.shared_folder(spark, f"graph-{name}")
+        store.save(graph(spark, d, name), path, pack=pack)
+        _STORES[key] = path
+    return store.open_store(spark, _STORES[key])
+
+
+_STORES: dict[tuple, str] = {}
+
+
+def _stored(r: Registry) -> None:
+    """Queries on stored graphs: edges by folder, orders from stored statistics, windows from the matrices alone."""
+    for name, text, g in (("pair", PAIR, "SHIP"), ("triangle", TRIANGLE, "TRIP10"), ("square_kg", SQUARE, "KG"), ("biclique", BICLIQUE, "SHIP")):
+        q = parse(text)
+        sql = stepwise_sql(q, g) if name == "square_kg" else pattern_sql(q, g)
+        for s in ("JF", "LC", "TF"):
+            r.add(f"ix_{s.lower()}_{name}", lambda sp, d, q=q, g=g, s=s: solve.solve(q, stored(sp, d, g).graph, strategy=s, route="pairwise"), sql)
+    pair = parse(PAIR)
+    days20 = "least(a0.te, a1.te) - greatest(a0.ts, a1.ts) >= INTERVAL 20 DAY"
+    r.add("ix_dur", lambda s, d: solve.durable(pair, stored(s, d, "SHIP").graph, 20 * 86_400_000_000), pattern_sql(pair, "SHIP", extra=days20))
+    at, lo, hi = datetime(2024, 1, 12), datetime(2024, 1, 10), datetime(2024, 1, 13)
+    when = {"at": f"ts <= TIMESTAMP '{at}' AND te > TIMESTAMP '{at}'", "any": f"ts < TIMESTAMP '{hi}' AND te > TIMESTAMP '{lo}'", "all": f"ts <= TIMESTAMP '{lo}' AND te >= TIMESTAMP '{hi}'"}
+    window = {"at": (at, None), "any": (lo, hi), "all": (lo, hi)}
+    for mode, key in (("at", "snap"), ("any", "any"), ("all", "all")):
+        r.add(f"ix_{key}", lambda s, d, m=mode: store.by_matrix(parse(MONO), stored(s, d, "MONO", True), m, *window[m]), _plain(parse(MONO), "MONO", when[mode]))
+        r.add(f"ix_{key}_edges", lambda s, d, m=mode: stored(s, d, "MONO", True).triples(m, *window[m]), over("MONO", f"SELECT DISTINCT s, p, o FROM e WHERE {when[mode]}"))

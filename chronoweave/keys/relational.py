@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..functions.sql import interval_intersect, interval_intersect_sql, interval_relation, merge_intersect, solutions_as_map
+from ..functions.sql import interval_intersect, interval_relation, merge_intersect, solutions_as_map
+from ..measures import cost
 from ..model.query import parse
 from ..operators import overlap, solve
 from ..operators.pairwise import run as pairwise
@@ -89,7 +90,7 @@ def _joins(r: Registry) -> None:
         return overlap.overlap_join(a.drop("z"), b.drop("z"), [], ("a0", "a1"), ("b0", "b1")).select("x", "y", F.greatest("a0", "b0").alias("t_from"), F.least("a1", "b1").alias("t_to"))
 
     r.add("overlap_pure", _frame("TRIP10", pure), over("TRIP10", "SELECT a.s AS x, b.s AS y, greatest(a.ts, b.ts) AS t_from, least(a.te, b.te) AS t_to FROM e a JOIN e b ON a.ts < b.te AND b.ts < a.te WHERE a.p = 'g3' AND b.p = 'g9'"))
-    r.add("theta_pairs", _frame("TURN", lambda e: e.filter("p = 'user'").agg(F.count(F.lit(1)).alias("a")).crossJoin(e.filter("p = 'assistant'").agg(F.count(F.lit(1)).alias("b"))).select((F.col("a") * F.col("b")).alias("pairs"))), over("TURN", "SELECT count(*) AS pairs FROM e a, e b WHERE a.p = 'user' AND b.p = 'assistant'"))
+    r.add("theta_pairs", _frame("TURN", lambda e: _theta(e)), over("TURN", "SELECT a.o AS x, b.o AS y, count(*) AS pairs FROM (SELECT o, ts FROM e WHERE p = 'user') a, (SELECT o, ts FROM e WHERE p = 'assistant') b WHERE a.ts <= b.ts GROUP BY 1, 2"))
     r.add("point_in_interval", _live_at_orders, over("SHIP", "SELECT o_orderkey, count(*) AS live FROM orders JOIN e ON e.ts <= o_orderdate AND e.te > o_orderdate GROUP BY o_orderkey"))
     r.add("asof_edges", _asof, over("SHIP", "SELECT x.s, x.at, max(e.ts) AS last_start FROM (SELECT DISTINCT s, te AS at FROM e WHERE p = 'ships_A') x LEFT JOIN e ON e.s = x.s AND e.p = 'ships_R' AND e.ts <= x.at GROUP BY x.s, x.at"))
     r.add("semi_join", _frame("SHIP", lambda e: e.join(e.filter("p = 'ships_R'").select("s", "o").distinct(), ["s", "o"], "left_semi").select("s", "p", "o", "ts", "te")), over("SHIP", "SELECT s, p, o, ts, te FROM e WHERE EXISTS (SELECT 1 FROM e b WHERE b.p = 'ships_R' AND b.s = e.s AND b.o = e.o)"))
@@ -101,6 +102,14 @@ def _joins(r: Registry) -> None:
     r.add("cogroup_intersect", _frame("SHIP", lambda e: merge_intersect(e.filter("p = 'ships_R'").select("s", F.col("o").alias("child")).distinct(), e.filter("p = 'ships_A'").select("s", F.col("o").alias("child")).distinct(), "s")), over("SHIP", "SELECT s, o AS child FROM (SELECT DISTINCT s, o FROM e WHERE p = 'ships_R' INTERSECT SELECT DISTINCT s, o FROM e WHERE p = 'ships_A')"))
 
 
+def _theta(e):
+    """Pairs of turns in order of time, whatever else they share: a nested-loop join, of one row for each value and instant."""
+    per = e.groupBy("p", "o", "ts").agg(F.count(F.lit(1)).alias("n"))
+    a = per.filter("p = 'user'").select(F.col("o").alias("x"), F.col("ts").alias("a"), F.col("n").alias("m"))
+    b = per.filter("p = 'assistant'").select(F.col("o").alias("y"), F.col("ts").alias("b"), "n")
+    return a.join(b.hint("shuffle_replicate_nl"), F.col("a") <= F.col("b")).groupBy("x", "y").agg(F.sum(F.col("m") * F.col("n")).alias("pairs"))
+
+
 def _live_at_orders(spark, d):
     """Live edges at each order's date; each date is joined once."""
     orders = load(spark, d, "orders").select("o_orderkey", F.col("o_orderdate").alias("at"))
@@ -164,18 +173,26 @@ def _scalars(r: Registry) -> None:
     q = parse("s7 ships_R ?z @t ; ?y ships_A ?z @t")
     r.add("fn_map", lambda s, d: solutions_as_map(solve.solve(q, graph(s, d, "SHIP"), "JF"), ["z", "y"]).select(F.col("solution")["z"].alias("z"), F.col("solution")["y"].alias("y"), F.size(F.map_entries("solution")).alias("n")), _wrapped(q, "SHIP", "SELECT z, y, 2 AS n FROM q"))
     r.add("fn_json", lambda s, d: load(s, d, "events").select("event_id", F.from_json("props", "k int").alias("j")).select("event_id", F.col("j.k").alias("k"), F.to_json(F.struct(F.col("j.k").alias("k"))).alias("back")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k, '{\"k\":'||json_extract_string(props, '$.k')||'}' AS back FROM events")
-    r.add("udf_interval_intersect", _intersections, over("MONO", "SELECT CAST(count(*) AS BIGINT) AS rows, CAST(count(*) AS BIGINT) AS same FROM (SELECT DISTINCT o FROM e)"))
+    r.add("udf_interval_intersect", _intersections, over("MONO", "SELECT a.o, count(*) AS n, CAST(sum(epoch_us(least(a.te, b.te)) - epoch_us(greatest(a.ts, b.ts))) AS BIGINT) AS us FROM (SELECT DISTINCT o, ts, te FROM e WHERE CAST(substr(s, 2) AS INT) % 2 = 1) a JOIN (SELECT DISTINCT o, ts, te FROM e WHERE CAST(substr(s, 2) AS INT) % 2 = 0) b ON a.o = b.o AND a.ts < b.te AND b.ts < a.te GROUP BY a.o"))
+    timings = lambda s, d: load(s, d, "events").groupBy(F.col("user_id").cast("int").alias("qid"), F.col("event_type").alias("strategy")).agg(F.max("value").alias("ms"))
+    held = "times AS (SELECT user_id AS qid, event_type AS strategy, max(value) AS ms FROM events GROUP BY 1, 2)"
+    five = ", ".join(f"quantile_cont(ms, {x}) AS {n}" for x, n in ((0.0, "lower"), (0.25, "q1"), (0.5, "median"), (0.75, "q3"), (1.0, "upper")))
+    r.add("measure_boxplot", lambda s, d: cost.boxplot(timings(s, d)).select("strategy", "lower", "q1", "median", "q3", "upper"), f"WITH {held} SELECT strategy, {five} FROM times GROUP BY strategy")
+    kinds = ("click", "error", "purchase", "signup", "view")
+    won = ", ".join(f"count(*) FILTER (WHERE b.strategy = '{k}' AND a.ms < b.ms) AS {k}" for k in kinds)
+    r.add("measure_wins", lambda s, d: cost.wins(timings(s, d)).select("strategy", *[F.coalesce(k, F.lit(0)).alias(k) for k in kinds]), f"WITH {held} SELECT a.strategy, {won} FROM times a JOIN times b ON a.qid = b.qid AND a.strategy <> b.strategy GROUP BY a.strategy")
+    r.add("measure_best", lambda s, d: cost.best(timings(s, d)).select(F.round("best_mean", 6).alias("best_mean")), f"WITH {held} SELECT round(avg(ms), 6) AS best_mean FROM (SELECT min(ms) AS ms FROM times GROUP BY qid)")
     r.add("layout_classes", _frame("SHIP", lambda e: with_layout(e).groupBy("month", "length_class").agg(F.count(F.lit(1)).alias("n"))), over("SHIP", "SELECT strftime(ts, '%Y-%m') AS month, CAST(floor(log2(epoch_us(te) - epoch_us(ts))) AS INT) AS length_class, count(*) AS n FROM e GROUP BY 1, 2"))
 
 
 def _intersections(spark, d):
-    """Arrow form and built-in form of the range intersection, row by row."""
+    """Common parts of the ranges of odd and even sources at each target, by the Arrow function: their number and length."""
     e = graph(spark, d, "MONO").frame.withColumns({c: F.unix_micros(F.col(c).cast("timestamp")) for c in ("ts", "te")})
     ranges = lambda c: F.array_sort(F.collect_set(F.when(c, F.struct(F.col("ts").alias("from"), F.col("te").alias("to")))))
     odd = F.substring("s", 2, 9).cast("int") % 2 == 1
     g = e.groupBy("o").agg(ranges(odd).alias("x"), ranges(~odd).alias("y"))
-    same = interval_intersect("x", "y").cast("string") == interval_intersect_sql(F.col("x"), F.col("y")).cast("string")
-    return g.select(same.alias("same")).agg(F.count(F.lit(1)).alias("rows"), F.count_if("same").alias("same"))
+    cut = F.explode(interval_intersect("x", "y")).alias("r")
+    return g.select("o", cut).groupBy("o").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("r.to") - F.col("r.from")).alias("us"))
 
 
 def _streams(r: Registry) -> None:

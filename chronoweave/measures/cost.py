@@ -9,7 +9,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..index.tries import IndexHandle, build
+from ..index.store import shared_folder
+from ..index.tries import IndexHandle, build, plain, quads
 from ..model.graph import TemporalGraph
 from ..model.query import PatternQuery
 from ..operators import cells
@@ -88,6 +89,23 @@ def space(index: IndexHandle, n: int) -> DataFrame:
     return out.crossJoin(F.broadcast(total)).select("order", "bytes", "updates", (F.col("bytes") / n).alias("bytes_per_edge"), (F.col("bytes") / F.col("all")).alias("share"))
 
 
+def table_space(g: TemporalGraph, orders: tuple[str, ...] = ("otps",)) -> DataFrame:
+    """(kind, bytes, bytes_per_edge): stored tables of numbered edges in temporal orders, of the plain index in its
+    orders, and the yardstick of five 32-bit numbers an edge."""
+    spark = g.frame.sparkSession
+    n = g.frame.count()
+    path = shared_folder(spark, "space")
+    numbered = TemporalGraph(g.encoded().withColumnsRenamed({"ts_tick": "ts", "te_tick": "te"}), "bigint")
+    tables = {f"temporal {o}": quads(numbered, o) for o in orders} | {f"plain {o}": t for o, t in plain(g).items()}
+    rows = [("packed 5 x 32 bit", 20 * n)]
+    for kind, t in tables.items():
+        where = f"{path}/{kind.replace(' ', '-')}"
+        t.write.parquet(where)
+        p = spark._jvm.org.apache.hadoop.fs.Path(where)
+        rows.append((kind, p.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(p).getLength()))
+    return spark.createDataFrame([(k, b, b / max(1, n)) for k, b in rows], "kind string, bytes long, bytes_per_edge double")
+
+
 def matrix_bits(g: TemporalGraph, prefix_len: int, width: int) -> DataFrame:
     """Bits of all matrices below prefixes of a length: 2 * b * width for each of the two updates an edge makes."""
     b = 3 - prefix_len

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 from functools import cached_property
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .ranks import ranked
+
 EDGE = ["s", "p", "o", "ts", "te"]
 
 
@@ -37,6 +39,9 @@ class TemporalGraph:
 
     frame: DataFrame
     time_type: str
+    #: Of a stored graph: number of label classes its folders have, and its rows of label statistics.
+    labels: int = 0
+    stats: tuple | None = field(default=None, compare=False)
 
     @classmethod
     def from_edges(cls, df: DataFrame, s: str = "s", p: str = "p", o: str = "o", ts: str = "ts", te: str = "te", coalesce: bool = True) -> TemporalGraph:
@@ -67,8 +72,17 @@ class TemporalGraph:
         return self.frame
 
     def of(self, frame: DataFrame) -> TemporalGraph:
+        """Other edges with the same kind of time."""
         return TemporalGraph(frame, self.time_type)
 
+    def part(self, keep: Column) -> TemporalGraph:
+        """The edges that meet a condition; folders and statistics stay in use."""
+        return TemporalGraph(self.frame.filter(keep), self.time_type, self.labels, self.stats)
+
+    def in_folder(self, label: str) -> Column:
+        """Condition that a stored graph's edges of a label lie in its folder; no condition otherwise."""
+        return F.col("label_class") == F.pmod(F.xxhash64(F.lit(label)), F.lit(self.labels)).cast("int") if self.labels else F.lit(True)
+
     def snapshot(self, t: object) -> DataFrame:
         at = self.instant(t)
         return self.frame.filter((F.col("ts") <= at) & (F.col("te") > at)).select("s", "p", "o")
@@ -86,7 +100,10 @@ class TemporalGraph:
         return self.frame.select("s", "p", "o").distinct()
 
     def at_least(self, units: int) -> TemporalGraph:
-        return self.of(self.frame.filter(self.length(F.col("ts"), F.col("te")) >= units))
+        long = self.length(F.col("ts"), F.col("te")) >= units
+        if self.labels and units >= 1:  # shorter classes are not read
+            long = long & (F.col("length_class") >= int(units).bit_length() - 1)
+        return self.part(long)
 
     def length(self, a: Column, b: Column) -> Column:
         """b - a in time units, as a whole number."""
@@ -135,7 +152,7 @@ class TemporalGraph:
         return self.frame.select(F.explode(F.array("ts", "te")).alias("at")).distinct()
 
     def timeline(self) -> DataFrame:
-        """(tick, at): instants with their rank, by range partitions and one count a partition."""
+        """(tick, at): instants with their rank, by parts of the axis and one count a part."""
         return ranked(self._times, "at", "tick")
 
     def dictionary(self) -> DataFrame:
@@ -171,19 +188,3 @@ class TemporalGraph:
 
     def register(self, name: str) -> None:
         self.frame.createOrReplaceTempView(name)
-
-
-def ranked(values: DataFrame, column: str, rank: str) -> DataFrame:
-    """(rank, column): dense ranks from 0 of distinct values, two-pass, so no task sorts all of them.
-
-    Values are dealt out by range into as many parts as shuffles have; the parts' counts (one row each) give the offsets.
-    """
-    from pyspark.sql import Window
-
-    parts = int(values.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = values.repartitionByRange(parts, column).withColumn("__p", F.spark_partition_id())
-    inner = Window.partitionBy("__p").orderBy(column)
-    placed = dealt.withColumn("__r", F.row_number().over(inner) - 1)
-    per = placed.groupBy("__p").agg(F.count(F.lit(1)).alias("__n"))
-    base = per.select("__p", F.coalesce(F.sum("__n").over(Window.orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__b"))
-    return placed.join(F.broadcast(base), "__p").select((F.col("__r") + F.col("__b")).cast("long").alias(rank), column)

@@ -17,6 +17,7 @@ from .leapfrog import Tables
 from .overlap import bucket_bounds, bucket_of, spread
 from .pairwise import run as pairwise
 from .pairwise import scan
+from .reduced import join_tree, reduce
 from .results import canonicalise, ends
 
 
@@ -82,13 +83,17 @@ def _snapshots(q: PatternQuery, names: list[str], order: list[str]):
     return run
 
 
-def sweep(q: PatternQuery, g: TemporalGraph, units: int = 1, buckets: int = 16) -> DataFrame:
+def sweep(q: PatternQuery, g: TemporalGraph, units: int = 1, buckets: int | None = None) -> DataFrame:
     """Event sweep for one shared time variable: the pattern on the snapshot of every elementary interval.
 
     The axis is cut into buckets, edges are copied to the buckets they touch, and ranges that go on over a cut or
-    an event are put together again; ranges shorter than ``units`` are dropped.
+    an event are put together again; ranges shorter than ``units`` are dropped. A cyclic pattern is solved a variable at a
+    time; of an acyclic one, edges that no solution can use are dropped by semi-joins first, so fewer events are swept.
     """
     t = q.times[0]
+    scans = [scan(q, i, g) for i in range(len(q.patterns))]
+    if join_tree(q) is not None:
+        scans = reduce(q, scans)
     bounds = bucket_bounds(g.frame.select("ts"), "ts", buckets)
     r = g.frame.agg(F.min("ts").alias("a"), F.max("te").alias("b")).withColumns({"a": g.length(g.instant(0), F.col("a")) if g.whole else F.unix_micros(F.col("a").cast("timestamp")), "b": g.length(g.instant(0), F.col("b")) if g.whole else F.unix_micros(F.col("b").cast("timestamp"))}).first()
     scale = 1 if g.whole else 1_000_000
@@ -97,7 +102,7 @@ def sweep(q: PatternQuery, g: TemporalGraph, units: int = 1, buckets: int = 16)
     out = None
     for i, p in enumerate(q.patterns):
         vs = p.variables
-        part = spread(scan(q, i, g), f"__ts{i}", f"__te{i}", bounds)
+        part = spread(scans[i], f"__ts{i}", f"__te{i}", bounds)
         a, b = F.col(f"__ts{i}"), F.col(f"__te{i}")
         if not g.whole:
             a, b = F.unix_micros(a.cast("timestamp")), F.unix_micros(b.cast("timestamp"))

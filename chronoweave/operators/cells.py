@@ -13,26 +13,34 @@ from pyspark.sql import functions as F
 
 from ..model.graph import TemporalGraph
 from ..model.query import PatternQuery
+from ..plans.order import statistics
 from .leapfrog import Tables, narrow
 from .pairwise import scan
 
 
 def shares(q: PatternQuery, sizes: list[int], cells: int) -> dict[str, int]:
-    """Whole shares of the join variables that copy the fewest rows with at most ``cells`` cells."""
+    """Whole shares of the join variables that copy the fewest rows with at most ``cells`` cells; of those, the most cells."""
     join = [v for v in q.nodes if sum(v in p.variables for p in q.patterns) > 1]
-    best, cost = {v: 1 for v in join}, float("inf")
-    steps = [h for h in (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 64) if h <= cells]
+    best, cost = {v: 1 for v in join}, (float("inf"), 0, 0)
+    steps = [h for h in (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 64, 128, 256, 512, 1024) if h <= cells]
+    if len(join) > 3:
+        steps = [h for h in steps if h & (h - 1) == 0][:6]
     for pick in product(steps, repeat=min(len(join), 5)):
         used = int(np.prod(pick)) if pick else 1
         if used > cells or used * 2 < cells and len(join):
             continue
         h = dict(zip(join, pick, strict=False)) | {v: 1 for v in join[5:]}
         copies = sum(n * np.prod([h[v] for v in join if v not in p.variables]) for n, p in zip(sizes, q.patterns, strict=True))
-        if (copies, max(pick, default=1)) < (cost, max(best.values(), default=1)):
-            best, cost = h, copies
+        if (rank := (copies, -used, max(pick, default=1))) < cost:
+            best, cost = h, rank
     return best
 
 
+def _load(q: PatternQuery, sizes: list[int], h: dict[str, int]) -> float:
+    """Mean edges of a cell: each pattern's edges are spread over the shares of its own variables."""
+    return sum(n / np.prod([h.get(v, 1) for v in p.variables]) for n, p in zip(sizes, q.patterns, strict=True))
+
+
 def _micros(value: object) -> int:
     return value if isinstance(value, int) else int((value - datetime(1970, 1, 1)).total_seconds() * 1_000_000)
 
@@ -74,10 +82,10 @@ def local_tables(table: pa.Table, q: PatternQuery) -> tuple[Tables, np.ndarray]:
     return Tables(q, cols, starts, stops, len(terms)), terms
 
 
-def _kernel(q: PatternQuery, order: list[str], names: list[str], span: tuple[int, int], work: bool, prune: bool):
+def _kernel(q: PatternQuery, order: list[str], names: list[str], span: tuple[int, int], work: bool, prune: bool, adaptive: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables, terms = local_tables(pa.Table.from_batches(list(batches)), q)
-        rows, n = tables.solve(order, prune)
+        rows, n = tables.solve_adaptive(order) if adaptive else tables.solve(order, prune)
         keep = narrow(rows, q, _micros, span) if n else np.zeros(0, bool)
         got = {k: c[keep] for k, c in rows.items()} if n else {}
         size = int(keep.sum())
@@ -90,12 +98,19 @@ def _kernel(q: PatternQuery, order: list[str], names: list[str], span: tuple[int
     return run
 
 
-def run(q: PatternQuery, g: TemporalGraph, order: list[str], cells: int = 16, work: bool = False, prune: bool = True) -> DataFrame:
+def run(q: PatternQuery, g: TemporalGraph, order: list[str], cells: int | None = None, work: bool = False, prune: bool = True, adaptive: bool = False, sizes: list[int] | None = None, rows_each: int = 2_000_000) -> DataFrame:
     """Solutions by one replicated shuffle. A result's join variables name its cell, so none is found twice.
 
-    Each cell holds about rows * copies / cells edges and is solved in memory; ``cells`` should grow with the data.
+    Each cell holds about rows * copies / cells edges and is solved in memory; without ``cells`` there are as many as keep
+    that below ``rows_each``, 16 at least. ``sizes`` (edges of each pattern) decide the shares; they are counted where not
+    given. ``adaptive`` gives each partial binding an order of its own.
     """
-    sizes = [1000] * len(q.patterns)
+    if sizes is None:
+        sizes = [max(1, s.rows) for s in statistics(q, g)]
+    if cells is None:
+        cells = 16
+        while cells < 1 << 16 and _load(q, sizes, shares(q, sizes, cells)) > rows_each:
+            cells *= 2
     h = shares(q, sizes, cells)
     times = [f"{t}_{e}" for t in q.times for e in ("from", "to")]
     names = [*q.nodes, *times]
@@ -104,7 +119,7 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], cells: int = 16, wo
         r = g.frame.agg(F.min("ts"), F.max("te")).first()
         span = (_micros(r[0]), _micros(r[1])) if r[0] is not None else (0, 0)
     schema = "proposals long, answers long" if work else ", ".join([f"`{v}` string" for v in q.nodes] + [f"`{c}` long" for c in times])
-    out = dealt(q, g, h).groupBy("cell").applyInArrow(_kernel(q, order, names, span, work, prune), schema)
+    out = dealt(q, g, h).groupBy("cell").applyInArrow(_kernel(q, order, names, span, work, prune, adaptive), schema)
     if work or g.whole:
         return out
     return out.withColumns({c: F.timestamp_micros(c).cast(g.time_type) for c in times})

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..model.graph import TemporalGraph
 from ..model.query import PatternQuery, TimeVar
-from .pairwise import finish, scan
+from .pairwise import finish, meets, scan
 
 
 def step(rows: DataFrame | None, parts: dict[int, DataFrame], q: PatternQuery, v: str, bound: list[str]) -> DataFrame:
@@ -71,6 +71,8 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], prune: bool = True)
         for j in closed:
             if isinstance(t, TimeVar) and q.patterns[j].t == t:
                 on = on & (F.col(f"__ts{j}") < F.col(f"__te{i}")) & (F.col(f"__ts{i}") < F.col(f"__te{j}"))
+            elif prune and (m := meets(q, g, i, j)) is not None:
+                on = on & m
         closed.append(i)
         if rows is None:
             return part

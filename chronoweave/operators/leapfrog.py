@@ -59,14 +59,20 @@ def intersect_time(lists: list[list[tuple[int, int]]], lo: int, hi: int, mode: s
     return out
 
 
-def _pack(cols: list[np.ndarray], base: int) -> np.ndarray:
-    """One number for each row of a few columns of values below ``base``."""
-    if base ** max(1, len(cols)) >= 2**63:
-        raise OverflowError("too many terms in one cell")
-    key = np.zeros(len(cols[0]) if cols else 0, np.int64)
-    for c in cols:
-        key = key * base + c
-    return key
+def _joint(table: list[np.ndarray], probes: list[np.ndarray], base: int) -> tuple[np.ndarray, np.ndarray]:
+    """One number for each row of some columns of a table and of the same columns of probes, equal where the rows are.
+
+    Columns hold values below ``base``. Before a product would leave 62 bits, what is there is ranked over both sides.
+    The numbers times ``base`` stay below 63 bits.
+    """
+    n, m = (len(table[0]), len(probes[0])) if table else (0, 0)
+    key, size = np.zeros(n + m, np.int64), 1
+    for a, b in zip(table, probes, strict=True):
+        key, size = key * base + np.concatenate((a, b)), size * base
+        if size * base * base >= 1 << 62:
+            kept, key = np.unique(key, return_inverse=True)
+            key, size = key.astype(np.int64), max(1, len(kept))
+    return key[:n], key[n:]
 
 
 class Tables:
@@ -76,12 +82,6 @@ class Tables:
         self.q, self.cols, self.starts, self.stops, self.base = q, columns, starts, stops, max(2, base)
         self.proposals = 0
 
-    def _children(self, i: int, bound: list[str], v: str) -> tuple[np.ndarray, np.ndarray]:
-        """(prefix keys, values of v) of pattern ``i``, sorted and distinct."""
-        c = self.cols[i]
-        whole = np.unique(_pack([*[c[b] for b in bound], c[v]], self.base)) if bound else np.unique(c[v])
-        return whole // self.base, whole % self.base
-
     def bind(self, rows: dict[str, np.ndarray], n: int, v: str) -> tuple[dict[str, np.ndarray], int]:
         """All extensions of the bindings by ``v``."""
         sources = []
@@ -89,10 +89,10 @@ class Tables:
             if v not in p.variables:
                 continue
             bound = [b for b in p.variables if b in rows]
-            prefix, value = self._children(i, bound, v)
-            key = _pack([rows[b] for b in bound], self.base) if bound else np.zeros(n, np.int64)
-            if not bound:
-                prefix = np.zeros(len(value), np.int64)
+            c = self.cols[i]
+            own, key = _joint([c[b] for b in bound], [rows[b] for b in bound], self.base) if bound else (np.zeros(len(c[v]), np.int64), np.zeros(n, np.int64))
+            pairs = np.unique(own * self.base + c[v])  # children of each prefix, sorted and distinct
+            prefix, value = pairs // self.base, pairs % self.base
             sources.append((prefix, value, key, np.searchsorted(prefix, key, "left"), np.searchsorted(prefix, key, "right")))
         width = np.stack([hi - lo for *_, lo, hi in sources])
         chooser = width.argmin(0)
@@ -119,10 +119,9 @@ class Tables:
     def close(self, rows: dict[str, np.ndarray], n: int, i: int) -> tuple[dict[str, np.ndarray], int]:
         """Joins the intervals of pattern ``i`` whose variables are all bound, and narrows its time variable."""
         vs = self.q.patterns[i].variables
-        key = _pack([self.cols[i][v] for v in vs], self.base) if vs else np.zeros(len(self.starts[i]), np.int64)
+        key, mine = _joint([self.cols[i][v] for v in vs], [rows[v] for v in vs], self.base) if vs else (np.zeros(len(self.starts[i]), np.int64), np.zeros(n, np.int64))
         order = np.argsort(key, kind="stable")
         key, a, b = key[order], self.starts[i][order], self.stops[i][order]
-        mine = _pack([rows[v] for v in vs], self.base) if vs else np.zeros(n, np.int64)
         lo, hi = np.searchsorted(key, mine, "left"), np.searchsorted(key, mine, "right")
         size = hi - lo
         row = np.repeat(np.arange(n), size)
@@ -138,6 +137,46 @@ class Tables:
             return rows, int(keep.sum())
         return rows, len(row)
 
+    def solve_adaptive(self, order: list[str]) -> tuple[dict[str, np.ndarray], int]:
+        """All solutions with an order of its own for each partial binding: rows are parted by the variable that has the
+        fewest children below their binding, and each part goes on by itself. ``order`` only breaks ties."""
+        nodes = [v for v in order if v in self.q.nodes]
+        names = [*self.q.nodes, *dict.fromkeys(f"{p.t.name}_{e}" for p in self.q.patterns if isinstance(p.t, TimeVar) for e in ("from", "to"))]
+        done: list[tuple[dict[str, np.ndarray], int]] = []
+
+        def fewest(rows: dict[str, np.ndarray], n: int, v: str) -> np.ndarray:
+            out = np.full(n, np.iinfo(np.int64).max)
+            for i, p in enumerate(self.q.patterns):
+                bound = [b for b in p.variables if b in rows]
+                if v not in p.variables or (rows and not bound):
+                    continue
+                c = self.cols[i]
+                own, key = _joint([c[b] for b in bound], [rows[b] for b in bound], self.base) if bound else (np.zeros(len(c[v]), np.int64), np.zeros(n, np.int64))
+                prefix = np.unique(own * self.base + c[v]) // self.base
+                out = np.minimum(out, np.searchsorted(prefix, key, "right") - np.searchsorted(prefix, key, "left"))
+            return out
+
+        def go(rows: dict[str, np.ndarray], n: int, open_: frozenset[int]) -> None:
+            for i in sorted(open_):
+                if set(self.q.patterns[i].variables) <= set(rows):
+                    rows, n = self.close(rows, n, i)
+                    open_ = open_ - {i}
+            left = [v for v in nodes if v not in rows]
+            if not left or not n:
+                if n and not left:
+                    done.append((rows, n))
+                return
+            pick = np.stack([fewest(rows, n, v) for v in left]).argmin(0) if n else np.zeros(0, int)
+            for k in np.unique(pick):
+                mine = pick == k
+                part, size = self.bind({c: x[mine] for c, x in rows.items()}, int(mine.sum()), left[k])
+                go(part, size, open_)
+
+        go({}, 1, frozenset(range(len(self.q.patterns))))
+        if not done:
+            return {c: np.zeros(0, np.int64) for c in names}, 0
+        return {c: np.concatenate([r[c] for r, _ in done]) for c in names}, sum(n for _, n in done)
+
     def solve(self, order: list[str], prune: bool = True) -> tuple[dict[str, np.ndarray], int]:
         """All solutions, a row for each combination of edges; time variables narrow as early as the order has them."""
         rows: dict[str, np.ndarray] = {}

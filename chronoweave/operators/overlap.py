@@ -5,20 +5,25 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..model.ranks import part_of
 
-def bucket_bounds(df: DataFrame, at: str, buckets: int) -> list:
-    """Inner bounds of about equal numbers of starts; ``buckets`` - 1 values at most reach the driver."""
+
+def bucket_bounds(df: DataFrame, at: str, buckets: int | None = None, rows_each: int = 100_000) -> list:
+    """Inner bounds of about equal numbers of starts; without ``buckets`` as many as keep a bucket at ``rows_each`` starts,
+    from 8 to 4,096. One value a bound reaches the driver."""
+    if buckets is None:
+        buckets = min(4096, max(8, -(-df.count() // rows_each)))
     share = [i / buckets for i in range(1, buckets)]
     kind = df.schema[at].dataType.simpleString()
     num = F.col(at).cast("timestamp").cast("double") if kind.startswith("timestamp") else F.col(at).cast("double")
-    got = df.agg(F.percentile_approx(num, share, 2000).alias("q")).first()["q"] if share else []
+    got = df.agg(F.percentile_approx(num, share, max(2000, 4 * buckets)).alias("q")).first()["q"] if share else []
     return sorted(set(got or []))
 
 
 def bucket_of(at: Column, bounds: list, kind: str) -> Column:
-    """Number of bounds not later than the instant."""
+    """Number of bounds not later than the instant, looked up in two steps."""
     num = at.cast("timestamp").cast("double") if kind.startswith("timestamp") else at.cast("double")
-    return F.size(F.filter(F.array(*[F.lit(float(b)) for b in bounds]).cast("array<double>"), lambda b: b <= num))
+    return part_of(num, [float(b) for b in bounds], "double")
 
 
 def spread(df: DataFrame, ts: str, te: str, bounds: list, name: str = "__bucket") -> DataFrame:
@@ -31,7 +36,7 @@ def spread(df: DataFrame, ts: str, te: str, bounds: list, name: str = "__bucket"
     return df.withColumn(name, F.explode(F.sequence(bucket_of(F.col(ts), bounds, kind), last - on.cast("int"))))
 
 
-def overlap_join(left: DataFrame, right: DataFrame, on: list[str], lrange: tuple[str, str], rrange: tuple[str, str], buckets: int = 32) -> DataFrame:
+def overlap_join(left: DataFrame, right: DataFrame, on: list[str], lrange: tuple[str, str], rrange: tuple[str, str], buckets: int | None = None) -> DataFrame:
     """Rows whose half-open ranges meet. Columns of both sides stay; ``on`` columns appear once.
 
     With an equi key the overlap is a residual of the hash or merge join. Without one, both sides are spread over
@@ -53,7 +58,7 @@ def overlap_join(left: DataFrame, right: DataFrame, on: list[str], lrange: tuple
     return a.join(b, (F.col("__lb") == F.col("__rb")) & meet).filter(owner).drop("__lb", "__rb")
 
 
-def point_join(points: DataFrame, at: str, intervals: DataFrame, ts: str, te: str, buckets: int = 32) -> DataFrame:
+def point_join(points: DataFrame, at: str, intervals: DataFrame, ts: str, te: str, buckets: int | None = None) -> DataFrame:
     """Each point with the intervals that hold it: a bucket equi-join with the test as residual."""
     bounds = bucket_bounds(intervals.select(F.col(ts).alias("at")), "at", buckets)
     kind = intervals.schema[ts].dataType.simpleString()
@@ -61,7 +66,7 @@ def point_join(points: DataFrame, at: str, intervals: DataFrame, ts: str, te: st
     return a.join(spread(intervals, ts, te, bounds, "__rb"), (F.col("__lb") == F.col("__rb")) & (F.col(ts) <= F.col(at)) & (F.col(te) > F.col(at))).drop("__lb", "__rb")
 
 
-def asof(left: DataFrame, right: DataFrame, on: list[str], at: str, stamp: str, buckets: int = 64) -> DataFrame:
+def asof(left: DataFrame, right: DataFrame, on: list[str], at: str, stamp: str, buckets: int | None = None) -> DataFrame:
     """Each left row with the greatest ``stamp`` of the right side that is not later than ``at``.
 
     Without a key the axis is cut into buckets: the last stamp of all earlier buckets is carried over by a window

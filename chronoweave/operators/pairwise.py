@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model.graph import TemporalGraph
@@ -45,7 +45,18 @@ def finish(df: DataFrame, q: PatternQuery, g: TemporalGraph) -> DataFrame:
     return df.select(*q.nodes, *[c for t in q.times for c in ends(t)])
 
 
-def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16, hint: str | None = None, prune: bool = True) -> DataFrame:
+def meets(q: PatternQuery, g: TemporalGraph, i: int, j: int) -> Column | None:
+    """What clauses between the time variables of patterns ``i`` and ``j`` ask of their intervals; None if nothing."""
+    on = None
+    for c in q.clauses:
+        for a, b in ((i, j), (j, i)):
+            if isinstance(c.left, TimeVar) and isinstance(c.right, TimeVar) and c.left != c.right and q.patterns[a].t == c.left and q.patterns[b].t == c.right:
+                test = F.col(f"__ts{a}") < g.shift(F.col(f"__te{b}"), c.offset - (1 if c.strict else 0))
+                on = test if on is None else on & test
+    return on
+
+
+def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16, hint: str | None = None, prune: bool = True, scans: list[DataFrame] | None = None) -> DataFrame:
     """Solutions, one row for each combination of edges.
 
     A time variable that the order binds before a pattern's last node variable makes that pattern's join an
@@ -59,7 +70,7 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16,
     kind = g.time_type
     acc, bound, seen = None, set(), {}
     for i in pattern_order(q, order):
-        part, t = scan(q, i, g), q.patterns[i].t
+        part, t = scan(q, i, g) if scans is None else scans[i], q.patterns[i].t
         mine = lead is not None and t == TimeVar(lead)
         if mine:
             part = spread(part, f"__ts{i}", f"__te{i}", bounds, f"__b{i}")
@@ -80,8 +91,11 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16,
             if early or (isinstance(t, TimeVar) and not shared):
                 for j in peers:
                     on = on & (F.col(f"__ts{j}") < F.col(f"__te{i}")) & (F.col(f"__ts{i}") < F.col(f"__te{j}"))
+            tested = [m for j in seen if prune and (m := meets(q, g, i, j)) is not None]
+            for m in tested:
+                on = on & m
             part = part.hint(hint) if hint else part
-            acc = acc.join(part, on).drop(*[f"__{v}_{i}" for v in shared]) if shared or peers else acc.crossJoin(part)
+            acc = acc.join(part, on).drop(*[f"__{v}_{i}" for v in shared])
         bound |= set(vs)
         seen[i] = t
     if lead:

@@ -8,42 +8,51 @@ from pyspark.sql import functions as F
 from ..model.graph import TemporalGraph
 from ..model.query import Const, OrderClause, PatternQuery, TimeVar, parse
 from ..plans import order as plan
-from . import baselines, cells, generic, pairwise
+from . import baselines, cells, generic, pairwise, reduced
 from .results import canonicalise
 
-ROUTES = ("pairwise", "generic", "cells", "sweep", "expanded")
+ROUTES = ("pairwise", "generic", "reduced", "cells", "sweep", "expanded")
+
+
+def connected(q: PatternQuery) -> bool:
+    """Whether shared nodes, shared times and clauses hold all patterns together."""
+    groups: list[set[str]] = []
+    sets = [{*p.variables, *([f"@{p.t.name}"] if isinstance(p.t, TimeVar) else [])} for p in q.patterns]
+    sets += [{f"@{x.name}" for x in (c.left, c.right) if isinstance(x, TimeVar)} for c in q.clauses]
+    for s in filter(None, sets):
+        met = [x for x in groups if x & s]
+        groups = [x for x in groups if not x & s] + [s.union(*met)]
+    return len(groups) <= 1
 
 
 def cyclic(q: PatternQuery) -> bool:
     """Whether the patterns' variables cannot be reduced ear by ear (shared time left aside)."""
-    sets = [set(p.variables) for p in q.patterns]
-    moved = True
-    while moved and len(sets) > 1:
-        moved = False
-        for i, x in enumerate(sets):
-            rest = sets[:i] + sets[i + 1 :]
-            held = {v for v in x if any(v in y for y in rest)}
-            if any(held <= y for y in rest):
-                sets, moved = rest, True
-                break
-    return len(sets) > 1
-
-
-def solve(q: PatternQuery | str, g: TemporalGraph, strategy: str = "LC", route: str = "auto", order: list[str] | None = None, form: str = "ranges", limit: int | None = None, time_estimate: str = "covered_ticks", cells_: int = 16, buckets: int = 16) -> DataFrame:
+    return reduced.join_tree(q) is None
+
+
+def solve(q: PatternQuery | str, g: TemporalGraph, strategy: str = "LC", route: str = "auto", order: list[str] | None = None, form: str = "ranges", limit: int | None = None, time_estimate: str = "span_over_children", cells_: int | None = None, buckets: int = 16, products: bool = False) -> DataFrame:
     """Solutions of a query.
 
     ``strategy`` (JF, TF, LC) or an explicit ``order`` says when variables are bound; ``route`` how: a chain of joins,
-    one variable at a time, one replicated shuffle, or the baselines. ``form``: ``ranges`` (a row for each combination of
+    one variable at a time, semi-joins first (acyclic patterns), one replicated shuffle, or the baselines. ``LC_adaptive``
+    chooses anew for each partial binding, within cells. Patterns that nothing connects are refused unless ``products``. ``form``: ``ranges`` (a row for each combination of
     edges), ``canonical`` (ranges of a binding merged; one time variable), ``bindings`` (nodes alone, distinct).
     """
-    q = plan.normalise(parse(q) if isinstance(q, str) else q)
+    q, stats = plan.normalise(parse(q) if isinstance(q, str) else q), None
     if order is None:
-        if strategy == "LC":
-            order = plan.greedy(q, plan.statistics(q, g), "LC", time_estimate)
+        if strategy in ("LC", "LC_adaptive"):
+            stats = plan.statistics(q, g)
+            order = plan.greedy(q, stats, "LC", time_estimate)
         else:
             flat = [plan.PatternStats(1, {v: 1 for v in p.variables}, 1.0, 1) for p in q.patterns]
             order = plan.greedy(q, flat, strategy)
+    if not products and not connected(q):
+        raise ValueError("nothing connects some of the patterns: their product has to be asked for (products=True)")
     prune = strategy != "JF"
+    if strategy == "LC_adaptive":
+        route = "cells" if route == "auto" else route
+        if route != "cells":
+            raise ValueError("an order for each partial binding is kept within cells only")
     if strategy == "TF" and len(q.times) > 1 and route == "pairwise":
         raise ValueError("time-first with several time variables costs the product of their timelines")
     if route == "auto":
@@ -52,8 +61,10 @@ def solve(q: PatternQuery | str, g: TemporalGraph, strategy: str = "LC", route:
         out = pairwise.run(q, g, order, buckets, prune=prune)
     elif route == "generic":
         out = generic.run(q, g, order, prune)
+    elif route == "reduced":
+        out = reduced.run(q, g, order)
     elif route == "cells":
-        out = cells.run(q, g, order, cells_, prune=prune)
+        out = cells.run(q, g, order, cells_, prune=prune, adaptive=strategy == "LC_adaptive", sizes=[max(1, s.rows) for s in stats] if stats else None)
     elif route == "sweep":
         out = baselines.sweep(q, g, buckets=buckets)
     elif route == "expanded":

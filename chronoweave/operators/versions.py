@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model.graph import TemporalGraph
 from ..model.query import PatternQuery
+from ..model.ranks import running
 from ..plans.order import pattern_filter
 
 
@@ -49,9 +50,4 @@ def snapshot_sizes(g: TemporalGraph) -> DataFrame:
     """
     e = g.frame.select(F.col("ts").alias("at"), F.lit(1).alias("d")).union(g.frame.select("te", F.lit(-1)))
     net = e.groupBy("at").agg(F.sum("d").alias("d"))
-    parts = int(g.frame.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = net.repartitionByRange(parts, "at").withColumn("__p", F.spark_partition_id())
-    per = dealt.groupBy("__p").agg(F.sum("d").alias("__n"))
-    base = per.select("__p", F.coalesce(F.sum("__n").over(Window.orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__b"))
-    inner = Window.partitionBy("__p").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
-    return dealt.withColumn("__r", F.sum("d").over(inner)).join(F.broadcast(base), "__p").select("at", (F.col("__r") + F.col("__b")).cast("long").alias("live"))
+    return running(net, [], ["at"], {"live": "d"}).select("at", "live")

@@ -20,3 +20,18 @@ def fanout(g: TemporalGraph, prefixes: list[tuple[str, str]] | None = None, exac
         part = part.select(F.lit(f"{a}>{b}").alias("prefix"), "nodes", "children", "widest")
         out = part if out is None else out.unionByName(part)
     return out
+
+
+def label_stats(g: TemporalGraph) -> DataFrame:
+    """(p, rows, subjects, objects, pairs, length, span, instants): what least-children needs to know of each label.
+
+    One pass with sketches for distinct counts, one row a label; ``span`` and ``instants`` are the label's own.
+    """
+    e = g.frame
+    length = g.length(F.col("ts"), F.col("te"))
+    per = e.groupBy("p").agg(
+        F.count(F.lit(1)).alias("rows"), F.approx_count_distinct("s").alias("subjects"), F.approx_count_distinct("o").alias("objects"),
+        F.approx_count_distinct(F.struct("s", "o")).alias("pairs"),
+        F.avg(length).alias("length"), F.min("ts").alias("first"), F.max("te").alias("last"), F.approx_count_distinct("ts").alias("instants"),
+    )
+    return per.select("p", "rows", "subjects", "objects", "pairs", "length", g.length(F.col("first"), F.col("last")).alias("span"), "instants")

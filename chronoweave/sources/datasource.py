@@ -1,5 +1,6 @@
 """A Python data source ``temporal_edges``: Parquet edges laid out by label class and month, pruned by label and time.
 
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(TemporalEdges)
     spark.read.format("temporal_edges").option("path", p).load().filter("p = 'link' AND ts < '2024-02-01'")
 """

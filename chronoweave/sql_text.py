@@ -127,4 +127,33 @@ def pattern_sql(q: PatternQuery, name: str, mode: str = "times", source: str = "
     return over(name, f"SELECT {kind}{', '.join(cols) or '1 AS hit'} FROM {tables}" + (f" WHERE {' AND '.join(where)}" if where else ""))
 
 
-__all__ = ["RAW", "OrderClause", "Var", "graph_ctes", "literal", "over", "pattern_sql"]
+def stepwise_sql(q: PatternQuery, name: str) -> str:
+    """The same solutions for one shared time variable and no clauses, a pattern at a time: each pattern's edges are
+    filtered first, and every join is on shared nodes, in an order in which each pattern meets one before it."""
+    (t,) = {p.t.name for p in q.patterns}
+    if q.clauses or not all(isinstance(p.t, TimeVar) for p in q.patterns):
+        raise ValueError("one shared time variable and no clauses")
+    ctes, left = [], list(range(len(q.patterns)))
+    for i, p in enumerate(q.patterns):
+        where = [f"{c} = '{x.value}'" for c, x in p.terms if isinstance(x, Const)]
+        cols = [f'{c} AS "{x.name}"' for c, x in p.terms if isinstance(x, Var)]
+        ctes.append(f"f{i} AS MATERIALIZED (SELECT {', '.join([*cols, 'ts', 'te'])} FROM e{' WHERE ' + ' AND '.join(where) if where else ''})")
+    fixed = lambda i: sum(isinstance(x, Const) for _, x in q.patterns[i].terms)
+    first = max(left, key=lambda i: (fixed(i), -i))
+    left.remove(first)
+    bound, last = list(q.patterns[first].variables), f"f{first}"
+    while left:
+        i = max((j for j in left if set(q.patterns[j].variables) & set(bound)), key=lambda j: (len(set(q.patterns[j].variables) & set(bound)), fixed(j), -j))
+        left.remove(i)
+        vs = q.patterns[i].variables
+        on = " AND ".join(f'a."{v}" = b."{v}"' for v in vs if v in bound)
+        cols = [f'a."{v}"' for v in bound] + [f'b."{v}"' for v in vs if v not in bound]
+        step = f"SELECT {', '.join(cols)}, greatest(a.ts, b.ts) AS ts, least(a.te, b.te) AS te FROM {last} a JOIN f{i} b ON {on}"
+        last = f"j{i}"
+        ctes.append(f"{last} AS MATERIALIZED (SELECT * FROM ({step}) WHERE ts < te)")
+        bound += [v for v in vs if v not in bound]
+    cols = ", ".join(f'"{v}"' for v in q.nodes)
+    return f'WITH {graph_ctes(name)},\n' + ",\n".join(ctes) + f'\nSELECT {cols}, ts AS "{t}_from", te AS "{t}_to" FROM {last}'
+
+
+__all__ = ["RAW", "OrderClause", "Var", "graph_ctes", "literal", "over", "pattern_sql", "stepwise_sql"]

@@ -83,7 +83,7 @@ def test_index_store_and_packed_matrices(spark, tmp_path):
     index.save(f"file://{tmp_path}/ix")
     back = tries.load(spark, f"file://{tmp_path}/ix")
     events = {}
-    for r in sorted(tries.numbered_events(g, ["o"], index.width).collect(), key=lambda r: r["update"]):
+    for r in sorted(tries.numbered_events(g, "otps", index.width).collect(), key=lambda r: r["update"]):
         events.setdefault(r["o"], []).append((r["key"], r["sign"]))
     rows = {}
     for r in back.matrices["otps"].collect():
