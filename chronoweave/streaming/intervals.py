@@ -103,6 +103,28 @@ def with_late(events: DataFrame, at: str, horizon: str) -> DataFrame:
     return events.withColumn("late", F.col(at) < F.col("arrived") - F.expr(f"INTERVAL {horizon}"))
 
 
+def divert_late(events: DataFrame, at: str, horizon: str) -> tuple[DataFrame, DataFrame]:
+    """(rows on time, late rows) by ``with_late``: late ones go to a sink of their own, before anything with state could drop them."""
+    told = with_late(events, at, horizon)
+    return told.filter("NOT late").drop("late"), told.filter("late").drop("late")
+
+
+def solve_batches(q: PatternQuery, base: TemporalGraph, out: str):
+    """A ``foreachBatch`` sink of new edges: writes the solutions that each batch adds to the base and all earlier batches.
+
+    Batches and their edges carry the batch number, so a batch that is run again replaces itself.
+    """
+
+    def sink(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        batch.select(*EDGE).write.mode("overwrite").parquet(f"{out}-edges/batch={number}")
+        seen = spark.read.schema(batch.select(*EDGE).schema.add("batch", "long")).parquet(f"{out}-edges")
+        old = base.of(base.frame.select(*EDGE).unionByName(seen.filter(F.col("batch") < number).select(*EDGE)))
+        delta_solve(q, old, base.of(seen.filter(F.col("batch") == number).select(*EDGE))).write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+    return sink
+
+
 def apply_events(base_path: str):
     """A ``foreachBatch`` sink of edge changes (s, p, o, ts, te, op): appends each batch as a delta run.
 
