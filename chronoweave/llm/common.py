@@ -3,10 +3,19 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import os
+import re
+import sys
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from functools import wraps
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -22,9 +31,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession, label: str) -> str:
-    """A fresh path in the folder all executors share (``spark.checkpoint.dir``), a local one only if that is unset."""
+    """A fresh path in the folder all executors share (``spark.checkpoint.dir``).
+
+    Where that is unset, a temporary folder serves if the driver and its executors are one process (``local``); on
+    a cluster no folder is known to be shared then, which is an error.
+    """
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.match(r"local($|\[)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + os.path.join(tempfile.gettempdir(), "chronoweave-scratch")
     path = f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
     _made.append((spark, path))
@@ -51,6 +66,68 @@ def _sweep() -> None:
             return
 
 
+def unique_ids(docs: DataFrame) -> bool:
+    """Whether ``doc_id`` is a whole number that no two rows share; only ids are shuffled to find out."""
+    ids = docs.select(F.col("doc_id").cast("long").alias("i")).groupBy("i").agg(F.count(F.lit(1)).alias("n"))
+    return ids.filter("n > 1 OR i IS NULL").limit(1).isEmpty()
+
+
+def identified(docs: DataFrame, name: str = "__row") -> DataFrame:
+    """``docs`` with a number in ``name`` that no two rows share: ``doc_id`` where it is one, else a stored copy is numbered.
+
+    The copy is written because a row's number must not change when it is read again.
+    """
+    if unique_ids(docs):
+        return docs.withColumn(name, F.col("doc_id").cast("long"))
+    return stored(docs.withColumn(name, F.monotonically_increasing_id()), "identified")
+
+
+class Memo(dict):
+    """What ``make`` gave for the keys met, up to about ``limit`` bytes; emptied when full. Long keys are not kept."""
+
+    def __init__(self, make: Callable, limit: int = 32 << 20, longest: int = 256) -> None:
+        self.make, self.limit, self.longest, self.held = make, limit, longest, 0
+
+    def __missing__(self, key):
+        value = self.make(key)
+        if len(key) <= self.longest:
+            self.held += 104 + sys.getsizeof(key) + sys.getsizeof(value)
+            if self.held > self.limit:
+                self.clear()
+                self.held = 0
+            self[key] = value
+        return value
+
+
+def slices(batch: pa.RecordBatch, text: int, rows: int = 512, size: int = 1 << 20) -> Iterator[pa.RecordBatch]:
+    """A batch in slices of at most ``rows`` rows and ``size`` bytes of column ``text``; a longer text is a slice of its own."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(text)), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+    at = 0
+    while at < batch.num_rows:
+        past = int(ends[at - 1]) if at else 0
+        stop = min(at + rows, max(at + 1, int(np.searchsorted(ends, past + size, "right"))))
+        yield batch.slice(at, stop - at)
+        at = stop
+
+
+def frugal(run: Callable) -> Callable:
+    """An Arrow task that gives its memory back at its end: Python workers live on and serve later tasks."""
+
+    @wraps(run)
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL("libc.so.6").malloc_trim(0)
+            except (OSError, AttributeError):  # another C library
+                pass
+
+    return whole
+
+
 def word_count(text: Column) -> Column:
     """Words of a text, null counting as none."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")

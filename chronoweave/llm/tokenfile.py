@@ -21,11 +21,12 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.taskcontext import TaskContext
 
-from .common import scratch, table
+from .common import frugal, scratch, slices, table
 
 BLOCK = 4096
 PERCENTILES = (50, 75, 90, 95, 99, 100)
@@ -34,16 +35,20 @@ SEGMENT_SCHEMA = "task int, seq int, ids_before long, n_ids long, doc_ids binary
 
 def pack_block(ids: np.ndarray) -> bytes:
     low = int(ids.min())
-    rest = (ids.astype(np.int64) - low).astype(np.uint32)
+    rest = (ids.astype(np.int64) - low).astype("<u4")
     n = len(ids)
-    ranked = np.sort(rest)
-    widths = {int(ranked[min(n - 1, n * q // 100)]).bit_length() for q in PERCENTILES}
-    width = min(widths, key=lambda w: (n * w + 7) // 8 + 6 * (n - int(np.searchsorted(ranked, 1 << w))))
+    # bit lengths have the same percentiles as the values, and 33 of them need no sorting
+    upto = np.cumsum(np.bincount(np.frexp(rest.astype(np.float64))[1], minlength=33))
+    widths = {int(np.searchsorted(upto, min(n - 1, n * q // 100), "right")) for q in PERCENTILES}
+    width = min(widths, key=lambda w: ((n * w + 7) // 8 + 6 * (n - int(upto[w])), w))
     over = np.flatnonzero(rest >> np.uint32(width)) if width < 32 else np.zeros(0, np.int64)
     head = np.array([n], "<u2").tobytes() + bytes([width]) + np.array([len(over)], "<u2").tobytes() + np.array([low], "<u4").tobytes()
-    bits = np.unpackbits(rest.astype("<u4").view(np.uint8).reshape(n, 4), axis=1, bitorder="little")[:, :width]
+    held = -(-width // 8)
+    raw = np.ascontiguousarray(rest.view(np.uint8).reshape(n, 4)[:, :held])
+    if width % 8:
+        raw = np.packbits(np.unpackbits(raw, axis=1, bitorder="little")[:, :width], bitorder="little")
     high = (rest[over] >> np.uint32(width)).astype("<u4") if width < 32 else np.zeros(0, "<u4")
-    return head + np.packbits(bits, bitorder="little").tobytes() + over.astype("<u2").tobytes() + high.tobytes()
+    return head + raw.tobytes() + over.astype("<u2").tobytes() + high.tobytes()
 
 
 def unpack_block(data: bytes, at: int) -> np.ndarray:
@@ -51,10 +56,15 @@ def unpack_block(data: bytes, at: int) -> np.ndarray:
     k, low = int(np.frombuffer(data, "<u2", 1, at + 3)[0]), int(np.frombuffer(data, "<u4", 1, at + 5)[0])
     at += 9
     size = (n * width + 7) // 8
-    bits = np.unpackbits(np.frombuffer(data, np.uint8, size, at), bitorder="little", count=n * width).reshape(n, width)
-    full = np.zeros((n, 32), np.uint8)
-    full[:, :width] = bits
-    out = np.packbits(full, axis=1, bitorder="little").view("<u4").ravel().astype(np.int64)
+    held = -(-width // 8)
+    raw = np.frombuffer(data, np.uint8, size, at)
+    if width % 8:
+        full = np.zeros((n, 8 * held), np.uint8)
+        full[:, :width] = np.unpackbits(raw, bitorder="little", count=n * width).reshape(n, width)
+        raw = np.packbits(full, axis=1, bitorder="little")
+    wide = np.zeros((n, 4), np.uint8)
+    wide[:, :held] = raw.reshape(n, held)
+    out = wide.view("<u4").ravel().astype(np.int64)
     at += size
     where = np.frombuffer(data, "<u2", k, at)
     out[where] |= np.frombuffer(data, "<u4", k, at + 2 * k).astype(np.int64) << width
@@ -78,96 +88,120 @@ def unpack(index: bytes, payload: bytes, lo: int = 0, hi: int | None = None) ->
     return out[lo - first * BLOCK : None if hi is None else hi - first * BLOCK]
 
 
-#: A space behind one of these does not begin a piece (white space other than the space itself; fixed values).
-_TAILS = [c + " " for c in "\n\t\r\x0b\x0c\x85\xa0\u1680\u2028\u2029\u202f\u205f\u3000" + "".join(map(chr, range(0x2000, 0x200B)))]
+def cuts(raw: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Bytes of UTF-8 texts, the first of each at ``first``, at which a piece of the library's split begins whatever stands around.
 
-
-class WordEncoder:
+    These are: a space behind a visible character; ASCII punctuation (no apostrophe) or a line end behind an ASCII
+    letter; a letter behind a line end that stands behind a visible character. Behind a character outside ASCII a
+    space only counts if no Unicode white space ends in the same two bytes.
+    """
+    before = np.concatenate((np.zeros(1, np.uint8), raw[:-1]))
+    second = np.concatenate((np.zeros(1, np.uint8), before[:-1]))
+    kind = _KIND[raw]
+    old = _KIND[before]
+    visible = old >= 2
+    wide = np.flatnonzero(old == 4)
+    visible[wide] = ~(_TAIL_LAST[before[wide]] & _TAIL_SECOND[second[wide]])
+    begin = ((raw == 0x20) & visible) | ((old == 3) & ((kind == 2) | (raw == 0x0A)))
+    begin |= (kind == 3) & (before == 0x0A) & ((_KIND[second] == 2) | (_KIND[second] == 3))
+    begin[first[first < len(raw)]] = True
+    return np.flatnonzero(begin)
+
+
+def _byte_kinds() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Kind of a byte (0 white space or control, 1 apostrophe and digits, 2 punctuation, 3 ASCII letter, 4 beyond ASCII),
+    and the last two bytes of Unicode white space beyond ASCII."""
+    kind = np.zeros(256, np.uint8)
+    for c in range(0x21, 0x7F):
+        kind[c] = 3 if chr(c).isalpha() else 2
+    kind[0x30:0x3A], kind[0x27], kind[0x80:] = 1, 1, 4
+    last, second = np.zeros(256, bool), np.zeros(256, bool)
+    for c in filter(str.isspace, map(chr, range(0x80, 0x3001))):
+        last[c.encode()[-1]] = second[c.encode()[-2]] = True
+    return kind, last, second
+
+
+_KIND, _TAIL_LAST, _TAIL_SECOND = _byte_kinds()
+
+
+class ChunkEncoder:
     """Encodes through the tokenizers library, in chunks cut where a piece of its split always begins.
 
-    A space behind a non-space character always begins a piece, so a text is encoded chunk by chunk. Chunks met
-    before come from a cache; of the others, what is left when closing punctuation and single line ends are cut off
-    (which are pieces of their own) goes to the library, all of a batch together.
+    The chunks of a batch become codes of a dictionary (Arrow), so that each different one is looked at once. Those met
+    in earlier batches are known by their ids; the others go to the library, many together. What is known is held in
+    flat arrays, up to ``limit`` chunks and ``room`` bytes, and starts anew beyond.
     """
 
-    def __init__(self, path: str, cache_size: int = 1 << 20) -> None:
+    def __init__(self, path: str, limit: int = 1 << 20, room: int = 24 << 20) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.limit, self.cache = cache_size, {}
+        self.limit, self.room = limit, room
         self.line_end = self.tokenizer.encode("\n", add_special_tokens=False).ids[0]
+        self.forget()
+
+    def forget(self) -> None:
+        self.known, self.ids, self.size = pa.array([], pa.string()), np.zeros(0, "<u4"), np.zeros(0, np.int64)
 
-    @staticmethod
-    def chunks(text: str) -> list[str]:
-        parts = text.split(" ")
-        out = [parts[0]]
-        if "" not in parts and not any(t in text for t in (_TAILS[:5] if text.isascii() else _TAILS)):
-            out += [" " + p for p in parts[1:]]
-            return out
-        for before, p in zip(parts, parts[1:]):
-            if before and before + " " not in _TAILS and before[-1] + " " not in _TAILS:
-                out.append(" " + p)
-            else:
-                out[-1] += " " + p
-        return out
-
-    @staticmethod
-    def parts(chunk: str) -> list[str]:
-        """Cuts before a closing full stop or comma behind a letter or digit, and around a line end between non-spaces."""
-        tail = []
-        if len(chunk) > 1 and chunk[-1] in ".," and chunk[-2].isalpha():
-            chunk, tail = chunk[:-1], [chunk[-1]]
-        if "\n" in chunk:
-            a, b = chunk.split("\n", 1)
-            if a.strip() and b and not a[-1].isspace() and not b[0].isspace():
-                return [*WordEncoder.parts(a), "\n", *WordEncoder.parts(b), *tail]
-        return [chunk, *tail]
-
-    def _encoded(self, chunks: list[str], together: int = 256) -> dict[str, bytes]:
-        """Ids of chunks as bytes. Plain ones go to the library many at a time with line ends between, which are
-        always a token of their own there; chunks with other white space go one by one."""
+    def fresh(self, chunks: list[str], together: int = 256) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all chunks in a row, ids of each). Plain chunks go to the library many at a time with line ends
+        between, which are always a token of their own there; chunks with other white space go one by one."""
+        out: list = [None] * len(chunks)
         plain, odd = [], []
-        for c in chunks:
-            (plain if not c[-1].isspace() and not c[1:2].isspace() and (c[0] == " " or not c[0].isspace()) and "\n" not in c else odd).append(c)
-        out: dict[str, bytes] = {}
+        for i, c in enumerate(chunks):
+            bare = c[1:] if c[0] == " " else c
+            (plain if bare and not bare[0].isspace() and not bare[-1].isspace() and "\n" not in bare else odd).append(i)
         groups = [plain[a : a + together] for a in range(0, len(plain), together)]
-        for group, e in zip(groups, self.tokenizer.encode_batch_fast(["\n".join(g) for g in groups], add_special_tokens=False), strict=True):
+        for group, e in zip(groups, self.tokenizer.encode_batch_fast(["\n".join([chunks[i] for i in g]) for g in groups], add_special_tokens=False), strict=True):
             ids = np.array(e.ids, "<u4")
             cut = np.flatnonzero(ids == self.line_end)
             if len(cut) != len(group) - 1:
                 odd += group
                 continue
-            raw, ends = ids.tobytes(), [*(4 * cut).tolist(), 4 * len(ids)]
-            out.update(zip(group, (raw[a:b] for a, b in zip([0, *(x + 4 for x in ends[:-1])], ends, strict=True)), strict=True))
-        for c, e in zip(odd, self.tokenizer.encode_batch_fast(odd, add_special_tokens=False), strict=True):
-            out[c] = np.array(e.ids, "<u4").tobytes()
-        return out
-
-    def encode(self, texts: list[str | None]) -> list[np.ndarray]:
-        from itertools import chain
-
-        cut = [self.chunks(t) if t else [] for t in texts]
-        if len(self.cache) > self.limit:
-            self.cache.clear()
-        cache = self.cache
-        fresh = {c: self.parts(c) for c in set(chain.from_iterable(cut)).difference(cache)}
-        new = list(set(chain.from_iterable(fresh.values())).difference(cache))
-        cache.update(self._encoded(new))
-        get = cache.__getitem__
-        for c, ps in fresh.items():
-            if len(ps) > 1:
-                cache[c] = b"".join(map(get, ps))
-        out = [np.frombuffer(b"".join(map(get, cs)), "<u4") for cs in cut]
-        for c in new:
-            if len(c) > 256:
-                del cache[c]
-        return out
+            ends = [*cut.tolist(), len(ids)]
+            for i, a, b in zip(group, [0, *(x + 1 for x in ends[:-1])], ends, strict=True):
+                out[i] = ids[a:b]
+        for i, e in zip(odd, self.tokenizer.encode_batch_fast([chunks[i] for i in odd], add_special_tokens=False), strict=True):
+            out[i] = np.array(e.ids, "<u4")
+        return np.concatenate(out) if out else np.zeros(0, "<u4"), np.fromiter(map(len, out), np.int64, len(out))
+
+    def encode(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of each text; null has none."""
+        texts = pc.fill_null(texts.cast(pa.string()), "")
+        ends = np.cumsum(pc.binary_length(texts).to_numpy(zero_copy_only=False), dtype=np.int64)
+        first = np.concatenate((np.zeros(1, np.int64), ends[:-1])) if len(ends) else ends
+        raw = np.frombuffer(b"".join(t.as_buffer() for t in texts), np.uint8)
+        if not len(raw):
+            return [np.zeros(0, "<u4")] * len(texts)
+        at = cuts(raw, first)
+        bounds = np.append(at, len(raw)).astype(np.int32)
+        chunks = pa.StringArray.from_buffers(len(at), pa.py_buffer(bounds), pa.py_buffer(raw)).dictionary_encode()
+        names = chunks.dictionary
+        code = pc.index_in(names, value_set=self.known)
+        new = names.filter(code.is_null())
+        if len(self.known) + len(new) > self.limit or self.known.nbytes + new.nbytes > self.room:
+            self.forget()
+            code, new = pa.nulls(len(names), pa.int32()), names
+        flat, size = self.fresh(new.to_pylist())
+        base = len(self.known)
+        self.known = pa.concat_arrays([self.known, new])
+        self.ids, self.size = np.concatenate((self.ids, flat)), np.concatenate((self.size, size))
+        code = code.to_numpy(zero_copy_only=False).astype(np.float64)
+        gap = np.isnan(code)
+        code[gap] = base + np.arange(int(gap.sum()))
+        use = code.astype(np.int64)[chunks.indices.to_numpy()]
+        start = np.cumsum(self.size) - self.size
+        n = self.size[use]
+        stop = np.cumsum(n)
+        ids = self.ids[np.repeat(start[use] - (stop - n), n) + np.arange(int(stop[-1]))]
+        of = np.concatenate((np.zeros(1, np.int64), stop))[np.searchsorted(at, np.append(first, len(raw)))]
+        return [ids[a:b] for a, b in zip(of[:-1].tolist(), of[1:].tolist(), strict=True)]
 
 
 @lru_cache(2)
-def word_encoder(path: str) -> WordEncoder:
-    return WordEncoder(path)
+def chunk_encoder(path: str) -> ChunkEncoder:
+    return ChunkEncoder(path)
 
 
 def _segments(path: str, end_id: int, ids_per_segment: int):
@@ -175,7 +209,7 @@ def _segments(path: str, end_id: int, ids_per_segment: int):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        enc = word_encoder(path)
+        enc = chunk_encoder(path)
         task = TaskContext.get().partitionId()
         seq, before, held, keys, nulls = 0, 0, [], [], []
 
@@ -191,9 +225,8 @@ def _segments(path: str, end_id: int, ids_per_segment: int):
 
         size = 0
         for batch in batches:
-            ids_of, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for a in range(0, len(texts), 512):
-                for key, ids in zip(ids_of[a : a + 512], enc.encode(texts[a : a + 512]), strict=True):
+            for part in slices(batch, 1, 8192, 4 << 20):
+                for key, ids in zip(part.column(0).to_pylist(), enc.encode(part.column(1)), strict=True):
                     held.append(np.append(ids, np.uint32(end_id)))
                     keys.append(0 if key is None else key)
                     nulls.append(key is None)
@@ -210,7 +243,7 @@ def _segments(path: str, end_id: int, ids_per_segment: int):
 def write_tokens(docs: DataFrame, out: str, tokenizer: str, end_id: int = 0, ids_per_segment: int = 1 << 20) -> None:
     """Encode every text and write its ids, with ``end_id`` after each document, to ``out``."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    rows.mapInArrow(_segments(tokenizer, end_id, ids_per_segment), SEGMENT_SCHEMA).write.option("compression", "none").parquet(out)
+    rows.mapInArrow(frugal(_segments(tokenizer, end_id, ids_per_segment)), SEGMENT_SCHEMA).write.option("compression", "none").parquet(out)
 
 
 def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -237,7 +270,7 @@ def segments(spark: SparkSession, path: str) -> DataFrame:
 
 def read_documents(spark: SparkSession, path: str) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32) of each document, from the files alone."""
-    return segments(spark, path).select("base", "ids_before", "doc_ids", "doc_null", "doc_lens", "index", "payload").mapInArrow(_documents, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return segments(spark, path).select("base", "ids_before", "doc_ids", "doc_null", "doc_lens", "index", "payload").mapInArrow(frugal(_documents), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def tokenizer_file() -> str:
