@@ -4,14 +4,16 @@ Every run of ``words`` words (25) that stands at an earlier place too, whatever
 is a repeat. Two rounds find all of them. First, each window of 25 words names one anchor in it, the 13-word run
 of least hash, so equal windows name equal anchors and neighbours mostly share one; anchor hashes are counted
 over all documents with partial sums. Second, only windows whose anchor stands at several places are hashed
-themselves (64 bits); the first place of each repeated hash is the least (doc_id, row, place), and the words under
-any other place are removed. Words beside a repeat that go with it by chance stay: of a sentence (cut at
-sentence ends, commas before white space and line ends) that is covered in part, a stretch of fewer than five words is kept.
-
-Defined results: null, empty and blank texts have no sentences; a text shorter than a window is never touched;
-rows of equal doc_id are told apart by their text hash; a null doc_id sorts first; repeats within one document
-count like others; an empty table stays empty; extra columns are ignored; words are runs of anything but white space; a sentence
-counts as removed when any of its words is.
+themselves; a window is known by its own hash and its anchor's, 128 bits together. The first place of each repeated
+window is the least (row, place), and the words under any other place are removed. Words beside a repeat that go with it
+by chance stay: of a sentence (cut at sentence ends, commas before white space and line ends, so clauses count as
+sentences here) that is covered in part, a stretch of fewer than five words is kept. What is joined back to the places is
+written first, so a very common line, which makes one hash hot, is split at run time instead of going to one task.
+
+Defined results: null, empty and blank texts have no sentences; a text shorter than a window is never touched, a very
+long one is judged by all its windows; rows come in the order of doc_id where it is unique and no null, else in that of the
+table, equal rows included; repeats within one document count like others; an empty table stays empty; extra columns are ignored;
+words are runs of anything but white space; a sentence counts as removed when any of its words is.
 """
 
 from __future__ import annotations
@@ -26,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import frugal, identified, slices, stored, table
 
 CUT = re.compile(r"(?<=[.!?,;:])\s+|\n+")
 WORD = re.compile(r"\S+")
@@ -82,45 +84,41 @@ def named(h: np.ndarray, size: np.ndarray, words: int) -> tuple[np.ndarray, np.n
     return start, at[start], v
 
 
-_PLACES = "doc_id long, row long, place int, hash long"
-
-
-def _places(ids: pa.Array, rows: pa.Array, size: np.ndarray, at: np.ndarray, hashes: np.ndarray) -> pa.RecordBatch:
+def _places(rows: pa.Array, size: np.ndarray, at: np.ndarray, **hashes: np.ndarray) -> pa.RecordBatch:
     text = np.repeat(np.arange(len(size)), size)[at]
     first = np.cumsum(size) - size
-    take = pa.array(text)
-    return pa.RecordBatch.from_arrays([ids.take(take), rows.take(take), pa.array((at - first[text]).astype(np.int32)), pa.array(hashes[at].view(np.int64))], ["doc_id", "row", "place", "hash"])
+    return pa.RecordBatch.from_arrays([rows.take(pa.array(text)), pa.array((at - first[text]).astype(np.int32)), *[pa.array(h.view(np.int64)) for h in hashes.values()]], ["row", "place", *hashes])
 
 
 def anchor_table(docs: DataFrame, words: int) -> DataFrame:
-    """(doc_id, row, place, hash) of every anchor; ``row`` tells rows of equal doc_id apart."""
+    """(row, place, hash) of every anchor."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for begin in range(0, batch.num_rows, 256):
-                part = batch.slice(begin, 256)
-                h, size = word_hashes(part.column(2).to_pylist())
+            for part in slices(batch, 1, 256):
+                h, size = word_hashes(part.column(1).to_pylist())
                 _, at, v = named(h, size, words)
-                yield _places(part.column(0), part.column(1), size, np.unique(at), v)
+                at = np.unique(at)
+                yield _places(part.column(0), size, at, hash=v[at])
 
-    return docs.select("doc_id", "row", "text").mapInArrow(run, _PLACES)
+    return docs.select("row", "text").mapInArrow(frugal(run), "row long, place int, hash long")
 
 
 def window_table(docs: DataFrame, words: int) -> DataFrame:
-    """(doc_id, row, place, hash) of every window whose anchor's place is in ``places``."""
+    """(row, place, hash, anchor) of every window whose anchor's place is in ``places``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for begin in range(0, batch.num_rows, 256):
-                part = batch.slice(begin, 256)
-                h, size = word_hashes(part.column(2).to_pylist())
-                start, at, _ = named(h, size, words)
+            for part in slices(batch, 1, 256):
+                h, size = word_hashes(part.column(1).to_pylist())
+                start, at, v = named(h, size, words)
                 hit = np.zeros(len(h) + 1, bool)
-                for f, own in zip((np.cumsum(size) - size).tolist(), part.column(3).to_pylist(), strict=True):
+                for f, own in zip((np.cumsum(size) - size).tolist(), part.column(2).to_pylist(), strict=True):
                     hit[np.array(own, np.int64) + f] = True
-                yield _places(part.column(0), part.column(1), size, start[hit[at]], rolled(h, words))
+                keep = hit[at]
+                yield _places(part.column(0), size, start[keep], hash=rolled(h, words)[start[keep]], anchor=v[at[keep]])
 
-    return docs.select("doc_id", "row", "text", "places").mapInArrow(run, _PLACES)
+    return docs.select("row", "text", "places").mapInArrow(frugal(run), "row long, place int, hash long, anchor long")
 
 
 def removed(text: str, places: list[int], words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -143,8 +141,7 @@ def removed(text: str, places: list[int], words: int) -> tuple[np.ndarray, np.nd
 def _keep(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+            for part in slices(batch, 1, 256):
                 total, gone, kept = [], [], []
                 for t, places in zip(part.column(1).to_pylist(), part.column(2).to_pylist(), strict=True):
                     total.append(len(sentences(t)))
@@ -164,22 +161,22 @@ def _keep(words: int):
 
 
 def _per_row(places: DataFrame) -> DataFrame:
-    return places.groupBy(F.col("doc_id").alias("d"), F.col("row").alias("r")).agg(F.collect_set("place").alias("places"))
+    return places.groupBy(F.col("row").alias("r")).agg(F.collect_set("place").alias("places"))
 
 
 def deduplicate(docs: DataFrame, words: int = 25) -> DataFrame:
     """(doc_id, n_sentences, n_removed, text): texts without the words of non-first repeated windows."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("row"), "text")
-    anchors = anchor_table(docs, words)
-    again = anchors.groupBy("hash").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("hash")
-    per = stored(_per_row(anchors.join(again, "hash")), "span-anchors")
-    same = docs["doc_id"].eqNullSafe(per["d"]) & (docs["row"] == per["r"])
-    spans = stored(window_table(docs.join(per, same), words), "span-windows")
-    firsts = spans.groupBy("hash").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "row", "place")).alias("head")).filter("n > 1").select("hash", "head")
-    later = spans.join(firsts, "hash").filter(F.struct("doc_id", "row", "place") != F.col("head"))
+    docs = identified(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), "row")
+    anchors = stored(anchor_table(docs, words), "span-anchors")
+    again = stored(anchors.groupBy("hash").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("hash"), "span-again")
+    per = stored(_per_row(anchors.join(again, "hash")), "span-named")
+    spans = stored(window_table(docs.join(per, docs["row"] == per["r"]), words), "span-windows")
+    key = ["hash", "anchor"]
+    firsts = spans.groupBy(*key).agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("row", "place")).alias("head")).filter("n > 1").select(*key, "head")
+    later = spans.join(stored(firsts, "span-firsts"), key).filter(F.struct("row", "place") != F.col("head"))
     cover = stored(_per_row(later), "span-cover")
-    both = docs.join(cover, docs["doc_id"].eqNullSafe(cover["d"]) & (docs["row"] == cover["r"]), "left")
-    return both.select("doc_id", "text", "places").mapInArrow(_keep(words), "doc_id long, n_sentences long, n_removed long, text string")
+    both = docs.join(cover, docs["row"] == cover["r"], "left")
+    return both.select("doc_id", "text", "places").mapInArrow(frugal(_keep(words)), "doc_id long, n_sentences long, n_removed long, text string")
 
 
 def op5_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
