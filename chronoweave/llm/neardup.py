@@ -8,16 +8,16 @@ is missed with probability 2e-7, more similar ones far less.
 No bucket is expanded into all its pairs. In each round every bucket ties its members to one representative;
 pairs whose one-byte signatures speak clearly against the link are dropped, the others are confirmed on the
 full sets, and components are formed. Buckets whose members are all in one component are done. The documents of
-the other buckets are compared across components by their rarest shingles: in one common order of rarity two linked
-sets share a shingle within the first places of both, and all pairs of different components that do, early enough
-for the rest to reach the similarity, are confirmed. That step is exact for any order; rarity only makes it selective,
-as the shingles of a large group of alike texts come last. So links between components are found whatever the
-representatives were.
+the other buckets are compared across components by their rarest shingles: all their shingles are counted, and in
+the order of those counts two linked sets share a shingle within the first places of both; all pairs of different
+components that do, early enough for the rest to reach the similarity, are confirmed. That step is exact for any order; rarity
+only makes it selective, as the shingles of a large group of alike texts come last. So links between components
+are found whatever the representatives were. No two documents of one component meet in that join.
 
 Defined results: null, empty and blank texts have an empty set and are linked with nothing; a text of fewer
-words than a shingle is one shingle; rows of equal doc_id are one document with the union of nothing: the
-row with the smallest text hash stands for them; null doc_ids are left out; ties do not matter, as every link counts;
-an empty table gives no rows; extra columns are ignored.
+words than a shingle is one shingle, a very long one a set like others; where doc_ids are null or repeated, each row is
+a document of its own, and the component of a row is the least non-null doc_id of the rows it reaches; ties do not matter,
+as every link counts; equal rows are linked; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,23 +27,18 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import Memo, frugal, slices, stored, table, unique_ids
 from .components import components
 
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 
 
-class WordHash(dict):
-    """Word (bytes) -> 64-bit hash; emptied when full."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 1 << 19:
-            self.clear()
-        h = self[word] = xxhash.xxh64_intdigest(word)
-        return h
+def word_hashes() -> Memo:
+    """Word (bytes) -> 64-bit hash."""
+    return Memo(xxhash.xxh64_intdigest, 24 << 20)
 
 
 def shingle_set(text: str | None, words: int, cache: dict) -> np.ndarray:
@@ -77,14 +72,12 @@ def minima(s: np.ndarray, a: np.ndarray, b: np.ndarray, chunk: int = 256) -> np.
 
 def _sketch(words: int, bands: int, rows: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache = WordHash()
+        cache = word_hashes()
         a, b = hash_family(bands * rows)
         for batch in batches:
-            ids, texts = batch.column(0), batch.column(1)
-            for at in range(0, batch.num_rows, 256):
-                part = texts.slice(at, 256).to_pylist()
+            for part in slices(batch, 1, 256):
                 n, set_hash, sigs, keys = [], [], [], []
-                for t in part:
+                for t in part.column(1).to_pylist():
                     s = shingle_set(t, words, cache)
                     n.append(len(s))
                     set_hash.append(xxhash.xxh3_128_digest(s.tobytes()))
@@ -96,54 +89,54 @@ def _sketch(words: int, bands: int, rows: int):
                     sigs.append((m >> np.uint64(40)).astype(np.uint8).tobytes())
                     raw = m.tobytes()
                     keys.append([xxhash.xxh64_intdigest(raw[8 * rows * i : 8 * rows * (i + 1)], i) - (1 << 63) for i in range(bands)])
-                yield pa.RecordBatch.from_arrays([ids.slice(at, 256), pa.array(n, pa.int64()), pa.array(set_hash, pa.binary()), pa.array(sigs, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set_hash", "sig", "bands"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(set_hash, pa.binary()), pa.array(sigs, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set_hash", "sig", "bands"])
 
     return run
 
 
 def sketches(docs: DataFrame, words: int, bands: int, rows: int) -> DataFrame:
     """(doc_id, n_shingles, set_hash, sig, bands) of each document."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id is not null").mapInArrow(_sketch(words, bands, rows), "doc_id long, n_shingles long, set_hash binary, sig binary, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(frugal(_sketch(words, bands, rows)), "doc_id long, n_shingles long, set_hash binary, sig binary, bands array<long>")
 
 
-def _loads(words: int, bits: int):
-    """How many sets of the task hold a shingle of each of ``2**bits`` hash bins."""
+def _shingles(words: int):
+    """Every shingle of each document, with its component and the size of its set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache, loads = WordHash(), np.zeros(1 << bits, np.int64)
+        cache = word_hashes()
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                for t in batch.column(0).slice(at, 256).to_pylist():
-                    np.add.at(loads, (shingle_set(t, words, cache) >> np.uint64(64 - bits)).astype(np.int64), 1)
-        held = np.flatnonzero(loads)
-        yield pa.RecordBatch.from_arrays([pa.array(held, pa.int64()), pa.array(loads[held], pa.int64())], ["bin", "load"])
+            for part in slices(batch, 2, 256):
+                cols: list[list] = [[], [], [], []]
+                for doc, comp, text in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
+                    s = shingle_set(text, words, cache)
+                    for c, v in zip(cols, (np.full(len(s), doc), np.full(len(s), comp), np.full(len(s), len(s)), s.view(np.int64)), strict=True):
+                        c.append(v)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), pa.int64()) for c in cols], ["doc_id", "comp", "n_shingles", "band"])
 
     return run
 
 
-def _prefixes(words: int, per_cent: int, bits: int, levels: bytes):
-    """The rarest shingles of each set, as many as can hold the first one shared with a linked set, with their places.
+def rare_pairs(shingles: DataFrame, per_cent: int) -> DataFrame:
+    """Pairs (a, b) of documents of different components that can be linked, by the rarest shingles they share.
 
-    All sets are ordered in one way: by the level of the shingle's bin, then by its hash. Two linked sets share a
-    shingle so early in both that enough others can follow; where the first shared one is later there is no link.
+    Shingles are ordered by their number of documents, then by hash. Those of one document only come first and match
+    nothing, so a document's places are counted from their number. Two linked sets share a shingle so early in both
+    that enough others can follow. Components that share a shingle are paired first, then their documents.
     """
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache, level = WordHash(), np.frombuffer(levels, np.uint8)
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 256):
-                part = batch.slice(lo, 256)
-                cols: list[list] = [[], [], [], [], []]
-                for doc, comp, text in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
-                    s = shingle_set(text, words, cache)
-                    s = s[np.lexsort((s, level[(s >> np.uint64(64 - bits)).astype(np.int64)]))]
-                    n = len(s)
-                    k = n - -(-per_cent * n // 100) + 1
-                    for c, v in zip(cols, (np.full(k, doc), np.full(k, comp), np.full(k, n), s[:k].view(np.int64), np.arange(k)), strict=True):
-                        c.append(v)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), pa.int64()) for c in cols], ["doc_id", "comp", "n_shingles", "band", "place"])
-
-    return run
+    counts = stored(shingles.groupBy("band").agg(F.count(F.lit(1)).alias("held"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("held > 1"), "nd-counts")
+    shared = shingles.join(counts, "band")
+    own = Window.partitionBy("doc_id")
+    place = F.col("n_shingles") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("held", "band")) - 1
+    prefix = F.col("n_shingles") - F.ceil(per_cent * F.col("n_shingles") / 100) + 1
+    early = stored(shared.withColumn("place", place).filter((F.col("place") < prefix) & (F.col("lo") < F.col("hi"))).select("band", "comp", "doc_id", "n_shingles", "place"), "nd-early")
+    sides = early.select("band", "comp").distinct()
+    met = sides.alias("x").join(sides.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.comp") < F.col("y.comp")))
+    met = met.select(F.col("x.band").alias("band"), F.col("x.comp").alias("cx"), F.col("y.comp").alias("cy"))
+    x = early.select("band", F.col("comp").alias("cx"), F.col("doc_id").alias("dx"), F.col("n_shingles").alias("nx"), F.col("place").alias("px"))
+    y = early.select("band", F.col("comp").alias("cy"), F.col("doc_id").alias("dy"), F.col("n_shingles").alias("ny"), F.col("place").alias("py"))
+    follow = F.least(F.col("nx") - F.col("px"), F.col("ny") - F.col("py"))
+    both = met.join(x, ["band", "cx"]).join(y, ["band", "cy"]).filter((100 + per_cent) * follow >= per_cent * (F.col("nx") + F.col("ny")))
+    return both.select(F.least("dx", "dy").alias("a"), F.greatest("dx", "dy").alias("b"))
 
 
 def _alike(least: float):
@@ -160,28 +153,39 @@ def _alike(least: float):
 
 def _confirm(words: int, per_cent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache = WordHash()
+        cache = word_hashes()
         last: tuple = (None, None)
         for batch in batches:
-            out = []
-            for a, b, x, y in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                if last[0] != a:
-                    last = (a, shingle_set(x, words, cache))
-                s, t = last[1], shingle_set(y, words, cache)
-                both = len(np.intersect1d(s, t, assume_unique=True))
-                out.append(100 * both >= per_cent * (len(s) + len(t) - both))
-            keep = pa.array(out, pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["a", "b"]).filter(keep)
+            for part in slices(batch, 3, 256):
+                out = []
+                for i in range(part.num_rows):
+                    a, x, y = (part.column(c)[i].as_py() for c in (0, 2, 3))
+                    if last[0] != a:
+                        last = (a, shingle_set(x, words, cache))
+                    s, t = last[1], shingle_set(y, words, cache)
+                    both = len(np.intersect1d(s, t, assume_unique=True))
+                    out.append(100 * both >= per_cent * (len(s) + len(t) - both))
+                keep = pa.array(out, pa.bool_())
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1)], ["a", "b"]).filter(keep)
 
     return run
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands: int = 50, rows: int = 6, rounds: int = 3, order_bits: int = 20) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept): each document's class by links of at least ``per_cent`` similarity.
+def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands: int = 50, rows: int = 6, rounds: int = 3) -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept): each document's class by links of at least ``per_cent`` similarity."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    if unique_ids(docs):
+        return _classes(docs, words, per_cent, bands, rows, rounds)
+    held = stored(docs.withColumn("row", F.monotonically_increasing_id()), "nd-rows")
+    told = _classes(held.select(F.col("row").alias("doc_id"), "text"), words, per_cent, bands, rows, rounds)
+    told = stored(told.select(F.col("doc_id").alias("row"), "n_shingles", F.col("component_id").alias("c")), "nd-told").join(held.select("row", "doc_id"), "row")
+    least = told.groupBy(F.col("c").alias("g")).agg(F.min("doc_id").alias("component_id"))
+    out = told.join(least, F.col("c") == F.col("g")).select("doc_id", "n_shingles", "component_id")
+    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
-    The driver gets one number for each of the ``2**order_bits`` hash bins that order shingles by rarity, whatever the data.
-    """
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").filter("doc_id is not null")
+
+def _classes(docs: DataFrame, words: int, per_cent: int, bands: int, rows: int, rounds: int) -> DataFrame:
+    """``near_duplicates`` of rows with unique ids."""
     sk = stored(sketches(docs, words, bands, rows), "nd-sketches")
     ident = sk.groupBy("set_hash", "n_shingles").agg(F.min("doc_id").alias("rep"))
     members = sk.filter("n_shingles > 0").select("doc_id", "n_shingles", "set_hash").join(ident.select("set_hash", "rep"), "set_hash")
@@ -191,16 +195,16 @@ def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands:
     full = rows_.groupBy("band").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("band")
     buckets = stored(rows_.join(full, "band", "left_semi"), "nd-buckets")
     sig = stored(reps.join(buckets.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "sig"), "nd-signatures")
-    text = stored(docs.join(sig.select("doc_id"), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "nd-texts")
+    text = stored(docs.join(sig.select("doc_id"), "doc_id", "left_semi"), "nd-texts")
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         """Those of the pairs (a, b) that are links."""
         s1, s2 = sig.select(F.col("doc_id").alias("a"), F.col("sig").alias("x")), sig.select(F.col("doc_id").alias("b"), F.col("sig").alias("y"))
         cut = per_cent / 100 - 4.5 * (0.16 / (bands * rows)) ** 0.5 - 0.01
-        near = stored(pairs.join(s1, "a").join(s2, "b").select("a", "b", "x", "y").mapInArrow(_alike(cut), "a long, b long"), "nd-near")
+        near = stored(pairs.join(s1, "a").join(s2, "b").select("a", "b", "x", "y").mapInArrow(frugal(_alike(cut)), "a long, b long"), "nd-near")
         t1, t2 = text.select(F.col("doc_id").alias("a"), F.col("text").alias("x")), text.select(F.col("doc_id").alias("b"), F.col("text").alias("y"))
         both = near.join(t2, "b").join(t1, "a").select("a", "b", "x", "y")
-        return stored(both.mapInArrow(_confirm(words, per_cent), "a long, b long"), "nd-links")
+        return stored(both.mapInArrow(frugal(_confirm(words, per_cent)), "a long, b long"), "nd-links")
 
     fits = lambda p, q: (100 * F.least(p, q) >= per_cent * F.greatest(p, q))
     links, tried, live = None, None, buckets.withColumn("comp", F.col("doc_id"))
@@ -213,19 +217,8 @@ def near_duplicates(docs: DataFrame, words: int = 5, per_cent: int = 80, bands:
         else:
             single = live.select("doc_id", "comp").distinct().join(text, "doc_id").select("doc_id", "comp", "text")
             single = stored(single, "nd-open")
-            load = single.select("text").mapInArrow(_loads(words, order_bits), "bin long, load long").groupBy("bin").agg(F.sum("load").alias("n"))
-            levels = np.zeros(1 << order_bits, np.uint8)
-            for bin_, level in load.select("bin", F.least(F.lit(255), F.round(8 * F.log2("n")) + 1).cast("int")).toLocalIterator():
-                levels[bin_] = level
-            keyed = single.mapInArrow(_prefixes(words, per_cent, order_bits, levels.tobytes()), "doc_id long, comp long, n_shingles long, band long, place long")
-            keyed = stored(keyed, "nd-prefixes")
-            mixed = keyed.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("band")
-            live = stored(keyed.join(mixed, "band", "left_semi"), "nd-joint")
-            x, y = live.alias("x"), live.alias("y")
-            follow = F.least(F.col("x.n_shingles") - F.col("x.place"), F.col("y.n_shingles") - F.col("y.place"))
-            reach = (100 + per_cent) * follow >= per_cent * (F.col("x.n_shingles") + F.col("y.n_shingles"))
-            on = (F.col("x.band") == F.col("y.band")) & (F.col("x.doc_id") < F.col("y.doc_id")) & (F.col("x.comp") != F.col("y.comp")) & reach
-            pairs = x.join(y, on).select(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b"))
+            keyed = single.mapInArrow(frugal(_shingles(words)), "doc_id long, comp long, n_shingles long, band long")
+            pairs = rare_pairs(stored(keyed, "nd-shingles"), per_cent)
         pairs = pairs.distinct()
         pairs = stored(pairs.join(tried, ["a", "b"], "left_anti") if tried is not None else pairs, "nd-pairs")
         if pairs.isEmpty():
