@@ -5,8 +5,9 @@ quartiles of four ratios come from Spark's mergeable quantile summaries (``perce
 partial aggregates), give outer fences for each (lang, source), and the documents are filtered by a join with
 those fences. Only what lies far outside its group's spread fails, so a clean group loses nothing.
 
-Defined results: a null or blank text has no words and fails the base rule; null languages and sources are
-groups of their own; repeated rows are judged alike; an empty table stays empty; extra columns are ignored.
+Defined results: a null or blank text has no words and fails the base rule; a very long text is measured whole, in time
+that grows with its length like a sort; null languages and sources are groups of their own; a value that ties with its
+fence stays; repeated rows are judged alike; an empty table stays empty; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,8 +25,8 @@ def text_measures(docs: DataFrame) -> DataFrame:
     """Columns n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words for each row; other columns stay.
 
     Repeated 3-word windows: windows are hashed to 64 bits; most texts repeat none, which a distinct count shows.
-    For the rest, hashes are sorted with their places in the low bits, equal neighbours are kept, and the union
-    of their 3-word ranges is measured over the sorted places.
+    For the rest, hashes are sorted together with their places, equal neighbours are kept, and the union of their
+    3-word ranges is measured over the sorted places.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     bare = F.translate(text, ASCII_SPACE, "")
@@ -35,13 +36,12 @@ def text_measures(docs: DataFrame) -> DataFrame:
     out = out.withColumn("n_symbols", (F.length(bare) - F.length(F.translate(bare, SYMBOLS, ""))).cast("long"))
     out = out.withColumn("__l", lines).withColumn("n_dup_lines", (F.size("__l") - F.size(F.array_distinct("__l"))).cast("long")).drop("__l")
     out = out.withColumn("__h", F.expr("IF(n_words < 4, array(), transform(sequence(0, CAST(n_words AS INT) - 3), i -> xxhash64(__w[i], __w[i + 1], __w[i + 2])))")).drop("__w")
-    out = out.withColumn("__k", F.expr("IF(size(array_distinct(__h)) < size(__h), CAST(ceil(log2(size(__h) + 1)) AS INT), 0)"))
-    # places of repeated windows: hash bits above, place in the low __k bits; equal high bits side by side mean a repeat
-    out = out.withColumn("__s", F.expr("IF(__k = 0, array(), sort_array(transform(__h, (h, i) -> (shiftleft(shiftright(h, __k), __k) | i))))"))
-    same = "(i > 0 AND __h[CAST(x & (shiftleft(1L, __k) - 1) AS INT)] = __h[CAST(__s[i - 1] & (shiftleft(1L, __k) - 1) AS INT)]) OR (i + 1 < size(__s) AND __h[CAST(x & (shiftleft(1L, __k) - 1) AS INT)] = __h[CAST(__s[i + 1] & (shiftleft(1L, __k) - 1) AS INT)])"
-    out = out.withColumn("__p", F.expr(f"sort_array(transform(filter(__s, (x, i) -> {same}), x -> CAST(x & (shiftleft(1L, __k) - 1) AS INT)))"))
+    # places of repeated windows: hashes are sorted together with their places, and equal ones stand side by side
+    out = out.withColumn("__s", F.expr("IF(size(array_distinct(__h)) = size(__h), CAST(array() AS ARRAY<STRUCT<h: BIGINT, i: INT>>), sort_array(transform(__h, (h, i) -> struct(h AS h, i AS i))))"))
+    same = "(i > 0 AND x.h = __s[i - 1].h) OR (i + 1 < size(__s) AND x.h = __s[i + 1].h)"
+    out = out.withColumn("__p", F.expr(f"sort_array(transform(filter(__s, (x, i) -> {same}), x -> x.i))"))
     out = out.withColumn("n_repeat_words", F.expr("CAST(IF(size(__p) = 0, 0, 3 + aggregate(sequence(1, size(__p)), 0, (a, i) -> a + IF(i < size(__p), least(3, __p[i] - __p[i - 1]), 0))) AS LONG)"))
-    return out.drop("__h", "__k", "__s", "__p")
+    return out.drop("__h", "__s", "__p")
 
 
 def fences(measured: DataFrame, accuracy: int = 10_000, reach: float = 6.0, floors: tuple[float, ...] = (0.10, 0.50, 0.35, 3.0)) -> DataFrame:

@@ -14,6 +14,8 @@ equal in all of doc_id, source, lang and text go to one shard together; extra co
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -29,23 +31,28 @@ def _coordinates() -> dict[str, Column]:
     return {"c0": F.least(F.floor(F.log2(F.col("size").cast("double")) * (1 << 24)), F.lit(_LOW)).cast("long"), "c1": label("source"), "c2": label("lang")}
 
 
-def kd_shards(docs: DataFrame, depth: int = 4, tolerance: float = 1e-3) -> DataFrame:
-    """Rows (doc_id, size, text_crc32, h_id, shard): 2**depth leaves of near-equal bytes.
+def kd_shards(docs: DataFrame, depth: int = 4, tolerance: float = 1e-3, target_bytes: int | None = None) -> DataFrame:
+    """Rows (doc_id, size, text_crc32, h_id, shard): 2**depth leaves of near-equal bytes; with ``target_bytes`` nodes are
+    split until leaves hold no more than that, but for the tolerance, which medians reach everywhere at one depth.
 
     A cut is accepted when it is within ``tolerance`` of the node's bytes of the median or falls between two rows.
     """
     size = F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + 1
     base = docs.select("doc_id", "source", "lang", size.alias("size"), F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("text_crc32"), F.xxhash64("text").alias("h_text"), F.xxhash64("doc_id", "source", "lang", "text").bitwiseAND((1 << 62) - 1).alias("h_id"))
     coords = _coordinates()
-    # equal texts take the metadata of the least of them, so that they meet in one point
-    first = base.groupBy(F.col("h_text").alias("g")).agg(F.min("source").alias("source"), F.min("lang").alias("lang"))
+    # equal texts take the metadata of the least of them, so that they meet in one point; the least are written before
+    # they are joined, so that a text with very many copies is split at run time instead of going to one task
+    base = stored(base, "kd-rows")
+    first = stored(base.groupBy(F.col("h_text").alias("g")).agg(F.min("source").alias("source"), F.min("lang").alias("lang")), "kd-texts")
     met = base.drop("source", "lang").join(first, F.col("h_text") == F.col("g"))
     tie = F.shiftrightunsigned("h_text", 33).alias("h_text")
     points = stored(met.select("doc_id", "size", "text_crc32", tie, "h_id", *[v.alias(k) for k, v in coords.items()]), "kd-points")
     ends = [f(c).alias(f"{f.__name__}_{c}") for c in coords for f in (F.min, F.max)]
-    world = points.agg(*ends).first()
+    world = points.agg(F.sum("size").alias("bytes"), *ends).first()
     if world[0] is None:
         return points.select("doc_id", "size", "text_crc32", "h_id", F.lit(0).alias("shard"))
+    if target_bytes is not None:
+        depth = max(0, math.ceil(math.log2(max(1.0, world["bytes"] / (target_bytes * (1 + tolerance))))))
     extent = {c: max(1, world[f"max_{c}"] - world[f"min_{c}"]) for c in coords}
     points = points.withColumn("node", F.lit(0))
     for level in range(depth):
@@ -102,9 +109,9 @@ def _medians(points: DataFrame, total: dict[int, int], wide: dict[int, int], tol
     return done
 
 
-def shard(docs: DataFrame, depth: int = 4) -> DataFrame:
+def shard(docs: DataFrame, depth: int = 4, target_bytes: int | None = None) -> DataFrame:
     """``kd_shards`` with each row's place in its shard, gapless from 0."""
-    rows = kd_shards(docs, depth)
+    rows = kd_shards(docs, depth, target_bytes=target_bytes)
     buckets = max(1, rows.count() // (2000 << depth))
     return running(rows, ["shard"], ["h_id", "doc_id", "text_crc32"], F.shiftright("h_id", 1) % F.lit(buckets), {}, "slot")
 
