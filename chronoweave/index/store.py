@@ -49,7 +49,7 @@ def save(g: TemporalGraph, path: str, orders: tuple[str, ...] = ("otps",), label
     spark = g.frame.sparkSession
     rows = laid_out(g, labels)
     rows.repartitionByRange("label_class", "o", "ts").sortWithinPartitions("label_class", "length_class", "p", "o", "ts").write.partitionBy("label_class", "length_class").parquet(f"{path}/edges")
-    held = replace(g, frame=spark.read.schema(rows.schema).parquet(f"{path}/edges").select(*EDGE))
+    held = replace(g, frame=spark.read.schema(rows.schema).parquet(f"{path}/edges").select(*EDGE), loose=None)
     label_stats(held).write.parquet(f"{path}/stats")
     held.dictionary().write.parquet(f"{path}/dictionary")
     held.timeline().write.parquet(f"{path}/timeline")

@@ -248,7 +248,7 @@ def _shapes(r: Registry) -> None:
     for name, labels in (("SKEW", SKEW_LABELS), ("MONO", MONO_LABELS)):
         for shape, ls in labels.items():
             q = _window(shape_query(shape, ls.split()), *(SHAPE_WINDOW if name == "SKEW" else (datetime(2024, 1, 15), datetime(2024, 1, 15))))
-            r.add(f"{name.lower()}_{shape}", _solved(q, name, strategy="TF", route="pairwise"), pattern_sql(q, name))
+            r.add(f"{name.lower()}_{shape}", _solved(q, name, strategy="TF", route="pairwise"), stepwise_sql(q, name))
 
 
 def stored(spark, d: str, name: str, pack: bool = False) -> store.Store:

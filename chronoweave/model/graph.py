@@ -42,13 +42,15 @@ class TemporalGraph:
     #: Of a stored graph: number of label classes its folders have, and its rows of label statistics.
     labels: int = 0
     stats: tuple | None = field(default=None, compare=False)
+    #: The edges before equal triples' intervals were merged, for estimates that need not wait for that shuffle.
+    loose: DataFrame | None = field(default=None, compare=False)
 
     @classmethod
     def from_edges(cls, df: DataFrame, s: str = "s", p: str = "p", o: str = "o", ts: str = "ts", te: str = "te", coalesce: bool = True) -> TemporalGraph:
         edges = df.select(*[F.col(c).cast("string").alias(n) for c, n in ((s, "s"), (p, "p"), (o, "o"))], F.col(ts).alias("ts"), F.col(te).alias("te"))
         edges = validate(edges)[0]
         kind = edges.schema["ts"].dataType.simpleString()
-        return cls(coalesce_edges(edges) if coalesce else edges, kind)
+        return cls(coalesce_edges(edges) if coalesce else edges, kind, loose=edges)
 
     @property
     def whole(self) -> bool:

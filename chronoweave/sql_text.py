@@ -128,16 +128,22 @@ def pattern_sql(q: PatternQuery, name: str, mode: str = "times", source: str = "
 
 
 def stepwise_sql(q: PatternQuery, name: str) -> str:
-    """The same solutions for one shared time variable and no clauses, a pattern at a time: each pattern's edges are
-    filtered first, and every join is on shared nodes, in an order in which each pattern meets one before it."""
+    """The same solutions for one shared time variable with constant bounds at most, a pattern at a time: each pattern's
+    edges are filtered first, and every join is on shared nodes, in an order in which each pattern meets one before it."""
     (t,) = {p.t.name for p in q.patterns}
-    if q.clauses or not all(isinstance(p.t, TimeVar) for p in q.patterns):
-        raise ValueError("one shared time variable and no clauses")
+    if not all(isinstance(p.t, TimeVar) for p in q.patterns) or any(isinstance(c.left, TimeVar) == isinstance(c.right, TimeVar) for c in q.clauses):
+        raise ValueError("one shared time variable, with constant bounds at most")
+    unit = "INTERVAL 1 MICROSECOND"
+    lows = [f"{literal(c.left.value)}{f' + {unit}' if c.strict else ''}" for c in q.clauses if isinstance(c.left, Const)]
+    highs = [f"{literal(c.right.value)}{'' if c.strict else f' + {unit}'}" for c in q.clauses if isinstance(c.right, Const)]
+    if any(c.offset for c in q.clauses):
+        raise ValueError("no offsets")
+    start, stop = (f"{f}({', '.join([x, *more])})" if more else x for f, x, more in (("greatest", "ts", lows), ("least", "te", highs)))
     ctes, left = [], list(range(len(q.patterns)))
     for i, p in enumerate(q.patterns):
         where = [f"{c} = '{x.value}'" for c, x in p.terms if isinstance(x, Const)]
         cols = [f'{c} AS "{x.name}"' for c, x in p.terms if isinstance(x, Var)]
-        ctes.append(f"f{i} AS MATERIALIZED (SELECT {', '.join([*cols, 'ts', 'te'])} FROM e{' WHERE ' + ' AND '.join(where) if where else ''})")
+        ctes.append(f"f{i} AS MATERIALIZED (SELECT {', '.join([*cols, f'{start} AS ts', f'{stop} AS te'])} FROM e WHERE {' AND '.join([*where, f'{start} < {stop}'])})")
     fixed = lambda i: sum(isinstance(x, Const) for _, x in q.patterns[i].terms)
     first = max(left, key=lambda i: (fixed(i), -i))
     left.remove(first)
