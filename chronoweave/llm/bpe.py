@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table
+from .common import Memo, frugal, slices, table
 
 # Symbols of the transducer.
 LETTER, NUMBER, OTHER, SHORT, LONG, SPACE, JOIN, BREAK, RESET = range(9)
@@ -191,22 +191,11 @@ class Ranks:
 
 
 class Encoder:
-    """Encodes batches of texts; pieces met before come from a cache that is emptied when full."""
+    """Encodes batches of texts; pieces met before come from a cache of bounded bytes."""
 
-    def __init__(self, path: str, cache_size: int = 1 << 20) -> None:
+    def __init__(self, path: str, cache_bytes: int = 48 << 20) -> None:
         self.ranks = Ranks(path)
-        ranks, limit = self.ranks, cache_size
-
-        class Cache(dict):
-            def __missing__(self, piece: str) -> tuple[int, ...]:
-                if len(self) >= limit:
-                    self.clear()
-                ids = ranks.merge(piece.encode())
-                if len(piece) <= 256:
-                    self[piece] = ids
-                return ids
-
-        self.cache = Cache()
+        self.cache = Memo(lambda piece: self.ranks.merge(piece.encode()), cache_bytes)
         top = max(self.ranks.token)
         self.bytes_of = [self.ranks.token.get(i, b"") for i in range(top + 1)]
         self.decimal = [str(i) for i in range(top + 1)]
@@ -230,30 +219,17 @@ def encoder(path: str) -> Encoder:
     return Encoder(path)
 
 
-def _groups(texts: list[str | None], chars: int = 1 << 21) -> Iterator[tuple[int, int]]:
-    """Runs of texts of about ``chars`` characters together, so that the arrays of a batch stay small."""
-    at, held = 0, 0
-    for i, t in enumerate(texts):
-        held += len(t or "")
-        if held >= chars:
-            yield at, i + 1
-            at, held = i + 1, 0
-    if at < len(texts):
-        yield at, len(texts)
-
-
 def encode(docs: DataFrame, path: str) -> DataFrame:
     """(doc_id, ids array<int>, offsets array<int>): token ids of each text and the byte at which each begins."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path)
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for a, b in _groups(texts):
-                ids = enc.encode(texts[a:b])
-                yield pa.RecordBatch.from_arrays([keys.slice(a, b - a), pa.array(ids, pa.list_(pa.int32())), pa.array([enc.offsets(x).astype(np.int32) for x in ids], pa.list_(pa.int32()))], ["doc_id", "ids", "offsets"])
+            for part in slices(batch, 1):
+                ids = enc.encode(part.column(1).to_pylist())
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.list_(pa.int32())), pa.array([enc.offsets(x).astype(np.int32) for x in ids], pa.list_(pa.int32()))], ["doc_id", "ids", "offsets"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, ids array<int>, offsets array<int>")
+    return docs.select("doc_id", "text").mapInArrow(frugal(run), f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, ids array<int>, offsets array<int>")
 
 
 def decode(tokens: DataFrame, path: str) -> DataFrame:
@@ -262,9 +238,11 @@ def decode(tokens: DataFrame, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([enc.decode(x or []) for x in batch.column(1).to_pylist()], pa.binary())], ["doc_id", "data"])
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([enc.decode(x or []) for x in part.column(1).to_pylist()], pa.binary())], ["doc_id", "data"])
 
-    return tokens.select("doc_id", "ids").mapInArrow(run, f"doc_id {tokens.schema['doc_id'].dataType.simpleString()}, data binary")
+    return tokens.select("doc_id", "ids").mapInArrow(frugal(run), f"doc_id {tokens.schema['doc_id'].dataType.simpleString()}, data binary")
 
 
 def digests(docs: DataFrame, path: str) -> DataFrame:
@@ -275,15 +253,14 @@ def digests(docs: DataFrame, path: str) -> DataFrame:
         dec = enc.decimal.__getitem__
         sha = hashlib.sha256
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for a, b in _groups(texts):
-                ids = enc.encode(texts[a:b])
+            for part in slices(batch, 1):
+                ids = enc.encode(part.column(1).to_pylist())
                 n = pa.array([len(x) for x in ids], pa.int64())
                 i = pa.array([sha(" ".join(map(dec, x)).encode()).hexdigest() for x in ids])
                 d = pa.array([sha(enc.decode(x)).hexdigest() for x in ids])
-                yield pa.RecordBatch.from_arrays([keys.slice(a, b - a), n, i, d], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+                yield pa.RecordBatch.from_arrays([part.column(0), n, i, d], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return docs.select("doc_id", "text").mapInArrow(frugal(run), f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def rank_file() -> str:

@@ -72,3 +72,23 @@ def judge(docs: DataFrame) -> DataFrame:
 
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+#: The contract's figures by unnested windows and lines, and the fences from discrete quantiles.
+OP9_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, lang, source, coalesce(text, '') AS text, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+g AS (SELECT r, i, w[i] AS a, w[i + 1] AS b, w[i + 2] AS c FROM (SELECT r, w, unnest(range(1, len(w) - 1)) AS i FROM d WHERE len(w) >= 3)),
+twice AS (SELECT r, i FROM (SELECT *, count(*) OVER (PARTITION BY r, a, b, c) AS k FROM g) WHERE k > 1),
+rep AS (SELECT r, count(DISTINCT i + j) AS n FROM twice, (SELECT unnest([0, 1, 2]) AS j) GROUP BY r),
+ln AS (SELECT r, count(*) - count(DISTINCT line) AS n FROM (SELECT r, unnest(string_split(text, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY r),
+m AS (SELECT doc_id, lang, source, CAST(len(w) AS BIGINT) AS n_words, CAST(length(regexp_replace(text, '[\x20\x09-\x0D]+', '', 'g')) AS BIGINT) AS word_chars,
+      CAST(length(regexp_replace(text, '[^#*$%&|<>]+', '', 'g')) AS BIGINT) AS n_symbols, coalesce(ln.n, 0) AS n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words FROM d LEFT JOIN rep USING (r) LEFT JOIN ln USING (r)),
+x AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed, n_symbols / greatest(word_chars, 1) AS r0, n_dup_lines / greatest(n_words, 1) * 10 AS r1,
+      n_repeat_words / greatest(n_words, 1) AS r2, word_chars / greatest(n_words, 1) AS r3 FROM m),
+q AS (SELECT lang, source, quantile_disc(r0, [0.25, 0.75]) AS q0, quantile_disc(r1, [0.25, 0.75]) AS q1, quantile_disc(r2, [0.25, 0.75]) AS q2, quantile_disc(r3, [0.25, 0.75]) AS q3 FROM x WHERE NOT base_failed GROUP BY lang, source),
+f AS (SELECT lang, source, q0[2] + greatest(6 * (q0[2] - q0[1]), 0.10) AS h0, q1[2] + greatest(6 * (q1[2] - q1[1]), 0.50) AS h1, q2[2] + greatest(6 * (q2[2] - q2[1]), 0.35) AS h2,
+      q3[2] + greatest(6 * (q3[2] - q3[1]), 3.0) AS h3, q3[1] - greatest(6 * (q3[2] - q3[1]), 3.0) AS l3 FROM q)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+       NOT base_failed AND coalesce(r0 <= h0 AND r1 <= h1 AND r2 <= h2 AND r3 <= h3 AND r3 >= l3, TRUE) AS kept
+FROM x LEFT JOIN f ON x.lang IS NOT DISTINCT FROM f.lang AND x.source IS NOT DISTINCT FROM f.source
+"""
