@@ -218,6 +218,10 @@ def _windows(r: Registry) -> None:
     inner = pattern_sql(pair, "SHIP")
     body = inner[inner.index("\nSELECT") + 1 :]
     r.add("count_points", lambda s, d: results.count_points(solve.solve(pair, (g := graph(s, d, "SHIP")), "JF"), g), f"WITH {graph_ctes('SHIP')},\n{ticks}, q AS ({body})\nSELECT CAST(sum(y.k - x.k) AS BIGINT) AS points FROM q JOIN line x ON x.at = q.t_from JOIN line y ON y.at = q.t_to")
+    for key, text, test in (("count_pairs", "s7 ships_R ?z @t1 ; ?y ships_A ?z @t2 ; @t1 <= @t2", "greatest(0, d.k - greatest(c.k, x.k))"), ("count_pairs_free", "s7 ships_R ?z @t1 ; ?y ships_A ?z @t2", "d.k - c.k")):
+        two = _two(text)
+        held = two[two.index("\nSELECT") + 1 :]
+        r.add(key, lambda s, d, t=text, o="greatest" in test: results.count_pairs(solve.solve(t, (g := graph(s, d, "SHIP")), "JF"), g, ordered=o), f"WITH {graph_ctes('SHIP')},\n{ticks}, q AS ({held})\nSELECT CAST(sum({test}) AS BIGINT) AS points FROM q JOIN line c ON c.at = q.t2_from JOIN line d ON d.at = q.t2_to JOIN line x ON x.at >= q.t1_from AND x.at < q.t1_to")
     r.add("points_mono", lambda s, d: results.points(solve.solve(_window(parse(MONO), *mono), (g := graph(s, d, "MONO"))), g), _points_sql(_window(parse(MONO), *mono)))
     for name, text, g in (("semijoin_reduction", "s7 ships_R ?p @t ; ?p sold_to ?c @t", "KGT"), ("semijoin_chain", "s7 ships_R ?p @t ; ?p sold_to ?c @t ; ?c in_nation ?n @t ; ?n in_region r1 @t", "KG"), ("semijoin_star", "?x ships_R p4 @t ; ?x ships_A ?q @t ; ?x in_nation ?n @t", "KG")):
         r.add(name, _solved(text, g, strategy="LC", route="reduced"), stepwise_sql(parse(text), g))

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.sql import interval_intersect, interval_relation, merge_intersect, solutions_as_map
 from ..measures import cost
 from ..model.query import parse
+from ..model.ranks import running
 from ..operators import overlap, solve
 from ..operators.pairwise import run as pairwise
 from ..sources.graphs import graph
@@ -154,7 +155,19 @@ def _aggregates(r: Registry) -> None:
     r.add("top_edges_per_label", _frame("SKEW", lambda e: e.select("s", "p", "o", "ts", _us()).withColumn("r", F.row_number().over(Window.partitionBy("p").orderBy(F.desc("us"), "s", "o", "ts"))).filter("r <= 5")), over("SKEW", "SELECT s, p, o, ts, us, CAST(r AS INT) AS r FROM (SELECT s, p, o, ts, epoch_us(te) - epoch_us(ts) AS us, row_number() OVER (PARTITION BY p ORDER BY epoch_us(te) - epoch_us(ts) DESC, s, o, ts) AS r FROM e) WHERE r <= 5"))
     r.add("moving_live_7d", _moving, over("SHIP", "SELECT day, CAST(sum(n) OVER (ORDER BY day RANGE BETWEEN INTERVAL 6 DAY PRECEDING AND CURRENT ROW) AS BIGINT) AS n7 FROM (SELECT ts AS day, count(*) AS n FROM e GROUP BY ts)"))
     r.add("topk_longest", _frame("SHIP", lambda e: e.select("s", "p", "o", "ts", _us()).orderBy(F.desc("us"), "s", "p", "o", "ts").limit(20)), over("SHIP", "SELECT s, p, o, ts, epoch_us(te) - epoch_us(ts) AS us FROM e ORDER BY us DESC, s, p, o, ts LIMIT 20"))
-    r.add("rank_functions", _frame("MONO", lambda e: e.groupBy("s").agg(F.count(F.lit(1)).alias("n")).select("s", "n", F.dense_rank().over(Window.orderBy(F.desc("n"))).alias("dr"), F.rank().over(Window.orderBy(F.desc("n"))).alias("rk"), F.ntile(4).over(Window.orderBy(F.desc("n"), "s")).alias("tile"))), over("MONO", "SELECT s, n, CAST(dense_rank() OVER (ORDER BY n DESC) AS INT) AS dr, CAST(rank() OVER (ORDER BY n DESC) AS INT) AS rk, CAST(ntile(4) OVER (ORDER BY n DESC, s) AS INT) AS tile FROM (SELECT s, count(*) AS n FROM e GROUP BY s)"))
+    r.add("rank_functions", _ranks, over("MONO", "SELECT s, n, CAST(dense_rank() OVER (ORDER BY n DESC) AS INT) AS dr, CAST(rank() OVER (ORDER BY n DESC) AS INT) AS rk, CAST(ntile(4) OVER (ORDER BY n DESC, s) AS INT) AS tile FROM (SELECT s, count(*) AS n FROM e GROUP BY s)"))
+
+
+def _ranks(spark, d):
+    """Ranks of nodes by their edges, most first, and quarters: from running numbers in parts, so no task orders all nodes."""
+    per = graph(spark, d, "MONO").frame.groupBy("s").agg(F.count(F.lit(1)).alias("n")).withColumn("less", -F.col("n"))
+    rows = running(per, [], ["less", "s"], {}, row="r")
+    kinds = running(rows.groupBy("less").agg(F.min("r").alias("rk")), [], ["less"], {}, row="dr").select(F.col("less").alias("k"), "rk", "dr")
+    size, more = divmod(per.count(), 4)
+    far = more * (size + 1)
+    tile = F.when(F.col("r") <= far, F.ceil(F.col("r") / (size + 1))).otherwise(more + F.ceil((F.col("r") - far) / max(1, size)))
+    out = rows.join(kinds, F.col("less") == F.col("k"))
+    return out.select("s", "n", F.col("dr").cast("int").alias("dr"), F.col("rk").cast("int").alias("rk"), tile.cast("int").alias("tile"))
 
 
 def _moving(spark, d):

@@ -70,6 +70,23 @@ def count_points(df: DataFrame, g: TemporalGraph, t: str = "t") -> DataFrame:
     return x.agg(F.coalesce(F.sum(F.col("__y") - F.col("__x")), F.lit(0)).cast("long").alias("points"))
 
 
+def count_pairs(df: DataFrame, g: TemporalGraph, first: str = "t1", second: str = "t2", ordered: bool = True) -> DataFrame:
+    """Number of expanded solutions of two time variables, ``first`` not after ``second`` if ``ordered``, from ranks alone.
+
+    A row stands for the instants (i, j) with i in [a, b) and j in [c, d). Those i below c meet all j; of the others each meets
+    the j from itself on, which is an arithmetic series.
+    """
+    line, x = g.timeline(), df
+    for k, col in zip("abcd", [*ends(first), *ends(second)], strict=True):
+        x = x.join(line.select(F.col("at").alias(col), F.col("tick").alias(f"__{k}")), col)
+    a, b, c, d = (F.col(f"__{k}") for k in "abcd")
+    below = F.greatest(F.least(b, c) - a, F.lit(0)) * (d - c)
+    lo, hi = F.greatest(a, c), F.least(b, d)
+    series = F.when(lo < hi, ((hi - lo) * ((d - lo) + (d - hi + 1)) / 2).cast("long")).otherwise(0)
+    pairs = below + series if ordered else (b - a) * (d - c)
+    return x.agg(F.coalesce(F.sum(pairs), F.lit(0)).cast("long").alias("points"))
+
+
 def as_arrays(df: DataFrame, keys: list[str], t: str = "t") -> DataFrame:
     """All ranges of a binding in one sorted array."""
     a, b = ends(t)
