@@ -6,6 +6,7 @@ of length, which are folders; least-children orders come from a few rows of stat
 
 from __future__ import annotations
 
+import atexit
 import json
 import os
 import re
@@ -18,21 +19,36 @@ from pyspark.sql import functions as F
 
 from ..model.graph import EDGE, TemporalGraph
 from ..model.query import Const, PatternQuery, TimeVar
+from ..operators.overlap import bucket_bounds
 from ..plans.stats import label_stats
 from . import tries
 
-#: The most length classes a graph of microseconds can have (64-bit instants).
-CLASSES = 64
+#: Parts of equal numbers of starts whose bounds a store keeps for time-first plans.
+BOUNDS = 256
+
+_made: list[tuple[SparkSession, str]] = []
 
 
 def shared_folder(spark: SparkSession, label: str) -> str:
-    """A fresh path that all executors share: below ``spark.checkpoint.dir``; a temporary one only in local mode."""
+    """A fresh path that all executors share, gone when Python ends: below ``spark.checkpoint.dir``; a temporary one only in local mode."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         if not re.match(r"local($|\[)", spark.sparkContext.master):
             raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + os.path.join(tempfile.gettempdir(), "chronoweave-store")
-    return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    path = f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    _made.append((spark, path))
+    return path
+
+
+@atexit.register
+def _sweep() -> None:
+    for spark, path in _made:
+        try:
+            p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+        except Exception:  # the session may be gone already
+            return
 
 
 def laid_out(g: TemporalGraph, labels: int) -> DataFrame:
@@ -42,7 +58,7 @@ def laid_out(g: TemporalGraph, labels: int) -> DataFrame:
 
 
 def save(g: TemporalGraph, path: str, orders: tuple[str, ...] = ("otps",), labels: int = 16, pack: bool = False, events_each: int = 1 << 20) -> None:
-    """Writes the graph and what queries need beside it; matrices for ``orders`` only if ``pack``.
+    """Writes the graph and what queries need beside it; matrices for ``orders``, dictionary and timeline only if ``pack``.
 
     Edges of a label class are dealt by range of object and start, so hot labels and hubs spread over many files, sorted within.
     """
@@ -51,15 +67,16 @@ def save(g: TemporalGraph, path: str, orders: tuple[str, ...] = ("otps",), label
     rows.repartitionByRange("label_class", "o", "ts").sortWithinPartitions("label_class", "length_class", "p", "o", "ts").write.partitionBy("label_class", "length_class").parquet(f"{path}/edges")
     held = replace(g, frame=spark.read.schema(rows.schema).parquet(f"{path}/edges").select(*EDGE), loose=None)
     label_stats(held).write.parquet(f"{path}/stats")
-    held.dictionary().write.parquet(f"{path}/dictionary")
-    held.timeline().write.parquet(f"{path}/timeline")
     width = 0
-    if pack:
+    if pack:  # matrices speak in numbers
+        held.dictionary().write.parquet(f"{path}/dictionary")
+        held.timeline().write.parquet(f"{path}/timeline")
         index = tries.build(held, orders, True, events_each)
         width = index.width
         for o, m in index.matrices.items():
             m.write.parquet(f"{path}/matrix/{o}")
-    note = json.dumps({"time_type": g.time_type, "labels": labels, "orders": list(orders) if pack else [], "width": width})
+    starts = bucket_bounds(held.frame.select("ts"), "ts", BOUNDS)
+    note = json.dumps({"starts": starts, "time_type": g.time_type, "labels": labels, "orders": list(orders) if pack else [], "width": width})
     spark.createDataFrame([(note,)], "note string").coalesce(1).write.text(f"{path}/note")
 
 
@@ -102,7 +119,7 @@ class Store:
 def open_store(spark: SparkSession, path: str) -> Store:
     note = json.loads(spark.read.text(f"{path}/note").first()[0])
     stats = [r.asDict() for r in spark.read.parquet(f"{path}/stats").collect()]
-    g = TemporalGraph(spark.read.parquet(f"{path}/edges"), note["time_type"], note["labels"], tuple(stats))
+    g = TemporalGraph(spark.read.parquet(f"{path}/edges"), note["time_type"], note["labels"], tuple(stats), tuple(note["starts"]))
     return Store(g, path, note["width"], tuple(note["orders"]))
 
 

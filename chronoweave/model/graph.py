@@ -42,6 +42,8 @@ class TemporalGraph:
     #: Of a stored graph: number of label classes its folders have, and its rows of label statistics.
     labels: int = 0
     stats: tuple | None = field(default=None, compare=False)
+    #: Of a stored graph: inner bounds of many parts of equal numbers of starts, as seconds or whole numbers.
+    starts: tuple | None = field(default=None, compare=False)
     #: The edges before equal triples' intervals were merged, for estimates that need not wait for that shuffle.
     loose: DataFrame | None = field(default=None, compare=False)
 
@@ -79,7 +81,7 @@ class TemporalGraph:
 
     def part(self, keep: Column) -> TemporalGraph:
         """The edges that meet a condition; folders and statistics stay in use."""
-        return TemporalGraph(self.frame.filter(keep), self.time_type, self.labels, self.stats)
+        return TemporalGraph(self.frame.filter(keep), self.time_type, self.labels, self.stats, self.starts)
 
     def in_folder(self, label: str) -> Column:
         """Condition that a stored graph's edges of a label lie in its folder; no condition otherwise."""

@@ -20,6 +20,13 @@ def bucket_bounds(df: DataFrame, at: str, buckets: int | None = None, rows_each:
     return sorted(set(got or []))
 
 
+def graph_bounds(g, buckets: int) -> list:
+    """Inner bounds of a graph's starts: of a stored graph as many as are wanted of those it keeps, else from its edges."""
+    if g.starts:
+        return sorted({g.starts[len(g.starts) * i // buckets] for i in range(1, buckets)})
+    return bucket_bounds(g.frame.select("ts"), "ts", buckets)
+
+
 def bucket_of(at: Column, bounds: list, kind: str) -> Column:
     """Number of bounds not later than the instant, looked up in two steps."""
     num = at.cast("timestamp").cast("double") if kind.startswith("timestamp") else at.cast("double")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..model.graph import TemporalGraph
 from ..model.query import PatternQuery, TimeVar
 from ..plans.order import pattern_filter, pattern_order, time_position
-from .overlap import bucket_bounds, bucket_of, spread
+from .overlap import bucket_of, graph_bounds, spread
 from .results import apply_clauses, ends
 
 
@@ -66,7 +66,7 @@ def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16,
     at = time_position(q, order)
     first = [t for t in q.times if at[t] == 0 and any(p.t == TimeVar(t) for p in q.patterns)]
     lead = first[0] if len(first) == 1 and len(q.patterns) > 1 else None
-    bounds = bucket_bounds(g.frame.select("ts"), "ts", buckets) if lead else []
+    bounds = graph_bounds(g, buckets) if lead else []
     kind = g.time_type
     acc, bound, seen = None, set(), {}
     for i in pattern_order(q, order):
