@@ -4,7 +4,7 @@ Strict patterns give base spans, which always stay. Looser patterns give candida
 numbers without a country sign that are no part of a longer number, labelled secrets quoted or bare, keys with a known
 prefix, private key blocks, and national and bank numbers. Four labelers vote yes, no or nothing on every candidate and base span: a
 stricter pattern of its kind, a gazetteer of endings and prefixes that speak for it and of fillers that speak against it,
-the words before it, likewise for and against, and its shape. Expectation-maximisation over the counts of vote patterns
+the words before it, likewise for and against, and its shape. Expectation-maximisation over the number of texts of each vote pattern
 estimates each labeler's reliability for each class without labels, starting from a weak belief that labelers are
 right more often than not; its posteriors then train the final classifier, a logistic model over votes and kind,
 whose accepted patterns are applied to the candidates. Vote patterns are at most kinds * 3**4, whatever the data.
@@ -274,8 +274,9 @@ def classifier(counts: dict[str, int], post: dict[str, float], rounds: int = 30,
 
 
 def accepted(spans: DataFrame, cut: float = 0.5) -> list[str]:
-    """Vote patterns that the trained classifier takes as personal data."""
-    rows = spans.select(F.explode("every.votes").alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("n")).collect()
+    """Vote patterns that the trained classifier takes as personal data. A text counts once for each of its patterns, so
+    that one text of very many alike spans decides nothing."""
+    rows = spans.select(F.explode(F.array_distinct("every.votes")).alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("n")).collect()
     counts = {r["v"]: r["n"] for r in rows}
     scores = classifier(counts, reliabilities(counts)[0])
     return sorted(p for p, s in scores.items() if s >= cut and int(p.split(":")[0]) >= len(BASE))
