@@ -12,7 +12,7 @@ the other buckets are compared across components by their rarest shingles: all t
 the order of those counts two linked sets share a shingle within the first places of both; all pairs of different
 components that do, early enough for the rest to reach the similarity, are confirmed. That step is exact for any order; rarity
 only makes it selective, as the shingles of a large group of alike texts come last. So links between components
-are found whatever the representatives were. No two documents of one component meet in that join.
+are found whatever the representatives were. Documents of one component give no rows in that join.
 
 Defined results: null, empty and blank texts have an empty set and are linked with nothing; a text of fewer
 words than a shingle is one shingle, a very long one a set like others; where doc_ids are null or repeated, each row is
@@ -121,7 +121,8 @@ def rare_pairs(shingles: DataFrame, per_cent: int) -> DataFrame:
 
     Shingles are ordered by their number of documents, then by hash. Those of one document only come first and match
     nothing, so a document's places are counted from their number. Two linked sets share a shingle so early in both
-    that enough others can follow. Components that share a shingle are paired first, then their documents.
+    that enough others can follow. Only the rows of those early places are shuffled; what the join tests and rejects (one
+    component, or too late a place) is never a row.
     """
     counts = stored(shingles.groupBy("band").agg(F.count(F.lit(1)).alias("held"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("held > 1"), "nd-counts")
     shared = shingles.join(counts, "band")
@@ -129,14 +130,11 @@ def rare_pairs(shingles: DataFrame, per_cent: int) -> DataFrame:
     place = F.col("n_shingles") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("held", "band")) - 1
     prefix = F.col("n_shingles") - F.ceil(per_cent * F.col("n_shingles") / 100) + 1
     early = stored(shared.withColumn("place", place).filter((F.col("place") < prefix) & (F.col("lo") < F.col("hi"))).select("band", "comp", "doc_id", "n_shingles", "place"), "nd-early")
-    sides = early.select("band", "comp").distinct()
-    met = sides.alias("x").join(sides.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.comp") < F.col("y.comp")))
-    met = met.select(F.col("x.band").alias("band"), F.col("x.comp").alias("cx"), F.col("y.comp").alias("cy"))
-    x = early.select("band", F.col("comp").alias("cx"), F.col("doc_id").alias("dx"), F.col("n_shingles").alias("nx"), F.col("place").alias("px"))
-    y = early.select("band", F.col("comp").alias("cy"), F.col("doc_id").alias("dy"), F.col("n_shingles").alias("ny"), F.col("place").alias("py"))
-    follow = F.least(F.col("nx") - F.col("px"), F.col("ny") - F.col("py"))
-    both = met.join(x, ["band", "cx"]).join(y, ["band", "cy"]).filter((100 + per_cent) * follow >= per_cent * (F.col("nx") + F.col("ny")))
-    return both.select(F.least("dx", "dy").alias("a"), F.greatest("dx", "dy").alias("b"))
+    x, y = early.alias("x"), early.alias("y")
+    follow = F.least(F.col("x.n_shingles") - F.col("x.place"), F.col("y.n_shingles") - F.col("y.place"))
+    reach = (100 + per_cent) * follow >= per_cent * (F.col("x.n_shingles") + F.col("y.n_shingles"))
+    on = (F.col("x.band") == F.col("y.band")) & (F.col("x.doc_id") < F.col("y.doc_id")) & (F.col("x.comp") != F.col("y.comp")) & reach
+    return x.join(y, on).select(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b"))
 
 
 def _alike(least: float):
