@@ -56,16 +56,29 @@ def meets(q: PatternQuery, g: TemporalGraph, i: int, j: int) -> Column | None:
     return on
 
 
-def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16, hint: str | None = None, prune: bool = True, scans: list[DataFrame] | None = None) -> DataFrame:
+def keyed(q: PatternQuery, patterns: list[int]) -> bool:
+    """Whether each pattern in this order shares a node with those before it."""
+    bound = set(q.patterns[patterns[0]].variables)
+    for i in patterns[1:]:
+        if not bound & set(q.patterns[i].variables):
+            return False
+        bound |= set(q.patterns[i].variables)
+    return True
+
+
+def run(q: PatternQuery, g: TemporalGraph, order: list[str], buckets: int = 16, hint: str | None = None, prune: bool = True, scans: list[DataFrame] | None = None, cut_time: bool = True) -> DataFrame:
     """Solutions, one row for each combination of edges.
 
     A time variable that the order binds before a pattern's last node variable makes that pattern's join an
-    overlap join; one bound first of all cuts the time axis into buckets, which lead every join key. With a time
+    overlap join; one bound first of all cuts the time axis into buckets, which lead every join key (without ``cut_time``
+    only where some join has no shared node as its key). With a time
     variable at the end, ``prune`` still tests overlap in every join; without it (strict join-first) overlap is left to the last step.
     """
     at = time_position(q, order)
     first = [t for t in q.times if at[t] == 0 and any(p.t == TimeVar(t) for p in q.patterns)]
     lead = first[0] if len(first) == 1 and len(q.patterns) > 1 else None
+    if not cut_time and keyed(q, pattern_order(q, order)):
+        lead = None
     bounds = graph_bounds(g, buckets) if lead else []
     kind = g.time_type
     acc, bound, seen = None, set(), {}

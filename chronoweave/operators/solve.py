@@ -58,7 +58,7 @@ def solve(q: PatternQuery | str, g: TemporalGraph, strategy: str = "LC", route:
     if route == "auto":
         route = "generic" if cyclic(q) and len(q.patterns) > 3 else "pairwise"
     if route == "pairwise":
-        out = pairwise.run(q, g, order, buckets, prune=prune)
+        out = pairwise.run(q, g, order, buckets, prune=prune, cut_time=strategy == "TF")
     elif route == "generic":
         out = generic.run(q, g, order, prune)
     elif route == "reduced":
