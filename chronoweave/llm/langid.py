@@ -6,8 +6,8 @@ emit partial sums, which Spark adds up. From the 4-gram counts follow all contin
 orders. A model is a set of sorted key arrays with log-probabilities and back-off weights, read by binary
 search. A text goes to the language of lowest cross-entropy per character; it is rejected when that lies
 further above the language's own training entropy than its allowance: what the law of large numbers gives a text of its
-length, and what the worst of some training texts of that language needed beyond, found by scoring ``calibrate`` of them (an expected
-number, chosen by a hash of the text) with a margin of half the spread of a character's information.
+length, and what the worst of the training texts of that language needed beyond, all of which are scored for it,
+with a margin of half the spread of a character's information.
 
 The model holds one entry for each distinct 4-gram of a language. Its size is checked before it is gathered: above
 ``max_entries`` rows it stays a set of tables, from which the same probabilities are joined to the distinct
@@ -191,13 +191,11 @@ class ModelTables:
     worst: dict[str, float] = field(default_factory=dict)
 
 
-def train(docs: DataFrame, order: int = 4, max_entries: int = 8_000_000, calibrate: int = 4096) -> dict[str, Model] | ModelTables:
-    """A model for each non-null ``lang`` of the rows; counts are over all of them. Too large a model stays in tables."""
+def train(docs: DataFrame, order: int = 4, max_entries: int = 8_000_000) -> dict[str, Model] | ModelTables:
+    """A model for each non-null ``lang`` of the rows; counts and rejection thresholds are over all of them. Too large a model stays in tables."""
     models = _fitted(docs, order, max_entries)
     rows = docs.select("lang", "text").filter("lang is not null and text is not null")
-    n = rows.count()
-    some = rows.filter(F.pmod(F.xxhash64("text"), F.lit(max(1, n // calibrate))) == 0)
-    told = predict(some, models, ["lang"]).filter("lang = lang_pred")
+    told = predict(rows, models, ["lang"]).filter("lang = lang_pred")
     worst = {r["lang"]: r["w"] for r in told.groupBy("lang").agg(F.max("above").alias("w")).collect()}
     if isinstance(models, ModelTables):
         models.worst = worst

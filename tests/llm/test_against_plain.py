@@ -140,3 +140,18 @@ def test_repeated_windows_of_a_long_text(spark):
             marked |= {p + j for p in places for j in range(3)}
     df = spark.createDataFrame([(1, " ".join(words), "en", "a", 1)], SCHEMA)
     assert quality.text_measures(df).first()["n_repeat_words"] == len(marked)
+
+
+def test_rejection_thresholds_take_every_training_text(spark):
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(5)
+    words = ["".join(rng.choice(list("abcdefgh"), 6)) for _ in range(300)]
+    rows = [(" ".join(rng.choice(words, 8)), "en") for _ in range(8999)]
+    strange = [" ".join("".join(rng.choice(list("ijklmnopqrstuvwxyz"), 6)) for _ in range(600)) for _ in range(12)]
+    odd = spark.createDataFrame([(t,) for t in strange], "text string").filter(F.pmod(F.xxhash64("text"), F.lit(2)) == 1).first()[0]
+    docs = spark.createDataFrame([*rows, (odd, "en")], "text string, lang string")
+    models = langid.train(docs)
+    told = langid.predict(docs, models, ["lang"])
+    top, rejected = told.agg(F.max("above"), F.count_if("rejected")).first()
+    assert models["en"].worst == max(0.0, top) > 0 and rejected == 0
