@@ -3,9 +3,9 @@
 Every run of ``words`` words (25) that stands at an earlier place too, whatever its punctuation and white space,
 is a repeat. Two rounds find all of them. First, each window of 25 words names one anchor in it, the 13-word run
 of least hash, so equal windows name equal anchors and neighbours mostly share one; anchor hashes are counted
-over all documents with partial sums. Second, only windows whose anchor stands at several places are hashed
-themselves (64 bits); the first place of each repeated hash is the least (doc_id, row, place), and the words under
-any other place are removed. Words beside a repeat that go with it by chance stay: of a sentence (cut at
+over all documents, behind one shuffle. Second, only windows whose anchor stands at several places are hashed
+themselves (64 bits); the windows of one anchor's place are neighbours and are shuffled together, by the anchor's hash.
+The first place of each repeated hash is the least (doc_id, row, place), and the words under any other place are removed. Words beside a repeat that go with it by chance stay: of a sentence (cut at
 sentence ends, commas before white space and line ends) that is covered in part, a stretch of fewer than five words is kept.
 
 Defined results: null, empty and blank texts have no sentences; a text shorter than a window is never touched;
@@ -23,7 +23,7 @@ from itertools import chain
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import stored, table
@@ -85,11 +85,12 @@ def named(h: np.ndarray, size: np.ndarray, words: int) -> tuple[np.ndarray, np.n
 _PLACES = "doc_id long, row long, place int, hash long"
 
 
-def _places(ids: pa.Array, rows: pa.Array, size: np.ndarray, at: np.ndarray, hashes: np.ndarray) -> pa.RecordBatch:
+def _places(ids: pa.Array, rows: pa.Array, size: np.ndarray, at: np.ndarray, hashes: np.ndarray) -> list[pa.Array]:
+    """doc_id, row, place in its text and hash of each place; ``hashes`` has one a place."""
     text = np.repeat(np.arange(len(size)), size)[at]
     first = np.cumsum(size) - size
     take = pa.array(text)
-    return pa.RecordBatch.from_arrays([ids.take(take), rows.take(take), pa.array((at - first[text]).astype(np.int32)), pa.array(hashes[at].view(np.int64))], ["doc_id", "row", "place", "hash"])
+    return [ids.take(take), rows.take(take), pa.array((at - first[text]).astype(np.int32)), pa.array(hashes.view(np.int64))]
 
 
 def anchor_table(docs: DataFrame, words: int) -> DataFrame:
@@ -101,26 +102,31 @@ def anchor_table(docs: DataFrame, words: int) -> DataFrame:
                 part = batch.slice(begin, 256)
                 h, size = word_hashes(part.column(2).to_pylist())
                 _, at, v = named(h, size, words)
-                yield _places(part.column(0), part.column(1), size, np.unique(at), v)
+                at = np.unique(at)
+                yield pa.RecordBatch.from_arrays(_places(part.column(0), part.column(1), size, at, v[at]), ["doc_id", "row", "place", "hash"])
 
     return docs.select("doc_id", "row", "text").mapInArrow(run, _PLACES)
 
 
 def window_table(docs: DataFrame, words: int) -> DataFrame:
-    """(doc_id, row, place, hash) of every window whose anchor's place is in ``places``."""
+    """(doc_id, row, place, hash, windows) of each anchor whose place is in ``places``: its hash, the place of the first
+    window that names it, and the hashes of that and the following windows that do."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for begin in range(0, batch.num_rows, 256):
                 part = batch.slice(begin, 256)
                 h, size = word_hashes(part.column(2).to_pylist())
-                start, at, _ = named(h, size, words)
+                start, at, v = named(h, size, words)
                 hit = np.zeros(len(h) + 1, bool)
                 for f, own in zip((np.cumsum(size) - size).tolist(), part.column(3).to_pylist(), strict=True):
                     hit[np.array(own, np.int64) + f] = True
-                yield _places(part.column(0), part.column(1), size, start[hit[at]], rolled(h, words))
+                start, at = start[hit[at]], at[hit[at]]
+                edge = np.flatnonzero(np.diff(at, prepend=-1))
+                windows = pa.ListArray.from_arrays(pa.array(np.append(edge, len(at)).astype(np.int32)), pa.array(rolled(h, words)[start].view(np.int64)))
+                yield pa.RecordBatch.from_arrays([*_places(part.column(0), part.column(1), size, start[edge], v[at[edge]]), windows], ["doc_id", "row", "place", "hash", "windows"])
 
-    return docs.select("doc_id", "row", "text", "places").mapInArrow(run, _PLACES)
+    return docs.select("doc_id", "row", "text", "places").mapInArrow(run, _PLACES + ", windows array<long>")
 
 
 def removed(text: str, places: list[int], words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -170,13 +176,14 @@ def _per_row(places: DataFrame) -> DataFrame:
 def deduplicate(docs: DataFrame, words: int = 25) -> DataFrame:
     """(doc_id, n_sentences, n_removed, text): texts without the words of non-first repeated windows."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("row"), "text")
-    anchors = anchor_table(docs, words)
-    again = anchors.groupBy("hash").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("hash")
-    per = stored(_per_row(anchors.join(again, "hash")), "span-anchors")
+    again = anchor_table(docs, words).withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("hash"))).filter("n > 1")
+    per = stored(_per_row(again), "span-anchors")
     same = docs["doc_id"].eqNullSafe(per["d"]) & (docs["row"] == per["r"])
-    spans = stored(window_table(docs.join(per, same), words), "span-windows")
-    firsts = spans.groupBy("hash").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "row", "place")).alias("head")).filter("n > 1").select("hash", "head")
-    later = spans.join(firsts, "hash").filter(F.struct("doc_id", "row", "place") != F.col("head"))
+    # equal windows name equal anchors, so what the anchors' hashes deal out need not be dealt again by window
+    dealt = window_table(docs.join(per, same), words).repartition("hash")
+    spans = dealt.select("hash", "doc_id", "row", "place", F.posexplode("windows").alias("nth", "window")).withColumn("place", F.col("place") + F.col("nth"))
+    # rows of equal doc_id and text are one place, hence of one rank
+    later = spans.withColumn("n", F.rank().over(Window.partitionBy("hash", "window").orderBy("doc_id", "row", "place"))).filter("n > 1")
     cover = stored(_per_row(later), "span-cover")
     both = docs.join(cover, docs["doc_id"].eqNullSafe(cover["d"]) & (docs["row"] == cover["r"]), "left")
     return both.select("doc_id", "text", "places").mapInArrow(_keep(words), "doc_id long, n_sentences long, n_removed long, text string")

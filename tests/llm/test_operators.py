@@ -178,6 +178,25 @@ def test_spans_against_all_windows(spark):
             assert got[i]["text"] == t
 
 
+def test_spans_shuffle_one_row_an_anchor(spark):
+    rng = random.Random(3)
+    texts = [" ".join(f"w{rng.randrange(40)}" for _ in range(n)) for n in (24, 25, 400, 90)]
+    docs = frame(spark, [(i, t, None, None, 1) for i, t in enumerate(texts)]).withColumn("row", spans.F.lit(0).cast("long"))
+    anchors = spans.anchor_table(docs, 25)
+    own = anchors.groupBy("doc_id").agg(spans.F.collect_set("place").alias("places"))
+    got = spans.window_table(docs.join(own, "doc_id"), 25).collect()
+    assert len(got) == anchors.count() and {(r["doc_id"], r["hash"]) for r in got} == {(r["doc_id"], r["hash"]) for r in anchors.collect()}
+    starts = sorted((r["doc_id"], r["place"] + k) for r in got for k in range(len(r["windows"])))
+    assert starts == [(i, k) for i, t in enumerate(texts) for k in range(len(t.split()) - 24)]
+
+
+def test_spans_count_equal_rows_as_one_place(spark):
+    text = " ".join(f"w{i}" for i in range(40))
+    rows = [(1, text, None, None, 1), (1, text, None, None, 1), (2, text, None, None, 1)]
+    got = sorted((r["doc_id"], r["text"]) for r in spans.deduplicate(frame(spark, rows)).collect())
+    assert got == [(1, text), (1, text), (2, "")]
+
+
 def luhn(digits):
     return sum(int(c) if i % 2 == 0 else (int(c) * 2 - 9 if c > "4" else int(c) * 2) for i, c in enumerate(reversed(digits))) % 10 == 0
 
